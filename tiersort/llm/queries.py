@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tiersort.llm import decontaminate, lines, mixing, simhash, urls
+from tiersort.llm import decontaminate, lines, mixing, pii, simhash, urls
 from tiersort.llm.common import staged, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -27,6 +27,10 @@ def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.personal_data(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
+
+
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.digest(lines.drop_frequent(table(spark, sf_dir, "documents")))
 
@@ -35,6 +39,6 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("source")
 
 
-QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op7_line_dedup": op7_line_dedup,
+QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
                              "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing}
 ORACLES: dict[str, str] = {"op4_url_filter": urls.ORACLE, "op7_line_dedup": lines.ORACLE, "op9_mixing": mixing.ORACLE}
