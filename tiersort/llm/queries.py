@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tiersort.llm import decontaminate, lines, mixing, pii, simhash, urls
+from tiersort.llm import decontaminate, lines, mixing, pii, quality, simhash, urls
 from tiersort.llm.common import staged, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -39,6 +39,10 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).drop("source")
 
 
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).withColumnRenamed("id", "doc_id")
+
+
 QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
-                             "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing}
+                             "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing, "op10_quality": op10_quality}
 ORACLES: dict[str, str] = {"op4_url_filter": urls.ORACLE, "op7_line_dedup": lines.ORACLE, "op9_mixing": mixing.ORACLE}
