@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tiersort.llm import decontaminate, lines, mixing, pii, quality, simhash, urls
+from tiersort.llm import decontaminate, html_text, lines, mixing, pii, quality, simhash, urls
 from tiersort.llm.common import staged, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -27,6 +27,10 @@ def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
+def op5_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.personal_data(table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
 
@@ -43,6 +47,6 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).withColumnRenamed("id", "doc_id")
 
 
-QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
+QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op5_html_text": op5_html_text, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
                              "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing, "op10_quality": op10_quality}
 ORACLES: dict[str, str] = {"op4_url_filter": urls.ORACLE, "op7_line_dedup": lines.ORACLE, "op9_mixing": mixing.ORACLE}
