@@ -7,12 +7,16 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tiersort.llm import decontaminate, html_text, lines, mixing, pii, quality, simhash, urls
+from tiersort.llm import ann, decontaminate, html_text, lines, mixing, pii, quality, simhash, urls
 from tiersort.llm.common import staged, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(table(spark, sf_dir, "embeddings"), F.col("id") % 50 == 0)
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     fps = staged(simhash.fingerprints(table(spark, sf_dir, "documents"), shingle=3), "fps")
     return simhash.classes(fps, radius=2).select(
@@ -47,6 +51,6 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).withColumnRenamed("id", "doc_id")
 
 
-QUERIES: dict[str, Query] = {"op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op5_html_text": op5_html_text, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
+QUERIES: dict[str, Query] = {"op1_ann": op1_ann, "op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op5_html_text": op5_html_text, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
                              "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing, "op10_quality": op10_quality}
 ORACLES: dict[str, str] = {"op4_url_filter": urls.ORACLE, "op7_line_dedup": lines.ORACLE, "op9_mixing": mixing.ORACLE}
