@@ -146,7 +146,7 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
         return spark.createDataFrame([], empty)
     every = every.where(F.size("v") == head.d)
     index = fit(every, lists, parts, most_fit)
-    visited = max(1, round(probes * len(index.coarse)))
+    visited = max(8, round(probes * len(index.coarse)))  # the few lists of a small table are all visited
     sent = spark.sparkContext.broadcast(index)  # bounded: centroids and codewords only
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
