@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tiersort.llm import ann, decontaminate, html_text, lines, mixing, pii, quality, simhash, urls
+from tiersort.llm import ann, decontaminate, html_text, lines, mixing, pii, quality, repeats, simhash, urls
 from tiersort.llm.common import staged, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -27,6 +27,10 @@ def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
+def op3_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.digest(repeats.repeated(table(spark, sf_dir, "documents"), length=50))
+
+
 def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
@@ -51,6 +55,6 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).withColumnRenamed("id", "doc_id")
 
 
-QUERIES: dict[str, Query] = {"op1_ann": op1_ann, "op2_simhash": op2_simhash, "op4_url_filter": op4_url_filter, "op5_html_text": op5_html_text, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
+QUERIES: dict[str, Query] = {"op1_ann": op1_ann, "op2_simhash": op2_simhash, "op3_repeats": op3_repeats, "op4_url_filter": op4_url_filter, "op5_html_text": op5_html_text, "op6_pii": op6_pii, "op7_line_dedup": op7_line_dedup,
                              "op8_decontaminate": op8_decontaminate, "op9_mixing": op9_mixing, "op10_quality": op10_quality}
 ORACLES: dict[str, str] = {"op4_url_filter": urls.ORACLE, "op7_line_dedup": lines.ORACLE, "op9_mixing": mixing.ORACLE}
