@@ -45,7 +45,7 @@ from pyspark.sql import functions as F
 from tiersort.llm.common import staged
 
 GRAM = 24
-CHUNK = 4 << 20  # bytes of text in one vectorised step; positions fit 24 bits
+CHUNK = 1 << 20  # bytes of text in one vectorised step; positions fit 24 bits
 _U64 = np.uint64
 
 
@@ -274,7 +274,7 @@ def suffix_rows(text: np.ndarray) -> np.ndarray:
         key = key * 512 + padded[k:k + n]
     step = 6
     while True:
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         ranked = key[order]
         fresh = np.zeros(n, np.int64)
         fresh[1:] = np.cumsum(ranked[1:] != ranked[:-1])
@@ -342,46 +342,36 @@ def _snippets(texts: list[bytes], length: int) -> Iterator[tuple[np.ndarray, ...
         yield who + a, first - starts[who], n, place, h
 
 
-def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, hot: int = 20_000,
-             shard_bytes: int = 8 << 20, with_text: bool = False) -> DataFrame:
-    """Rows (id, n_bytes, spans, kept_sha256[, kept]) for every document row.
-
-    ``spans`` are the maximal removed byte runs (start, end); ``kept`` the
-    bytes that stay.
-    """
-    if length < GRAM + 1:
-        raise ValueError(f"length over {GRAM}")
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("binary"), F.lit(b"")).alias("t"))
-    known = rows.where("id is not null")
-    total = known.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    shards = max(1, -(-total // shard_bytes))  # of anchors, and homes of documents
-
+def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
+    """The functions of the four steps, for ``shards`` shards of anchors and homes of documents."""
     def announce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held_h, held_d, size = [], [], 0
+        held_h, held_d, names, size, docs = [], [], [], 0, 0
 
         def flush() -> Iterator[pa.RecordBatch]:
             h, d = np.concatenate(held_h), np.concatenate(held_d)
-            order = np.argsort(h, kind="stable")
+            order = np.argsort(h)
             h, d = h[order], d[order]
-            names, d = np.unique(d, return_inverse=True)
             fresh = np.concatenate([[True], (h[1:] != h[:-1]) | (d[1:] != d[:-1])])
             h, d = h[fresh], d[fresh]
             edge = np.searchsorted(_shard(h, shards), np.arange(shards + 1))
-            out = [(k, _pack(_steps(h[a:b]), d[a:b], _steps(names.view(_U64)))) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
+            every = _steps(np.concatenate(names).view(_U64))
+            out = [(k, _pack(_steps(h[a:b]), d[a:b], every)) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in out], pa.int32()), pa.array([x for _, x in out], pa.binary())], names=["shard", "blob"])
 
         for b in batches:
             ids = np.asarray(b.column(0), np.int64)
-            for at in range(0, b.num_rows, 2000):
-                texts = b.column(1).slice(at, 2000).to_pylist()
+            for at in range(0, b.num_rows, 500):
+                texts = b.column(1).slice(at, 500).to_pylist()
                 for who, _, _, _, h in _snippets(texts, length):
                     held_h.append(h)
-                    held_d.append(ids[at:at + 2000][who])
+                    held_d.append((who + docs).astype(np.int32))
+                names.append(ids[at:at + 500])
+                docs += len(texts)
                 size += sum(map(len, texts))
-                if size > 48 << 20:
+                if size > 24 << 20:
                     yield from flush()
-                    held_h, held_d, size = [], [], 0
+                    held_h, held_d, names, size, docs = [], [], [], 0, 0
         if held_h:
             yield from flush()
 
@@ -557,6 +547,23 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", le
             out.append((int(ids[i]), len(t), [{"a": a, "b": b} for a, b in spans], hashlib.sha256(kept).hexdigest(), *[kept] * with_text))
         return pd.DataFrame(out, columns=names)
 
+    return announce, meet, gather, settle, finish
+
+
+def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, hot: int = 20_000,
+             shard_bytes: int = 2 << 20, with_text: bool = False) -> DataFrame:
+    """Rows (id, n_bytes, spans, kept_sha256[, kept]) for every document row.
+
+    ``spans`` are the maximal removed byte runs (start, end); ``kept`` the
+    bytes that stay.
+    """
+    if length < GRAM + 1:
+        raise ValueError(f"length over {GRAM}")
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("binary"), F.lit(b"")).alias("t"))
+    known = rows.where("id is not null")
+    total = known.agg(F.sum(F.octet_length("t"))).first()[0] or 0
+    shards = max(1, -(-total // shard_bytes))  # of anchors, and homes of documents
+    announce, meet, gather, settle, finish = _steps_of(shards, length, hot, with_text)
     schema = "id long, n_bytes long, spans array<struct<a:long,b:long>>, kept_sha256 string" + ", kept binary" * with_text
     said = staged(known.mapInArrow(announce, "shard int, blob binary").groupBy("shard").applyInPandas(meet, "home int, blob binary"), "recurring")
     homes = _groups(known, shards)
