@@ -163,12 +163,12 @@ class RunLengthIndex:
         text[inside] = np.frombuffer(b"".join(snippets), np.uint8).astype(np.int64) + 2
         text[-1] = 0
         self.text, self.length, n = text, length, len(text)
-        order = suffix_rows(text)
-        bwt = text[order - 1]
+        order = suffix_rows(text).astype(np.int32)
+        bwt = text[order - 1].astype(np.int16)
         head = np.flatnonzero(np.concatenate([[True], bwt[1:] != bwt[:-1]]))
-        self.run_start, self.run_symbol = head, bwt[head]
+        self.run_start, self.run_symbol = head, bwt[head].astype(np.int64)
         ends = np.append(head[1:], n) - 1
-        self.first_sample, self.last_sample = order[head], order[ends]
+        self.first_sample, self.last_sample = order[head].astype(np.int64), order[ends].astype(np.int64)
         self.before = np.concatenate([[0], np.cumsum(np.bincount(bwt, minlength=258))])
         size = ends - head + 1
         by_symbol = np.argsort(self.run_symbol, kind="stable")  # runs of a symbol together, in order
@@ -369,7 +369,7 @@ def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
                 names.append(ids[at:at + 500])
                 docs += len(texts)
                 size += sum(map(len, texts))
-                if size > 24 << 20:
+                if size > 16 << 20:
                     yield from flush()
                     held_h, held_d, names, size, docs = [], [], [], 0, 0
         if held_h:
@@ -551,7 +551,7 @@ def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
 
 
 def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, hot: int = 20_000,
-             shard_bytes: int = 2 << 20, with_text: bool = False) -> DataFrame:
+             shard_bytes: int = 1 << 20, with_text: bool = False) -> DataFrame:
     """Rows (id, n_bytes, spans, kept_sha256[, kept]) for every document row.
 
     ``spans`` are the maximal removed byte runs (start, end); ``kept`` the
