@@ -163,7 +163,8 @@ class RunLengthIndex:
         text[inside] = np.frombuffer(b"".join(snippets), np.uint8).astype(np.int64) + 2
         text[-1] = 0
         self.text, self.length, n = text, length, len(text)
-        order = suffix_rows(text).astype(np.int32)
+        order, near, depth = suffix_rows(text, length)
+        order = order.astype(np.int32)
         bwt = text[order - 1].astype(np.int16)
         head = np.flatnonzero(np.concatenate([[True], bwt[1:] != bwt[:-1]]))
         self.run_start, self.run_symbol = head, bwt[head].astype(np.int64)
@@ -171,6 +172,7 @@ class RunLengthIndex:
         self.first_sample, self.last_sample = order[head].astype(np.int64), order[ends].astype(np.int64)
         self.before = np.concatenate([[0], np.cumsum(np.bincount(bwt, minlength=258))])
         size = ends - head + 1
+        self.run_of = np.repeat(np.arange(len(head), dtype=np.int32), size)  # directory of rows
         by_symbol = np.argsort(self.run_symbol, kind="stable")  # runs of a symbol together, in order
         inner = np.cumsum(size[by_symbol]) - size[by_symbol]
         self.run_rank = np.empty(len(head), np.int64)  # symbols like the run's before it
@@ -185,20 +187,17 @@ class RunLengthIndex:
         alike = np.zeros(n, bool)
         full = room[order] >= length
         pair = np.flatnonzero(full[1:] & full[:-1]) + 1
-        same = np.ones(len(pair), bool)
-        for k in range(length):
-            live = np.flatnonzero(same)
-            if not len(live):
-                break
-            same[live] = text[order[pair[live]] + k] == text[order[pair[live] - 1] + k]
-        alike[pair] = same
+        if depth:  # ranks by ``depth`` symbols: equal at a place and a little further on
+            one, two, on = order[pair].astype(np.int64), order[pair - 1].astype(np.int64), length - depth
+            alike[pair] = (near[one] == near[two]) & (near[one + on] == near[two + on])
         self.class_start = np.flatnonzero(~alike)
+        self.class_of = (np.cumsum(~alike) - 1).astype(np.int32)
         owner = np.searchsorted(self.start, order, side="right") - 1
         self.class_doc = np.minimum.reduceat(np.append(docs, 0)[np.minimum(owner, len(docs))], self.class_start) if n else docs
 
     def left(self, row: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Symbol in front of each row, and the row that starts there."""
-        run = np.searchsorted(self.run_start, row, side="right") - 1
+        run = self.run_of[row]
         c = self.run_symbol[run]
         return c, self.before[c] + self.run_rank[run] + row - self.run_start[run]
 
@@ -228,7 +227,7 @@ class RunLengthIndex:
             live = np.flatnonzero(sizes >= step)
             at = end[live] - step
             c, r = flat[at], row[live]
-            run = np.searchsorted(self.run_start, r, side="right") - 1
+            run = self.run_of[r].astype(np.int64)
             other = np.flatnonzero(self.run_symbol[run] != c)
             if len(other):  # no match to extend: the nearest run of the symbol above or below goes on, whichever matches longer
                 q, want = live[other], c[other]
@@ -262,26 +261,32 @@ class RunLengthIndex:
 
     def smallest(self, rows: np.ndarray) -> np.ndarray:
         """Smallest document of the class of each row."""
-        return self.class_doc[np.searchsorted(self.class_start, rows, side="right") - 1]
+        return self.class_doc[self.class_of[rows]]
 
 
-def suffix_rows(text: np.ndarray) -> np.ndarray:
-    """Suffix positions in order, by doubling from packs of six symbols."""
+def suffix_rows(text: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray | None, int]:
+    """Suffix positions in order, by doubling from packs of six symbols.
+
+    Also ranks by the largest compared number of symbols up to ``length``, and
+    that number: 0 if all suffixes differ before it reaches half of ``length``.
+    """
     n = len(text)
     padded = np.concatenate([text, np.zeros(6, np.int64)])
     key = np.zeros(n, np.int64)
     for k in range(6):
         key = key * 512 + padded[k:k + n]
-    step = 6
+    step, near, depth = 6, None, 0
     while True:
         order = np.argsort(key)
         ranked = key[order]
         fresh = np.zeros(n, np.int64)
         fresh[1:] = np.cumsum(ranked[1:] != ranked[:-1])
-        if n == 0 or fresh[-1] == n - 1:
-            return order
         rank = np.empty(n, np.int64)
         rank[order] = fresh
+        if step <= length < 2 * step:
+            near, depth = rank, step
+        if n == 0 or fresh[-1] == n - 1:
+            return order, near, depth
         after = np.zeros(n, np.int64)
         after[:max(0, n - step)] = rank[step:] + 1
         key = rank * (n + 1) + after
@@ -342,7 +347,7 @@ def _snippets(texts: list[bytes], length: int) -> Iterator[tuple[np.ndarray, ...
         yield who + a, first - starts[who], n, place, h
 
 
-def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
+def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -> tuple:
     """The functions of the four steps, for ``shards`` shards of anchors and homes of documents."""
     def announce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held_h, held_d, names, size, docs = [], [], [], 0, 0
@@ -392,10 +397,10 @@ def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
         per = np.repeat(count, count)
         keep = per > 1
         h, d, very = h[keep], d[keep], (per[keep] > hot).astype(_U64)
-        home = _home(d, shards)
+        home = _home(d, homes)
         order = np.lexsort((h, d, home))
         h, d, very, home = h[order], d[order], very[order], home[order]
-        edge = np.searchsorted(home, np.arange(shards + 1))
+        edge = np.searchsorted(home, np.arange(homes + 1))
         out = []
         for k, (a, b) in enumerate(zip(edge, edge[1:])):
             if b > a:
@@ -551,7 +556,7 @@ def _steps_of(shards: int, length: int, hot: int, with_text: bool) -> tuple:
 
 
 def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, hot: int = 20_000,
-             shard_bytes: int = 1 << 20, with_text: bool = False) -> DataFrame:
+             shard_bytes: int = 3 << 19, with_text: bool = False) -> DataFrame:
     """Rows (id, n_bytes, spans, kept_sha256[, kept]) for every document row.
 
     ``spans`` are the maximal removed byte runs (start, end); ``kept`` the
@@ -562,14 +567,15 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", le
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("binary"), F.lit(b"")).alias("t"))
     known = rows.where("id is not null")
     total = known.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    shards = max(1, -(-total // shard_bytes))  # of anchors, and homes of documents
-    announce, meet, gather, settle, finish = _steps_of(shards, length, hot, with_text)
+    shards = max(1, -(-total // shard_bytes))  # of anchors
+    homes = max(1, -(-total // (3 * shard_bytes)))  # of documents
+    announce, meet, gather, settle, finish = _steps_of(shards, homes, length, hot, with_text)
     schema = "id long, n_bytes long, spans array<struct<a:long,b:long>>, kept_sha256 string" + ", kept binary" * with_text
     said = staged(known.mapInArrow(announce, "shard int, blob binary").groupBy("shard").applyInPandas(meet, "home int, blob binary"), "recurring")
-    homes = _groups(known, shards)
-    dealt = staged(homes.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(gather, "shard int, blob binary, bytes binary")
+    packed = _groups(known, homes)
+    dealt = staged(packed.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(gather, "shard int, blob binary, bytes binary")
                    .groupBy("shard").applyInPandas(settle, "home int, blob binary"), "marks")
-    done = homes.groupBy("home").cogroup(dealt.groupBy("home")).applyInPandas(finish, schema)
+    done = packed.groupBy("home").cogroup(dealt.groupBy("home")).applyInPandas(finish, schema)
     alone = rows.where("id is null").select("id", F.octet_length("t").cast("long").alias("n_bytes"), F.array().cast("array<struct<a:bigint,b:bigint>>").alias("spans"),
                                             F.sha2("t", 256).alias("kept_sha256"), *[F.col("t").alias("kept")] * with_text)
     return done.unionByName(alone)
