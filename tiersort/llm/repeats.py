@@ -31,6 +31,7 @@ apart by 112 bits of hashes.
 
 from __future__ import annotations
 
+import ctypes
 import hashlib
 from collections.abc import Iterator
 
@@ -145,6 +146,15 @@ def _home(ids: np.ndarray, homes: int) -> np.ndarray:
     return ((x >> _U64(32)) * _U64(homes) >> _U64(32)).astype(np.int64)
 
 
+def _give_back() -> None:
+    """Returns freed memory to the system, so that a reused worker doesn't keep what its largest group took."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 class RunLengthIndex:
     """Index over snippets given in ascending order of their smallest document.
 
@@ -377,6 +387,7 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
                 if size > 16 << 20:
                     yield from flush()
                     held_h, held_d, names, size, docs = [], [], [], 0, 0
+                    _give_back()
         if held_h:
             yield from flush()
 
@@ -406,6 +417,7 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
             if b > a:
                 names, count = np.unique(d[a:b], return_counts=True)
                 out.append((k, _pack(_steps(names.view(_U64)), count, h[a:b], very[a:b])))
+        _give_back()
         return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int32"})
 
     def gather(key: tuple, group: pd.DataFrame, blobs: pd.DataFrame) -> pd.DataFrame:
@@ -458,6 +470,7 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
                 pieces = [snippet[i] for i in own]
                 out.append((k, _pack(np.array([key[0]]), np.array([place[i] for i in own]), np.array(list(map(len, pieces))), np.array([hashes[i] for i in own], _U64),
                                      _steps(inv), dinv, first_[a:b], _steps(docs_), ids[docs_].view(_U64)), press.compress(b"".join(pieces))))
+        _give_back()
         return pd.DataFrame(out, columns=["shard", "blob", "bytes"]).astype({"shard": "int32"})
 
     def settle(key: tuple, blobs: pd.DataFrame) -> pd.DataFrame:
@@ -524,6 +537,7 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
             home, who, first = home[head], who[head], first[head]
             edge = np.flatnonzero(np.concatenate([[True], home[1:] != home[:-1], [True]]))
             out = [(home[a], _pack(_steps(who[a:b]), first[a:b], (last - first)[a:b])) for a, b in zip(edge, edge[1:])]
+        _give_back()
         return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int32"})
 
     def finish(key: tuple, group: pd.DataFrame, blobs: pd.DataFrame) -> pd.DataFrame:
@@ -571,10 +585,16 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", le
     homes = max(1, -(-total // (3 * shard_bytes)))  # of documents
     announce, meet, gather, settle, finish = _steps_of(shards, homes, length, hot, with_text)
     schema = "id long, n_bytes long, spans array<struct<a:long,b:long>>, kept_sha256 string" + ", kept binary" * with_text
-    said = staged(known.mapInArrow(announce, "shard int, blob binary").groupBy("shard").applyInPandas(meet, "home int, blob binary"), "recurring")
-    packed = _groups(known, homes)
-    dealt = staged(packed.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(gather, "shard int, blob binary, bytes binary")
-                   .groupBy("shard").applyInPandas(settle, "home int, blob binary"), "marks")
+    session, batch = docs.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    usual = session.conf.get(batch)
+    session.conf.set(batch, "1000")  # long texts: smaller batches on both sides of the pipe
+    try:
+        said = staged(known.mapInArrow(announce, "shard int, blob binary").groupBy("shard").applyInPandas(meet, "home int, blob binary"), "recurring")
+        packed = _groups(known, homes)
+        dealt = staged(packed.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(gather, "shard int, blob binary, bytes binary")
+                       .groupBy("shard").applyInPandas(settle, "home int, blob binary"), "marks")
+    finally:
+        session.conf.set(batch, usual)
     done = packed.groupBy("home").cogroup(dealt.groupBy("home")).applyInPandas(finish, schema)
     alone = rows.where("id is null").select("id", F.octet_length("t").cast("long").alias("n_bytes"), F.array().cast("array<struct<a:bigint,b:bigint>>").alias("spans"),
                                             F.sha2("t", 256).alias("kept_sha256"), *[F.col("t").alias("kept")] * with_text)
