@@ -6,7 +6,8 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 PRIME = 2147483647
-FACTOR = 48271
+FACTOR = 1103515245  # large, so that small numbers are spread too; products stay below 2^62
+SMALL_FACTOR = 48271
 
 
 def h(x: Column) -> Column:
@@ -20,7 +21,7 @@ def h_of(x: int) -> int:
 
 def mix_pair(pe: Column, grp: Column, seed: int) -> Column:
     """Order of PEs in a group's permutation (ties by pe)."""
-    return (pe.cast("long") * 7919 + grp.cast("long") * 104729 + seed) * FACTOR % PRIME
+    return (pe.cast("long") * 7919 + grp.cast("long") * 104729 + seed) * SMALL_FACTOR % PRIME
 
 
 def random64(x: Column, seed: int = 0) -> Column:

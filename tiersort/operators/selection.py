@@ -57,10 +57,10 @@ def select_splits(runs: DataFrame, key: KeySpec, ranks: dict[int, list[int]], pe
         if not ask:
             break
         rounds += 1
-        wanted = spark.createDataFrame(list(ask), "g int, e int, x long")
+        wanted = spark.createDataFrame(list(ask), "_ms_wg int, _ms_we int, _ms_wx long")
         # as many keys as pivots were asked for
-        found = runs.join(F.broadcast(wanted), (F.col(grp) == F.col("g")) & (F.col(pe) == F.col("e")) & (F.col(pos) == F.col("x")))
-        ordered = found.select("g", "e", "x", key.struct().alias("s"), *key.names).orderBy("g", *key.order()).select("g", "e", "x", "s").collect()
+        found = runs.join(F.broadcast(wanted), (F.col(grp) == F.col("_ms_wg")) & (F.col(pe) == F.col("_ms_we")) & (F.col(pos) == F.col("_ms_wx")))
+        ordered = found.orderBy("_ms_wg", *key.order()).select(F.col("_ms_wg").alias("g"), F.col("_ms_we").alias("e"), F.col("_ms_wx").alias("x"), key.struct().alias("s")).collect()
         pivots: dict[int, list] = {}
         for r in ordered:
             pivots.setdefault(r.g, []).append(r)

@@ -141,9 +141,9 @@ def splitter_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by
         ranked = sort_sample(sample, key, "_ms_grp", sample_sort)
         splitters = choose_splitters(ranked, key, "_ms_grp", buckets).persist()
         report.kept.append(splitters)
-        marked = classify(rows, splitters, key, broadcast=len(spans) * buckets <= MOST_BROADCAST)
+        marked = classify(rows, splitters, key, out="_ms_bucket", broadcast=len(spans) * buckets <= MOST_BROADCAST)
         counts: dict[int, dict[int, int]] = {}
-        for row in marked.groupBy("_ms_grp", "bucket").count().collect():  # groups x buckets numbers, whatever n
+        for row in marked.groupBy("_ms_grp", "_ms_bucket").count().collect():  # groups x buckets numbers, whatever n
             counts.setdefault(row[0], {})[row[1]] = row[2]
         plan, part_of, limits = {}, [], []
         for g, (base, q) in spans.items():
@@ -152,8 +152,8 @@ def splitter_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by
             limit, parts = pack_wide(df.sparkSession, sizes, r) if packing == "wide" else pack(sizes, r, packing)
             limits.append(limit * r / max(1, sum(sizes)))
             part_of.append((g, [plan[g][x][0] for x in parts]))
-        table = df.sparkSession.createDataFrame(part_of, "g int, dest array<int>")
-        marked = marked.join(F.broadcast(table), F.col("_ms_grp") == F.col("g")).withColumn("_ms_dest", F.element_at("dest", F.col("bucket") + 1)).drop("g", "dest", "bucket")  # as many numbers as buckets
+        table = df.sparkSession.createDataFrame(part_of, "_ms_tg int, _ms_td array<int>")
+        marked = marked.join(F.broadcast(table), F.col("_ms_grp") == F.col("_ms_tg")).withColumn("_ms_dest", F.element_at("_ms_td", F.col("_ms_bucket") + 1)).drop("_ms_tg", "_ms_td", "_ms_bucket")  # as many numbers as buckets
         marked = marked.withColumn("_ms_in", F.row_number().over(Window.partitionBy("_ms_pe", "_ms_dest").orderBy(*key.order())).cast("long") - 1)
         rows = _deal(marked, plan, p, delivery, capacity, seed, report, level=level, sample=m, limit=max(limits), measure=measure, algorithm="splitter")
         spans = {base: (base, q) for parts in plan.values() for base, q in parts}
@@ -194,11 +194,11 @@ def merge_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by: s
         table = []
         for (g, e) in lengths:
             table.append((e, [0, *(cuts[g, x][e] for x in wanted[g])], [base for base, _ in plan[g]]))
-        cut = df.sparkSession.createDataFrame(table, "e int, at array<long>, dest array<int>")  # p x r numbers
+        cut = df.sparkSession.createDataFrame(table, "_ms_te int, _ms_ta array<long>, _ms_td array<int>")  # p x r numbers
         few = p * r <= MOST_SLICES
-        split = rows.join(F.broadcast(cut) if few else cut, F.col("_ms_pe") == F.col("e"))
-        part = F.size(F.filter("at", lambda x: x <= F.col("_ms_pos")))
-        split = split.withColumn("_ms_dest", F.element_at("dest", part)).withColumn("_ms_in", F.col("_ms_pos") - F.element_at("at", part)).drop("e", "at", "dest", "_ms_pos")
+        split = rows.join(F.broadcast(cut) if few else cut, F.col("_ms_pe") == F.col("_ms_te"))
+        part = F.size(F.filter("_ms_ta", lambda x: x <= F.col("_ms_pos")))
+        split = split.withColumn("_ms_dest", F.element_at("_ms_td", part)).withColumn("_ms_in", F.col("_ms_pos") - F.element_at("_ms_ta", part)).drop("_ms_te", "_ms_ta", "_ms_td", "_ms_pos")
         rows = _deal(split, plan, p, delivery, capacity, seed, report, level=level, rounds=stats.get("rounds", 0), measure=measure, algorithm="merge")
         if merge == "arrow":
             rows = merge_partitions(rows, key, fan_in).drop("_ms_src")

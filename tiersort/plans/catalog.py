@@ -169,7 +169,7 @@ def q22_grid_rect(spark, folder):
 
 
 _SAMPLE = """s as (select *, row_number() over (order by o_totalprice, o_orderkey) as rank, count(*) over () as m from
- (select o_orderkey, o_totalprice from orders order by (o_orderkey % 2147483647 + 1) * 48271 % 2147483647, o_orderkey limit 256)),
+ (select o_orderkey, o_totalprice from orders order by (o_orderkey % 2147483647 + 1) * 1103515245 % 2147483647, o_orderkey limit 256)),
 sp as (select i, o_totalprice as price, o_orderkey as ok from s, (select unnest(generate_series(1, 31)) as i) where rank = (i * m + 31) // 32),
 b as (select o.o_orderkey, count(sp.i)::int as bucket from orders o left join sp on (o.o_totalprice > sp.price or (o.o_totalprice = sp.price and o.o_orderkey > sp.ok)) group by o.o_orderkey)"""
 

@@ -20,10 +20,10 @@ def merge_runs(df: DataFrame, key: KeySpec, p: int, run: str = "run") -> SortedL
     total = sum(lengths.values())
     ranks = [total * x // p for x in range(1, p)]
     cuts = select_splits(rows, key, {0: ranks}, lengths=lengths)
-    table = df.sparkSession.createDataFrame([(e, [0, *(cuts[0, k][e] for k in ranks)]) for _, e in lengths], "e int, at array<long>")
-    split = rows.join(F.broadcast(table), F.col("_ms_pe") == F.col("e"))  # runs x p numbers
-    part = F.size(F.filter("at", lambda x: x <= F.col("_ms_pos")))
-    split = split.withColumn("_ms_dest", (part - 1).cast("int")).withColumn("_ms_in", F.col("_ms_pos") - F.element_at("at", part)).drop("e", "at", "_ms_pos")
+    table = df.sparkSession.createDataFrame([(e, [0, *(cuts[0, k][e] for k in ranks)]) for _, e in lengths], "_ms_te int, _ms_ta array<long>")
+    split = rows.join(F.broadcast(table), F.col("_ms_pe") == F.col("_ms_te"))  # runs x p numbers
+    part = F.size(F.filter("_ms_ta", lambda x: x <= F.col("_ms_pos")))
+    split = split.withColumn("_ms_dest", (part - 1).cast("int")).withColumn("_ms_in", F.col("_ms_pos") - F.element_at("_ms_ta", part)).drop("_ms_te", "_ms_ta", "_ms_pos")
     pieces = split.groupBy(F.col("_ms_pe").alias("pe"), F.col("_ms_dest").alias("grp")).agg(F.count("*").alias("size")).select("pe", "grp", "size", F.col("grp").alias("base"), F.lit(1).alias("q"))
     moved = ship(split, deliver(pieces, "prefix"), p)
     return SortedLayout(moved.drop("_ms_grp", "_ms_src").sortWithinPartitions(*key.order()), key, p)
