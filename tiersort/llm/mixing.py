@@ -36,7 +36,7 @@ NEWTON_STEPS = 64
 def place(doc_id: Column) -> Column:
     """Position in a fixed pseudo-random order; SQL can repeat it."""
     low = F.pmod(F.coalesce(doc_id.cast("long"), F.lit(0).cast("long")), F.lit(2147483647).cast("long"))
-    return F.pmod((low + 1) * 48271, F.lit(2147483647).cast("long"))
+    return F.pmod((low + 1) * 1103515245, F.lit(2147483647).cast("long"))
 
 
 def targets(sources: DataFrame, weights: tuple[int, ...] = (5, 2, 1), most: int = MOST_TIMES) -> DataFrame:
@@ -139,7 +139,7 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text_col: str = "text", source_
 
 ORACLE = r"""
 with d as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size,
-                  ((doc_id % 2147483647 + 1) * 48271) % 2147483647 as place from documents),
+                  ((doc_id % 2147483647 + 1) * 1103515245) % 2147483647 as place from documents),
 s as (select source, sum(size)::bigint as source_size from d group by source),
 w as (select *, [5, 2, 1][((row_number() over (order by source asc nulls last) - 1) % 3 + 1)::int] as w, 3 * source_size as bound from s),
 f as (select *, sum(source_size) over () as total,
