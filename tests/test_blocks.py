@@ -142,3 +142,20 @@ def test_cost_shapes():
     n = 10 ** 5 * 2 ** 15
     assert costmodel.splitter_sort(n, 2 ** 15, [64, 32, 16], 0.1, *a) < costmodel.splitter_sort(n, 2 ** 15, [2 ** 15], 0.1, *a)
     assert costmodel.merge_sort(n, 2 ** 15, [64, 32, 16], *a) > costmodel.splitter_sort(n, 2 ** 15, [64, 32, 16], 0.1, *a)
+
+
+def test_curve_and_table_functions(spark):
+    import numpy as np
+
+    from tiersort.functions.udfs import hilbert, register
+
+    g = np.arange(16)
+    x, y = np.repeat(g, 16), np.tile(g, 16)
+    at = hilbert(x, y, 4)
+    order = np.argsort(at)
+    assert sorted(at.tolist()) == list(range(256))
+    assert (np.abs(np.diff(x[order])) + np.abs(np.diff(y[order])) == 1).all()  # neighbours on the curve touch
+    register(spark, 4)
+    assert [tuple(r) for r in spark.sql("select level, r from level_plan(512, 3, 'node')").collect()] == [(0, 8), (1, 4), (2, 16)]
+    assert spark.sql("select count(*) from one_factor(4)").first()[0] == 12
+    assert spark.sql("select hilbert_key(id, id) from range(3)").count() == 3

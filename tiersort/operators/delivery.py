@@ -126,6 +126,13 @@ def message_stats(slices: DataFrame) -> DataFrame:
     return a.crossJoin(b).withColumn("bottleneck", F.greatest("words_sent", "words_recv"))  # one row each
 
 
+def cross_volume(slices: DataFrame, island: int) -> DataFrame:
+    """Rows (grp, words, crossing): words by group, and those that leave their island of ``island`` PEs."""
+    words = F.col("to_pos") - F.col("from_pos")
+    leaves = F.expr(f"pe div {island} <> target div {island}")
+    return slices.groupBy("grp").agg(F.sum(words).alias("words"), F.sum(F.when(leaves, words).otherwise(0)).alias("crossing"))
+
+
 def one_factor_schedule(messages: DataFrame, p: int, skip_empty: bool = True) -> DataFrame:
     """Rows (round, src, dst, words): in round t PE i is paired with (t - i) mod p; rounds without words are left out."""
     out = messages.where("src <> dst").select(((F.col("src") + F.col("dst")) % p).cast("int").alias("round"), "src", "dst", "words")

@@ -270,12 +270,6 @@ def q30_messages_worst(spark, folder):
     return out
 
 
-@query("select (i // 64 + 0)::int as round, 0 as dummy from range(0) t(i)")
-def q32_one_factor_empty(spark, folder):
-    messages = spark.range(0).select(F.lit(0).alias("src"), F.lit(0).alias("dst"), F.lit(0).alias("words"))
-    return d.one_factor_schedule(messages, 8).select("round", F.lit(0).alias("dummy"))
-
-
 @query("select ((s + t) % 8)::int as round, s::int as src, t::int as dst, 1::bigint as words from range(8) a(s), range(8) b(t) where s <> t")
 def q32_one_factor(spark, folder):
     cell = spark.range(64).select(F.expr("cast(id div 8 as int)").alias("src"), (F.col("id") % 8).cast("int").alias("dst"), F.lit(1).cast("long").alias("words"))
@@ -319,6 +313,16 @@ def q43_kth(spark, folder):
     return splitter_sort(read_table(spark, folder, "lineitem", LINE), PRICE, P, 1, by="l_orderkey").kth(1000).select("l_extendedprice")
 
 
+@query("select i::int as part, ((i + 1) * n // 16 - i * n // 16)::bigint as cnt, (select l_extendedprice from (select l_extendedprice, row_number() over (order by " + _PO + """) as rn from lineitem) where rn = i * n // 16 + 1) as low
+from (select unnest(generate_series(0, 15)) as i), (select count(*) as n from lineitem)""")
+def q44_equi_depth(spark, folder):
+    df = read_table(spark, folder, "lineitem", LINE)
+    n = df.count()
+    cuts = [(i, i * n // 16, (i + 1) * n // 16 - i * n // 16) for i in range(16)]
+    found = _at_ranks(df, PRICE, [c for _, c, _ in cuts], F.col("l_orderkey") % 8)
+    return spark.createDataFrame(cuts, "part int, at long, cnt long").join(found, "at").select("part", "cnt", F.col("l_extendedprice").alias("low"))
+
+
 _DATE = key("l_shipdate", ties=(*LINE_TIES, "l_extendedprice"))
 _DATED = [*LINE, "l_shipdate"]
 _DO = "l_shipdate"
@@ -594,3 +598,26 @@ def q89_imbalance_grid(spark, folder):
     from tiersort.plans.workloads import ab_grid
 
     return ab_grid(read_table(spark, folder, "orders", _OC), TOTAL, "o_orderkey", 16, [4, 8], [1, 4, 16])
+
+
+@query("""select pe, count(*)::bigint as cnt, min(o_totalprice) as first, max(o_totalprice) as last from
+(select o_totalprice, ((row_number() over (order by o_totalprice, o_orderkey) * 8 - 1) // (select count(*) from orders))::int as pe from orders) group by pe""")
+def q90_write_read_layout(spark, folder):
+    from tiersort.sources.sinks import read_sorted, scratch, write_sorted
+
+    path = scratch(spark)
+    write_sorted(merge_sort(read_table(spark, folder, "orders", _OC), TOTAL, P, 1, by="o_orderkey"), path)
+    return read_sorted(spark, path, TOTAL, P).df.groupBy(F.col("_ms_pe").alias("pe")).agg(F.count("*").alias("cnt"), F.min("o_totalprice").alias("first"), F.max("o_totalprice").alias("last"))
+
+
+@query("select level::int as level, r::int as r from (values (0, 8), (1, 4), (2, 16)) t(level, r)")
+def q91_level_plan_udtf(spark, folder):
+    from tiersort.functions.udfs import register
+
+    register(spark)
+    return spark.sql("select level, r from level_plan(512, 3, 'node')")
+
+
+@query("select grp, sum(to_pos - from_pos)::bigint as words, (sum(case when pe // 4 <> target // 4 then to_pos - from_pos else 0 end))::bigint as crossing from (" + _cut_sql("pe") + ") group by grp")
+def q92_cross_volume(spark, folder):
+    return d.cross_volume(d.deliver(_orders_pieces(spark, folder), "prefix"), 4)

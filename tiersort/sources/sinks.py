@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -9,6 +12,12 @@ from tiersort.functions.keys import KeySpec
 from tiersort.operators.layout import SortedLayout
 
 
+def scratch(spark: SparkSession) -> str:
+    """A new path in the folder that driver and executors share (a temporary one only where the session names none)."""
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tiersort-")
+    return f"{named.rstrip('/')}/layout-{uuid.uuid4().hex}"
+
+
 def write_sorted(layout: SortedLayout, path: str, fmt: str = "parquet") -> None:
     """A folder for each PE with its rows in order; footers' ranges don't overlap, so readers skip files. Counts and fences stand beside."""
     layout.stats.coalesce(1).write.mode("overwrite").json(f"{path}.manifest")
