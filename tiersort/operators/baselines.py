@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from tiersort.functions.keys import KeySpec
 from tiersort.operators.layout import SortedLayout
-from tiersort.operators.sort import merge_sort, splitter_sort
+from tiersort.operators.sort import Report, merge_sort, splitter_sort
 from tiersort.plans.topology import factors
 
 
@@ -42,6 +42,11 @@ def parallel_mergesort(df: DataFrame, key: KeySpec, p: int, **options) -> Sorted
 
 
 def spark_sort(df: DataFrame, key: KeySpec, p: int) -> SortedLayout:
-    """Spark's range partitioning and local sort."""
-    done = df.repartitionByRange(p, *key.order()).withColumn("_ms_pe", F.spark_partition_id()).sortWithinPartitions(*key.order())
-    return SortedLayout(done, key, p)
+    """Spark's range partitioning and local sort.
+
+    Its splitters are sampled anew in every job and its partition numbers are
+    no function of the rows, so the placed rows are cached: for comparisons,
+    not for plans that must survive lost executors.
+    """
+    placed = df.repartitionByRange(p, *key.order()).withColumn("_ms_pe", F.spark_partition_id()).persist()
+    return SortedLayout(placed.sortWithinPartitions(*key.order()), key, p, Report(kept=[placed]))
