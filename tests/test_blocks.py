@@ -159,3 +159,13 @@ def test_curve_and_table_functions(spark):
     assert [tuple(r) for r in spark.sql("select level, r from level_plan(512, 3, 'node')").collect()] == [(0, 8), (1, 4), (2, 16)]
     assert spark.sql("select count(*) from one_factor(4)").first()[0] == 12
     assert spark.sql("select hilbert_key(id, id) from range(3)").count() == 3
+
+
+def test_arrow_classification_agrees(spark):
+    from tiersort.operators.splitters import classify_arrow
+
+    rows = spark.range(300).select((F.col("id") % 13).alias("x"), F.col("id"), (F.col("id") % 2).cast("int").alias("_ms_grp"))
+    table = spark.createDataFrame([(0, [(2, 5), (2, 80), (2, 90), (7, 0), (12, 400)]), (1, [(5, 5)])], "grp int, splitters array<struct<k0:bigint,k1:bigint>>")
+    by = key("x", ties=("id",))
+    a, b = ({r.id: r.bucket for r in f(rows, table, by).collect()} for f in (classify, classify_arrow))
+    assert a == b

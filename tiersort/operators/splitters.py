@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -131,5 +133,47 @@ def classify(df: DataFrame, splitters: DataFrame, key: KeySpec, grp: str = "_ms_
     return joined.withColumn(out, F.coalesce(bucket, F.lit(0)).cast("int")).drop("_ms_sg", "_ms_tree", "_ms_depth", "_ms_n")
 
 
+def classify_arrow(df: DataFrame, splitters: DataFrame, key: KeySpec, grp: str = "_ms_grp", out: str = "bucket") -> DataFrame:
+    """As ``classify``, by binary search over Arrow batches; for ascending numeric keys without nulls.
+
+    Rows equal to splitters in one column go on with the next column, all
+    rows of such a run at once. The splitters (b*r for each group) are on the
+    driver; a scalar function keeps the rows' partitioning.
+    """
+    names = key.names
+    held = {r.grp: np.array([tuple(s) for s in r.splitters]).reshape(len(r.splitters), len(names)).T for r in
+            splitters.select("grp", "splitters").collect()} if _exact(df, names) else None
+    if held is None or not all(asc for _, asc, _ in key._all):
+        return classify(df, splitters, key, grp, out=out)
+    sent = df.sparkSession.sparkContext.broadcast(held)
+
+    def search(cols: list, rows, table, low: int, high: int, depth: int, result) -> None:
+        part = table[depth][low:high]
+        v = cols[depth][rows]
+        a, b = np.searchsorted(part, v, "left"), np.searchsorted(part, v, "right")
+        result[rows] = low + a
+        if depth + 1 < len(cols):
+            tied = np.flatnonzero(b > a)
+            for x in np.unique(a[tied]):
+                mine = tied[a[tied] == x]
+                search(cols, rows[mine], table, low + int(x), low + int(b[mine[0]]), depth + 1, result)
+
+    def run(group: pd.Series, *columns: pd.Series) -> pd.Series:
+        cols, g = [c.to_numpy() for c in columns], group.to_numpy()
+        result = np.zeros(len(g), np.int64)
+        for x in np.unique(g):
+            if x in sent.value:
+                search(cols, np.flatnonzero(g == x), sent.value[x], 0, sent.value[x].shape[1], 0, result)
+        return pd.Series(result)
+
+    return df.withColumn(out, F.pandas_udf(run, "int")(F.col(grp), *names))
+
+
+def _exact(df: DataFrame, names: list[str]) -> bool:
+    """Whether all columns fit doubles or are integers, so that one array holds a splitter's columns without loss."""
+    kinds = {df.schema[c].dataType.simpleString() for c in names}
+    return kinds <= {"int", "bigint", "smallint", "tinyint"} or kinds <= {"double", "float", "int", "smallint", "tinyint"}
+
+
 def bucket_sizes(df: DataFrame, grp: str = "_ms_grp", bucket: str = "bucket") -> DataFrame:
     return df.groupBy(F.col(grp).alias("grp"), F.col(bucket).alias("bucket")).agg(F.count("*").alias("size"))
