@@ -72,3 +72,23 @@ def test_near_classes_catch_edited_copies(spark):
     got = {r.id: r.component for r in simhash.near_classes(df).collect()}
     assert all(got[i] == i // 4 * 4 for i in range(n))
     assert got[n] == got[n + 1] == n  # null and empty texts are copies of each other
+
+
+def test_near_classes_are_those_of_all_pairs(spark):
+    rng = random.Random(9)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(6))
+    texts = []
+    for _ in range(25):
+        base = [word() for _ in range(300)]
+        for changed in (0, 6, 7, 9, 12):  # similarities of about 0.82, 0.79, 0.73 and 0.66 to the first
+            w = list(base)
+            for at in rng.sample(range(0, 300, 6), changed):
+                w[at] = word()
+            texts.append(w)
+            if changed == 12:  # an edited copy of a text that is unlike the first one
+                texts.append([*w[:-1], word()])
+    sets = [{tuple(w[i:i + 5]) for i in range(len(w) - 4)} for w in texts]
+    edges = [(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j])]
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+    got = {r.id: r.component for r in simhash.near_classes(df).collect()}
+    assert got == plain_components(range(len(texts)), edges)

@@ -126,10 +126,12 @@ def hex_of(fp: Column) -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def band_keys(docs: DataFrame, id_col: str, text_col: str, shingle: int, bands: int, rows: int, seed: int = 11) -> DataFrame:
-    """Rows (id, fp, keys): the fingerprint and one 64-bit key for each band of minima.
+def sketches(docs: DataFrame, text_col: str, shingle: int, bands: int, rows: int, seed: int = 11) -> DataFrame:
+    """Rows (h1, h2, fp, keys, shingles) for every row of ``docs``.
 
-    Texts without a word have no keys.
+    ``h1`` and ``h2`` (96 bits) name the text, ``keys`` has a 64-bit key for
+    each band of minima, ``shingles`` the distinct hashes of its shingles.
+    Texts without a word have neither.
     """
     rng = np.random.default_rng(seed)
     mul = rng.integers(0, 1 << 32, (bands * rows, 1), np.uint64).astype(np.uint32) | np.uint32(1)
@@ -144,40 +146,77 @@ def band_keys(docs: DataFrame, id_col: str, text_col: str, shingle: int, bands:
         return [xxhash.xxh64_intdigest(low[i * rows:(i + 1) * rows].tobytes(), i) - (1 << 63) for i in range(bands)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        longs = pa.list_(pa.int64())
         for b in batches:
-            out, fps = [], []
-            for t in b.column(1):
+            out, fps, held = [], [], []
+            for t in b.column(2):
                 h = shingle_hashes(t.as_py(), shingle)
                 fps.append(_signed(fingerprint(h)))
-                out.append(keys(h) if len(h) else [])
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.int64()), pa.array(out, pa.list_(pa.int64()))], names=["id", "fp", "keys"])
-
-    kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"id {kind}, fp long, keys array<long>")
-
-
-def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5,
-                 bands: int = 32, rows: int = 12, radius: int = 2) -> DataFrame:
-    """Rows (id, component) of near-duplicates at a similarity of about 0.8 or more.
-
-    A 64-bit SimHash of two texts that share 80 % of their five-word shingles
-    differs in 10 bits on average and in up to 14, where no covering family of
-    a workable size reaches. Links within ``radius`` bits are therefore joined
-    by links of equal bands of minima (32 bands of 12: half of the pairs at a
-    similarity of 0.72, nine of ten at 0.8, all but 2 in 100,000 at 0.9, one
-    of 150 at 0.5). Members of a band hang on its smallest id; nothing is
-    paired within a group.
+                held.append(np.unique(h).view(np.int64))
+                out.append(keys(held[-1].view(np.uint64)) if len(h) else [])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fps, pa.int64()), pa.array(out, longs), pa.array(held, longs)],
+                                             names=["h1", "h2", "fp", "keys", "shingles"])
+
+    h1, h2 = text_key(text_col)
+    return docs.select(h1.alias("h1"), h2.alias("h2"), text_col).mapInArrow(run, "h1 long, h2 int, fp long, keys array<long>, shingles array<long>")
+
+
+def text_key(text_col: str) -> tuple[Column, Column]:
+    """A text's name in 96 bits; null is the empty text."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    return F.xxhash64(text), F.hash(F.reverse(text))
+
+
+def similar(pairs: DataFrame, shingles: DataFrame, tenths: int, most_broadcast: int = 500_000) -> DataFrame:
+    """Those of ``pairs`` (u, v) whose sets, rows (id, n, shingles), have a Jaccard similarity of ``tenths`` / 10 or more, exactly."""
+    pairs = staged(pairs.distinct(), "pairs")
+    asked = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
+    few = 2 * pairs.count() <= most_broadcast
+    sets = staged(shingles.join(F.broadcast(asked) if few else asked, "id", "left_semi"), "sets")
+    both = pairs.join(sets.toDF("u", "nu", "su"), "u").join(sets.toDF("v", "nv", "sv"), "v")
+    shared = F.size(F.array_intersect("su", "sv"))
+    return both.where(10 * shared >= tenths * (F.col("nu") + F.col("nv") - shared)).select("u", "v")
+
+
+def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands: int = 40, rows: int = 6, radius: int = 2, tenths: int = 8) -> DataFrame:
+    """Rows (h1, h2, class), one for each distinct text; a class is a number without further meaning.
+
+    Two texts are linked if they share ``tenths`` / 10 or more of their
+    distinct shingles. Candidates have an equal band of minima (40 bands of 6:
+    five of a million pairs at 0.8 have none) or fingerprints of one class
+    within ``radius`` bits; each link is checked on the whole sets. First
+    every member of a band is held against one of them. Whatever is in
+    different components after that and still shares a band is compared pair
+    by pair, but for pairs whose sizes rule a link out, so no link within a
+    band is lost, and members that agree with the first are never paired.
     """
-    whole = docs.select(id_col, text_col, F.xxhash64(F.coalesce(text_col, F.lit(""))).alias("_h1"), F.hash(F.reverse(F.coalesce(text_col, F.lit("")))).alias("_h2"))
-    # exact copies first: one of each goes on
-    same = staged(whole.select(F.col(id_col).alias("id"), "_h1", "_h2"), "whole")
-    low = same.groupBy("_h1", "_h2").agg(F.min("id").alias("first"))
-    copy = same.join(low, ["_h1", "_h2"]).where("id <> first").select(F.col("id").alias("u"), F.col("first").alias("v"))
-    sketch = staged(band_keys(docs, id_col, text_col, shingle, bands, rows), "sketch")
-    alone = sketch.join(low.select(F.col("first").alias("id")), "id", "left_semi")
-    entry = alone.select("id", F.posexplode("keys").alias("band", "key"))
-    centre = entry.groupBy("band", "key").agg(F.min("id").alias("low"), F.count("*").alias("n")).where("n > 1")
-    banded = entry.join(centre, ["band", "key"]).where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v"))
-    near = classes(alone.where(F.size("keys") > 0).select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
-    found = components(copy.unionByName(banded).unionByName(near))
-    return docs.select(F.col(id_col).alias("id")).join(found, "id", "left").select("id", F.coalesce("component", "id").alias("component"))
+    raw = sketches(docs, text_col, shingle, bands, rows).withColumn("id", F.monotonically_increasing_id())
+    sketch = staged(raw, "sketch")  # written once, so the numbers stay
+    first = staged(sketch.groupBy("h1", "h2").agg(F.min("id").alias("id")), "texts")
+    own = sketch.join(first.select("id"), "id", "left_semi").where(F.size("keys") > 0)
+    sets = own.select("id", F.size("shingles").alias("n"), "shingles")
+    entry = own.select("id", F.size("shingles").alias("n"), F.explode("keys").alias("key"))
+    shared = entry.groupBy("key").agg(F.min("id").alias("low"), F.count("*").alias("members")).where("members > 1")
+    held = staged(entry.join(shared.select("key", "low"), "key"), "bands")
+    star = held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v"))
+    near = classes(own.select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
+    links = staged(similar(star.unionByName(near), sets, tenths), "links")
+    # components so far; bands that lie in one of them need nothing more
+    grown = staged(components(links), "grown")
+    placed = held.join(grown, "id", "left").select("id", "n", "key", F.coalesce("component", "id").alias("c"))
+    mixed = placed.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select("key")
+    open_ = staged(placed.join(mixed, "key"), "open")
+    a, b = open_.toDF("key", "u", "nu", "cu"), open_.toDF("key", "v", "nv", "cv")
+    fits = 10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")
+    rest = a.join(b, "key").where((F.col("u") > F.col("v")) & (F.col("cu") != F.col("cv")) & fits).select("u", "v").distinct()
+    rest = rest.join(star.distinct(), ["u", "v"], "left_anti")
+    found = components(links.unionByName(similar(rest, sets, tenths)))
+    return first.join(found, "id", "left").select("h1", "h2", F.coalesce("component", "id").alias("class"))
+
+
+def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """Rows (id, component), one for each row of ``docs``: rows of a class of ``near_texts`` share its smallest id."""
+    h1, h2 = text_key(text_col)
+    found = near_texts(docs, text_col, **options)
+    named = staged(docs.select(F.col(id_col).alias("id"), h1.alias("h1"), h2.alias("h2")).join(found, ["h1", "h2"]).select("id", "class"), "classes")
+    return named.join(named.groupBy("class").agg(F.min("id").alias("component")), "class").select("id", "component")
