@@ -1,6 +1,7 @@
 """Hand examples and invariants of the building blocks."""
 
 import random
+import signal
 
 import pytest
 from pyspark.sql import functions as F
@@ -10,9 +11,11 @@ from tiersort.functions.keys import key
 from tiersort.operators import delivery as d
 from tiersort.operators.packing import pack, pack_wide, scan_pack
 from tiersort.operators.selection import select_splits
+from tiersort.operators.sort import merge_sort
 from tiersort.operators.splitters import classify, grid_rank, grid_rank_matrix
 from tiersort.plans.topology import group_range, per_level_eps, plan_levels, suggest_ab
 from tiersort.sources.tables import few_large, tiny_run
+from tiersort.streaming.runs import merge_runs
 
 
 def test_packing_by_hand(spark):
@@ -169,3 +172,38 @@ def test_arrow_classification_agrees(spark):
     by = key("x", ties=("id",))
     a, b = ({r.id: r.bucket for r in f(rows, table, by).collect()} for f in (classify, classify_arrow))
     assert a == b
+
+
+def _never(*_):
+    raise TimeoutError("the selection doesn't end")
+
+
+@pytest.mark.parametrize("m", [1, 8])
+def test_selection_among_equal_keys(spark, m):
+    runs = spark.createDataFrame([(0, e, x, 7) for e in range(2) for x in range(10)], "_ms_grp int, _ms_pe int, _ms_pos long, x int")
+    old = signal.signal(signal.SIGALRM, _never)
+    signal.alarm(90)
+    try:
+        got = select_splits(runs, key("x"), {0: [0, 5, 13, 20]}, pivots_per_round=m)
+    finally:
+        signal.alarm(0)
+        signal.signal(signal.SIGALRM, old)
+    assert {k: tuple(c.values()) for (_, k), c in got.items()} == {0: (0, 0), 5: (5, 0), 13: (10, 3), 20: (10, 10)}
+
+
+@pytest.mark.parametrize("merge", ["timsort", "arrow"])
+def test_merges_of_repeated_rows(spark, merge):
+    df = spark.createDataFrame([(1, "a")] * 150 + [(i % 3, "b") for i in range(90)], "x int, y string")
+    old = signal.signal(signal.SIGALRM, _never)
+    signal.alarm(120)
+    try:
+        layout = merge_sort(df, key("x"), 6, levels=[3, 2], merge=merge)
+        rows = layout.df.select("_ms_pe", "x", "y").collect()
+        runs = merge_runs(df.withColumn("run", F.when(F.col("y") == "a", 0).otherwise(1)), key("x"), 4).df.groupBy("_ms_pe").count().collect()
+    finally:
+        signal.alarm(0)
+        signal.signal(signal.SIGALRM, old)
+    parts = [[r.x for r in rows if r._ms_pe == pe] for pe in range(6)]
+    assert [x for p in parts for x in p] == sorted(r.x for r in df.collect()) and [len(p) for p in parts] == [40] * 6
+    assert sorted((r.x, r.y) for r in rows) == sorted(map(tuple, df.collect()))
+    assert sorted(r["count"] for r in runs) == [60] * 4

@@ -62,6 +62,11 @@ class KeySpec:
             out.append((x.asc_nulls_first() if first else x.asc_nulls_last()) if asc else (x.desc_nulls_first() if first else x.desc_nulls_last()))
         return out
 
+    def steady(self, df: DataFrame) -> list[Column]:
+        """``order``, with equal keys in an order of the other columns, so that a task that runs again numbers its rows as before."""
+        rest = [F.col(f.name) for f in df.schema if f.name not in self.names and "map<" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
+        return [*self.order(), F.xxhash64(*rest)] if rest else self.order()
+
     def struct(self) -> Column:
         return F.struct(*[F.col(c).alias(f"k{i}") for i, c in enumerate(self.names)])
 

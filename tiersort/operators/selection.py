@@ -20,11 +20,13 @@ def select_splits(runs: DataFrame, key: KeySpec, ranks: dict[int, list[int]], pe
                   lengths: dict[tuple[int, int], int] | None = None, pivots_per_round: int = 32, seed: int = 1, stats: dict | None = None) -> dict[tuple[int, int], dict[int, int]]:
     """{(group, rank): {pe: position}}: the first ``position`` elements of each run are the group's ``rank`` smallest.
 
-    ``runs`` has sorted runs with positions from 0 and unique keys; ``ranks``
-    the wanted ranks of each group. One pivot a round, drawn at random from
+    ``runs`` has sorted runs with positions from 0; ``ranks`` the wanted ranks
+    of each group. Equal keys are told apart by their origin (run, then
+    position), so keys may repeat. One pivot a round, drawn at random from
     what remains, is the textbook way; several, spread evenly over what
     remains, save rounds.
     """
+    key = KeySpec(key.cols, key.asc, key.nulls_first, (*key.ties, pe, pos))
     if lengths is None:
         lengths = {(r[0], r[1]): r[2] for r in runs.groupBy(grp, pe).count().collect()}  # a row for each run
     rng = random.Random(seed)

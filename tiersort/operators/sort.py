@@ -168,7 +168,8 @@ def merge_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by: s
     On every level each group's runs are cut at the exact ranks between its
     parts, pieces are delivered, and what a PE receives is merged into its new
     run: by sorting again (Spark's sort profits from runs) or by an explicit
-    merge of Arrow batches.
+    merge of Arrow batches. Keys may repeat: a cut tells equal ones apart by
+    where they stand on that level.
     """
     from tiersort.operators.merging import merge_partitions
 
@@ -180,7 +181,7 @@ def merge_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by: s
     rows = place(df.withColumn("_ms_by", F.col(by).cast("long") if by else F.pmod(F.xxhash64(*key.names), F.lit(2147483647).cast("long"))), p, placement, "_ms_by", seed).withColumn("_ms_grp", F.lit(0))
     spans, total = {0: (0, p)}, None
     for level, r in enumerate(levels):
-        rows = rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.order())).cast("long") - 1).persist()
+        rows = rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.steady(df))).cast("long") - 1).persist()
         report.kept.append(rows)
         lengths = {(x[0], x[1]): x[2] for x in rows.groupBy("_ms_grp", "_ms_pe").count().collect()}
         total = sum(lengths.values()) if total is None else total

@@ -15,7 +15,7 @@ from tiersort.operators.sort import ship
 def merge_runs(df: DataFrame, key: KeySpec, p: int, run: str = "run") -> SortedLayout:
     """Runs (column ``run``, from 0) as one layout on p PEs of equal size: exact cuts over all runs, one exchange, local merge."""
     rows = df.withColumn("_ms_pe", F.col(run).cast("int")).withColumn("_ms_grp", F.lit(0))
-    rows = rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.order())).cast("long") - 1).persist()
+    rows = rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.steady(df))).cast("long") - 1).persist()
     lengths = {(x[0], x[1]): x[2] for x in rows.groupBy("_ms_grp", "_ms_pe").count().collect()}  # a row for each run
     total = sum(lengths.values())
     ranks = [total * x // p for x in range(1, p)]
