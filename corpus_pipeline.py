@@ -28,8 +28,8 @@ def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the boilerplate lines of their source."""
-    return _sized(lines.drop_frequent(docs, most_cut=0.5), docs.columns)
+    """Documents without the boilerplate lines of their source; one with nothing else stays whole."""
+    return _sized(lines.drop_frequent(docs), docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

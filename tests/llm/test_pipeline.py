@@ -50,3 +50,11 @@ def test_empty_documents(spark, tmp_path):
     for t in ("documents", "labels", "benchmark"):
         spark.read.parquet(f"{DATA}/{t}.parquet").limit(0).write.parquet(f"{tmp_path}/{t}.parquet")
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_short_pages_lose_their_frame(spark):
+    frame = "\n".join(f"menu entry number {i} of this site" for i in range(10))
+    rows = [(i, f"{frame}\nown line {i}", "en", "s", 0) for i in range(20)] + [(20, frame, "en", "s", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r.doc_id: r.text for r in corpus_pipeline.line_dedup(spark, docs, "").collect()}
+    assert got == {i: f"own line {i}" for i in range(20)} | {20: frame}
