@@ -41,8 +41,8 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the words of benchmark items; items of under ten words say too little and are left out."""
-    return _sized(decontaminate.cut(docs, table(spark, sf_dir, "benchmark"), least=10), docs.columns)
+    """Documents without the words of benchmark items; an item of under ten words is searched as a whole."""
+    return _sized(decontaminate.cut(docs, table(spark, sf_dir, "benchmark")), docs.columns)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

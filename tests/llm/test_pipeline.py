@@ -58,3 +58,11 @@ def test_short_pages_lose_their_frame(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     got = {r.doc_id: r.text for r in corpus_pipeline.line_dedup(spark, docs, "").collect()}
     assert got == {i: f"own line {i}" for i in range(20)} | {20: frame}
+
+
+def test_short_items_are_cut(spark, tmp_path):
+    spark.createDataFrame([("a", "which river is the longest"), ("b", None), ("c", "")], "item_id string, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    rows = [(1, "He asked: Which river is the longest? Nobody knew.", "en", "s", 0), (2, "which river is long", "en", "s", 0), (3, "Which river is the longest", "en", "s", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r.doc_id: r.text for r in corpus_pipeline.decontamination(spark, docs, str(tmp_path)).collect()}
+    assert got == {1: "He asked: ? Nobody knew.", 2: "which river is long"}
