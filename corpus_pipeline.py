@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tiersort.llm import decontaminate, lines, mixing, quality, simhash
-from tiersort.llm.common import staged, table
+from tiersort.llm.common import row_key, staged, table
 
 
 def _sized(docs: DataFrame, columns: list[str]) -> DataFrame:
@@ -23,8 +23,9 @@ def _sized(docs: DataFrame, columns: list[str]) -> DataFrame:
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier keeps (good quality, not toxic)."""
-    kept = quality.judge(docs, table(spark, sf_dir, "labels")).where("keep").select("id").distinct()
-    return docs.join(kept, docs["doc_id"] == kept["id"], "left_semi")
+    rows = docs.withColumn("_row", F.to_json(row_key(docs)))
+    kept = quality.judge(rows, table(spark, sf_dir, "labels"), row_col="_row").where("keep").select("id").distinct()
+    return rows.join(kept, rows["_row"] == kept["id"], "left_semi").drop("_row")
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,11 +34,12 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near-duplicates the document with the smallest id."""
-    found = simhash.near_classes(docs)
-    first = found.where("id = component").select("id").distinct()
-    kept = docs.join(first, docs["doc_id"] == first["id"], "left_semi")
-    return kept.dropDuplicates(["doc_id"]) if "doc_id" in docs.columns else kept
+    """Of each class of near-duplicates the document with the smallest id (null ids last)."""
+    h1, h2 = simhash.text_key("text")
+    rows = docs.withColumns({"_row": row_key(docs), "h1": h1, "h2": h2})
+    named = rows.select("doc_id", "_row", "h1", "h2").join(simhash.near_texts(docs), ["h1", "h2"])
+    first = named.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("f")).select("f._row")
+    return rows.join(first, "_row", "left_semi").dropDuplicates(["_row"]).select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,8 +49,9 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with the words that the mix takes of them; those without any go."""
-    taken = mixing.mix(docs).where("taken > 0").select(F.col("doc_id").alias("_id"), "size", "source_size", "target", "taken")
-    return docs.join(taken, docs["doc_id"] == taken["_id"]).drop("_id")
+    rows = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")  # written once, so the numbers stay
+    taken = mixing.mix(rows, carry=("_row",)).where("taken > 0").select("_row", "size", "source_size", "target", "taken")
+    return rows.join(taken, "_row").drop("_row")
 
 
 STAGES = [("quality classifier", quality_filter), ("line dedup", line_dedup), ("SimHash near-dedup", near_dedup),

@@ -62,3 +62,10 @@ def test_cut_leaves_no_phrase(spark):
     before = plain_contamination([x[:2] for x in docs], long_items)
     kept = {r.doc_id: r.text for r in left}
     assert all(kept[i] == t for i, t, _ in docs if not before[i][4])
+
+
+def test_many_blocks_keep_rows_apart(spark):
+    docs = spark.createDataFrame([(1, "a b c d"), (1, "x y z"), (None, "a b"), (None, None), (2, "c d x y")], "doc_id long, text string")
+    items = spark.createDataFrame([("p", "a b"), ("q", "c d x"), ("r", "x y")], "item_id string, text string")
+    rows = lambda **o: sorted(((r.id, r.n_words, [tuple(s) for s in r.spans], r["items"]) for r in d.contamination(docs, items, **o).collect()), key=str)
+    assert len(rows()) == 5 and rows(block_chars=1) == rows()

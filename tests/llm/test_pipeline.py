@@ -66,3 +66,18 @@ def test_short_items_are_cut(spark, tmp_path):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     got = {r.doc_id: r.text for r in corpus_pipeline.decontamination(spark, docs, str(tmp_path)).collect()}
     assert got == {1: "He asked: ? Nobody knew.", 2: "which river is long"}
+
+
+def test_null_and_repeated_ids_stay_apart(spark, tmp_path):
+    good = [(r.doc_id, r.text, r.lang, r.source, r.n_chars) for r in spark.read.parquet(f"{DATA}/documents.parquet").join(
+        spark.read.parquet(f"{DATA}/labels.parquet").where("quality = 1 and toxic = 0"), "doc_id").where("n_chars > 300").dropDuplicates(["text"]).orderBy("doc_id").limit(40).collect()]
+    rows = [(None, *r[1:]) if k < 10 else (7, *r[1:]) if k < 20 else r for k, r in enumerate(good)]
+    docs = spark.createDataFrame([*rows, rows[0], rows[12]], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = corpus_pipeline.quality_filter(spark, docs, DATA)
+    assert kept.where("doc_id is null").count() >= 9 and kept.where("doc_id = 7").count() >= 9
+    distinct = staged(corpus_pipeline.near_dedup(spark, docs, DATA), "test")
+    alone = corpus_pipeline.near_dedup(spark, spark.createDataFrame(good, docs.schema), DATA).count()
+    assert distinct.count() == alone and distinct.where("doc_id is null").count() > 0 and distinct.where("doc_id = 7").count() > 1
+    mixed = corpus_pipeline.mixture(spark, distinct, DATA)
+    off = mixed.groupBy("source").agg(F.sum("taken").alias("t"), F.first("target").alias("w")).where(F.abs(F.col("t") - F.col("w")) > 1)
+    assert off.count() == 0 and mixed.where("doc_id is null").count() > 0

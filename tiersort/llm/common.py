@@ -43,6 +43,16 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def row_key(df: DataFrame) -> Column:
+    """128 bits that name a row by all its columns, never null; equal rows share them.
+
+    Flags of nulls are part of it, as the hash passes over null values.
+    """
+    nulls = [F.col(c).isNull() for c in df.columns]
+    cols = [F.col(c) for c in df.columns]
+    return F.struct(F.xxhash64(*nulls, *cols).alias("a"), F.xxhash64(F.lit(1), *cols[::-1], *nulls).alias("b"))
+
+
 def lower_ascii(text: Column) -> Column:
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 

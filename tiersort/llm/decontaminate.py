@@ -188,51 +188,42 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
     ``spans`` are merged runs of hit words (first word, one past the last),
     ``items`` the ids of the items found, as strings. A longer query set than
-    ``block_chars`` is searched block by block and the spans are merged.
+    ``block_chars`` is searched block by block, all blocks on a shard of
+    documents before the next, so rows stay apart whatever their ids.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"id {kind}, n_words long, spans array<struct<a:long,b:long>>, items array<string>"
     spans_type = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
-    passes = None
-    for block in _blocks(benchmark, item_col, item_text, block_chars):
-        sent = docs.sparkSession.sparkContext.broadcast(phrases_of(block, size, least))
-
-        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            spec = sent.value
-
-            def out(ids: list, texts: list[list[bytes]]) -> pa.RecordBatch:
-                spans, items = [], []
-                for hits, found in match_shard(texts, spec):
-                    edge = np.flatnonzero(np.diff(np.concatenate([[0], hits, [0]]))).tolist()
-                    spans.append([{"a": a, "b": b} for a, b in zip(edge[::2], edge[1::2])])
-                    items.append(sorted(found))
-                return pa.RecordBatch.from_arrays([pa.array(ids, id_type), pa.array(map(len, texts), pa.int64()), pa.array(spans, spans_type),
-                                                   pa.array(items, pa.list_(pa.string()))], names=["id", "n_words", "spans", "items"])
-
-            for b in batches:
-                id_type, ids, texts, held = b.column(0).type, [], [], 0
-                for i, t in zip(b.column(0), b.column(1)):
-                    ids.append(i.as_py())
-                    texts.append(words(t.as_py()))
-                    held += len(texts[-1])
-                    if held >= shard_words:
-                        yield out(ids, texts)
-                        ids, texts, held = [], [], 0
-                if ids:
+    blocks = _blocks(benchmark, item_col, item_text, block_chars)
+    sent = [docs.sparkSession.sparkContext.broadcast(phrases_of(block, size, least)) for block in blocks]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def out(ids: list, texts: list[list[bytes]]) -> pa.RecordBatch:
+            all_hits, all_items = [np.zeros(len(t), bool) for t in texts], [set() for _ in texts]
+            for s in sent:
+                for k, (hits, found) in enumerate(match_shard(texts, s.value)):
+                    all_hits[k] |= hits
+                    all_items[k] |= found
+            spans = []
+            for hits in all_hits:
+                edge = np.flatnonzero(np.diff(np.concatenate([[0], hits, [0]]))).tolist()
+                spans.append([{"a": a, "b": b} for a, b in zip(edge[::2], edge[1::2])])
+            return pa.RecordBatch.from_arrays([pa.array(ids, id_type), pa.array(map(len, texts), pa.int64()), pa.array(spans, spans_type),
+                                               pa.array(map(sorted, all_items), pa.list_(pa.string()))], names=["id", "n_words", "spans", "items"])
+
+        for b in batches:
+            id_type, ids, texts, held = b.column(0).type, [], [], 0
+            for i, t in zip(b.column(0), b.column(1)):
+                ids.append(i.as_py())
+                texts.append(words(t.as_py()))
+                held += len(texts[-1])
+                if held >= shard_words:
                     yield out(ids, texts)
+                    ids, texts, held = [], [], 0
+            if ids:
+                yield out(ids, texts)
 
-        one = docs.select(id_col, text_col).mapInArrow(run, schema)
-        passes = one if passes is None else passes.unionByName(one)
-        n = 2 if passes is not one else 1
-    if n == 1:
-        return passes
-    joined = passes.groupBy("id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"),
-                                      F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    merge = F.expr("""aggregate(spans, cast(array() as array<struct<a:bigint,b:bigint>>), (acc, x) ->
-        if(size(acc) > 0 and element_at(acc, -1).b >= x.a,
-           concat(slice(acc, 1, size(acc) - 1), array(struct(element_at(acc, -1).a as a, greatest(element_at(acc, -1).b, x.b) as b))),
-           concat(acc, array(x))))""")
-    return joined.withColumn("spans", merge)
+    return docs.select(id_col, text_col).mapInArrow(run, schema)
 
 
 def digest(found: DataFrame) -> DataFrame:

@@ -128,13 +128,13 @@ def rounded(docs: DataFrame, group: str, size: str = "size", rate: str = "rate",
 
 
 def mix(docs: DataFrame, doc_id: str = "doc_id", text_col: str = "text", source_col: str = "source",
-        weights: tuple[int, ...] = (5, 2, 1), most: int = MOST_TIMES) -> DataFrame:
-    """Rows (doc_id, size, source_size, target, taken); a row for each input row."""
-    sized = staged(docs.select(F.col(doc_id).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")), "sizes")
+        weights: tuple[int, ...] = (5, 2, 1), most: int = MOST_TIMES, carry: tuple[str, ...] = ()) -> DataFrame:
+    """Rows (doc_id, source, size, source_size, target, taken) and the columns of ``carry``; a row for each input row."""
+    sized = staged(docs.select(*carry, F.col(doc_id).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")), "sizes")
     per_source = targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most)
     rates = per_source.withColumn("rate", newton_rate(F.col("source_size").cast("double"), F.col("target"))).withColumnRenamed("source", "_s")
     rated = sized.join(rates, F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
-    return rounded(rated, "source").select("doc_id", "source", "size", "source_size", "target", "taken")
+    return rounded(rated, "source").select(*carry, "doc_id", "source", "size", "source_size", "target", "taken")
 
 
 ORACLE = r"""

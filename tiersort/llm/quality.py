@@ -211,10 +211,13 @@ def site_priors(scored: DataFrame) -> DataFrame:
 
 
 def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang",
-          most_labels: int = MOST_LABELS, least_quality: float = 0.5, most_toxic: float = 0.5) -> DataFrame:
-    """Rows (id, quality, toxicity, site_quality, keep), one for each document row."""
+          most_labels: int = MOST_LABELS, least_quality: float = 0.5, most_toxic: float = 0.5, row_col: str | None = None) -> DataFrame:
+    """Rows (id, quality, toxicity, site_quality, keep), one for each document row.
+
+    ``row_col`` is what the rows are to be named by, if not by the id of the labels.
+    """
     model = fit(sample(docs, labels, id_col, text_col, most_labels))
-    scored = staged(scores(docs, model, id_col, text_col, host_col, path_col), "scored")
+    scored = staged(scores(docs, model, row_col or id_col, text_col, host_col, path_col), "scored")
     prior = staged(site_priors(scored), "sites").toDF("_h", "_p", "lift", "site_quality")
     t = scored.join(prior, F.col("host").eqNullSafe(F.col("_h")) & F.col("path").eqNullSafe(F.col("_p")))
     good = 1 / (1 + F.exp(-(F.col("good") + F.col("lift"))))
