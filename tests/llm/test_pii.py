@@ -75,3 +75,13 @@ def test_edge_rows(spark):
     got = sorted((r.id or 0, r.n_email) for r in pii.personal_data(df).collect())
     assert got == [(0, 0), (1, 0), (2, 0), (3, 1), (3, 20000)]
     assert pii.personal_data(df.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("text, kind, part", [
+    ("call +1 555 123 four five now", "phone", "+1 555 123 four five"),
+    ("card 4111 1111 1111 11 one one end", "card", "4111 1111 1111 11 one one"),
+    ("nom arobase exemple point fr", "email", "nom arobase exemple point fr"),
+])
+def test_short_disguises_wake_the_transducer(text, kind, part):
+    got = pii.disguised(text, pii.detect(text))
+    assert [text[a:b] for a, b in got[kind]] == [part]

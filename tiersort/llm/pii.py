@@ -41,12 +41,9 @@ _SPELLED = rf"(?<![^\W_])(?:{_WORD})(?:[ ,.-]{{1,2}}(?:{_WORD}|[0-9]+))+(?![^\W_
 _AT = r"\s*[\[({<]\s*(?:at|ät|arroba|arobase|klammeraffe)\s*[\])}>]\s*"
 _DOT = r"\s*[\[({<]\s*(?:dot|punkt|point|punto|\.)\s*[\])}>]\s*"
 _SAID = r"(?<=[A-Za-z0-9_%+-]) +(?:at|AT|arroba|arobase) +(?=[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)* +(?:dot|DOT|punkt|point|punto) +[A-Za-z])"
-_SAID_DOT = r"(?<=[A-Za-z0-9]) +(?:dot|DOT|punkt|punto) +(?=[A-Za-z0-9])"
+_SAID_DOT = r"(?<=[A-Za-z0-9]) +(?:dot|DOT|punkt|point|punto) +(?=[A-Za-z0-9])"
 _ALIKE = "[" + re.escape("".join(LOOK_ALIKE)) + "]"
 STRETCH = re.compile(rf"(?P<spelled>{_SPELLED})|(?P<at>{_AT}|{_SAID})|(?P<dot>{_DOT}|{_SAID_DOT})|(?P<alike>{_ALIKE})", re.IGNORECASE)
-#: One of these stands in every text that the transducer changes in a way that matters.
-_SIGN = re.compile(r"[\[({<]\s*(?:at|ät|arroba|arobase|klammeraffe|dot|punkt|point|punto|\.)\s*[\])}>]|\b(?:dot|punkt|punto)\b|" + _ALIKE
-                   + rf"|(?<![^\W_])(?:{_WORD})[ ,.-]{{1,2}}(?:{_WORD}|[0-9]+)[ ,.-]{{1,2}}(?:{_WORD}|[0-9])", re.IGNORECASE)
 _RUN = re.compile(r"[A-Za-z0-9._%+@-]*")
 _RUN_CHARS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+@-")
 _HAS_DIGIT = re.compile("[0-9]")
@@ -123,7 +120,7 @@ def transduce(text: str) -> tuple[str, list[tuple[int, int, int, int]]]:
 def disguised(text: str, base: dict[str, list[tuple[int, int]]]) -> dict[str, list[tuple[int, int]]]:
     """Spans that only the rewritten text shows, as source offsets."""
     extra: dict[str, list[tuple[int, int]]] = {k: [] for k in KINDS}
-    if not _SIGN.search(text):
+    if not STRETCH.search(text):
         return extra
     new, moved = transduce(text)
     if not moved:
