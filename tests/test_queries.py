@@ -118,3 +118,11 @@ def test_streamed_runs_merge(spark, tmp_path):
     q = windowed_counts(stamped, "ts", "1 hour", "100 days").writeStream.format("memory").queryName("counts").outputMode("complete").trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert spark.sql("select sum(n) from counts").first()[0] == events.count()
+
+
+def test_interval_overlap_of_whole_orders(spark):
+    rows = [(r.o_orderkey, round(r.o_totalprice * 100), round(r.o_totalprice * 100) + r.o_custkey % 97) for r in spark.read.parquet(f"{FOLDER}/orders.parquet").collect()]
+    want = sorted((a[0], b[0]) for a in rows for b in rows if a[1] < b[2] and b[1] < a[2] and a[2] > a[1] and b[2] > b[1])
+    got = sorted(map(tuple, catalog.QUERIES["q62b_interval_overlap_whole"](spark, FOLDER).collect()))
+    assert got == want and len({a for a, _ in got}) == sum(r[2] > r[1] for r in rows)
+    test_query(spark, "q62b_interval_overlap_whole")

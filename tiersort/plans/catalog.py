@@ -426,6 +426,15 @@ def q62_interval_overlap(spark, folder):
     return interval_join(make(1, 37, 23, "left"), make(2, 53, 29, "right"), "lefts", "lefte", "rights", "righte", 64).select("left_id", "right_id")
 
 
+@query("""with o as (select o_orderkey as id, round(o_totalprice * 100)::bigint as s, round(o_totalprice * 100)::bigint + o_custkey % 97 as e from orders)
+select a.id as left_id, b.id as right_id from o a, o b where a.s < b.e and b.s < a.e and a.e > a.s and b.e > b.s""")
+def q62b_interval_overlap_whole(spark, folder):
+    o = read_table(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_totalprice"])
+    start = F.round(F.col("o_totalprice") * 100).cast("long")
+    make = lambda x: o.select(F.col("o_orderkey").alias(f"{x}_id"), start.alias(f"{x}s"), (start + F.col("o_custkey") % 97).alias(f"{x}e"))
+    return interval_join(make("left"), make("right"), "lefts", "lefte", "rights", "righte", 64).select("left_id", "right_id")
+
+
 @query("select doc_id, n_chars from (select *, row_number() over (partition by text order by doc_id) as rn from documents) where rn = 1")
 def q63_dedupe_sort(spark, folder):
     return splitter_sort(read_table(spark, folder, "documents", ["doc_id", "text", "n_chars"]), key("text", ties=("doc_id",)), P, 1, by="doc_id").dedupe().select("doc_id", "n_chars")
