@@ -54,6 +54,21 @@ def test_repetitive_rows(spark, hot, shard_bytes):
     assert got(r.repeated(df, hot=hot, shard_bytes=shard_bytes)) == plain([(i, (t or "").encode()) for i, t in rows])
 
 
+def test_long_texts_go_in_parts(spark, monkeypatch):
+    monkeypatch.setattr(r, "CHUNK", 700)
+    rng = random.Random(4)
+    passage = "".join(rng.choice("abcdefg ") for _ in range(900))
+    rows = [(i, "".join(rng.choice("ab ") for _ in range(rng.randrange(3000))) + passage[rng.randrange(300):] + "x" * rng.randrange(90)) for i in range(12)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert got(r.repeated(df, shard_bytes=4000)) == plain([(i, t.encode()) for i, t in rows])
+
+
+def test_passage_of_every_document_is_one_entry_a_home(spark):
+    rows = [(i, f"page {i} " + "the same notice stands below every page of this site and of all others " * 2) for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert got(r.repeated(df, hot=50)) == plain([(i, t.encode()) for i, t in rows])
+
+
 def test_rows_without_id_and_empty_table(spark):
     df = spark.createDataFrame([(None, "z" * 100), (1, "z" * 100), (2, "z" * 100)], "doc_id long, text string")
     assert [(x.id, len(x.spans)) for x in r.repeated(df).orderBy("id").collect()] == [(None, 0), (1, 0), (2, 1)]

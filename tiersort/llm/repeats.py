@@ -5,22 +5,27 @@ smallest hash, the leftmost of equals. Equal strings have equal anchors at
 equal places, so all copies of a string meet where their anchor is dealt to.
 Windows of a document with one anchor are neighbours and form a snippet.
 
-1. Anchors travel as packed hashes; those of one document only are let go.
-2. Snippets of the others are dealt by anchor, equal ones collapsed before
-   the exchange with the list of places they came from.
+0. Texts are packed into homes: neighbouring rows of a few megabytes.
+1. Each home announces its anchors once, with the number of its documents that
+   have them; anchors of one document only are let go.
+2. A home keeps where its snippets occur and sends every different snippet
+   once, with its smallest document there. Snippets are dealt by anchor.
 3. In each shard, snippets that are alone with their anchor are settled by
-   their smallest document. Over the others stands a run-length index: a
-   Burrows-Wheeler transform stored by runs, suffix positions sampled at run
-   ends, and for each class of rows that share ``length`` symbols the smallest
-   document. Snippets stream through it from right to left; matching
-   statistics of ``length`` or more are long matches, marked if their class
-   has a smaller document.
-4. Marks return to their documents, overlaps are merged, bytes removed.
-
-All exchanges carry packed rows whose number follows the input's bytes. An
-anchor in over ``hot`` documents is replaced by the windows themselves, each a
-key of its own, so the differing surroundings of a very common line spread
-over all shards instead of filling one.
+   their smallest document. Over the others, taken anchor by anchor in
+   portions of bounded size, stands a run-length index: a Burrows-Wheeler
+   transform stored by runs, suffix positions sampled at run ends, and for
+   each class of rows that share ``length`` symbols the smallest document.
+   Snippets stream through it from right to left; matching statistics of
+   ``length`` or more are long matches, marked if their class has a smaller
+   document.
+4. Each home gets back, for a snippet, its smallest document anywhere and the
+   long matches of that document's copy; it applies them to all places where
+   the snippet occurs, merges overlaps and removes the bytes.
+
+A passage in a third of all documents so costs a shard one entry for each home,
+not for each document. An anchor in over ``hot`` documents is replaced by the
+windows themselves, each a key of its own, so the differing surroundings of a
+very common line spread over all shards instead of filling one.
 
 Null texts are empty. Strings count by the documents they start in: rows with
 the same id don't remove one another's text. Rows without an id stay whole and
@@ -40,6 +45,7 @@ import pandas as pd
 import pyarrow as pa
 import xxhash
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -141,11 +147,6 @@ def _shard(h: np.ndarray, shards: int) -> np.ndarray:
     return ((h >> _U64(16)) * _U64(shards) >> _U64(32)).astype(np.int64)
 
 
-def _home(ids: np.ndarray, homes: int) -> np.ndarray:
-    x = ids.astype(np.int64).view(_U64) * _U64(0x9E3779B97F4A7C15)
-    return ((x >> _U64(32)) * _U64(homes) >> _U64(32)).astype(np.int64)
-
-
 def _give_back() -> None:
     """Returns freed memory to the system, so that a reused worker doesn't keep what its largest group took."""
     pa.default_memory_pool().release_unused()
@@ -165,22 +166,22 @@ class RunLengthIndex:
 
     def __init__(self, snippets: list[bytes], docs: np.ndarray, length: int):
         sizes = np.fromiter(map(len, snippets), np.int64, len(snippets))
-        text = np.ones(int(sizes.sum()) + len(snippets) + 1, np.int64)
+        text = np.ones(int(sizes.sum()) + len(snippets) + 1, np.int16)
         self.start = np.concatenate([[0], np.cumsum(sizes + 1)[:-1]]) if len(snippets) else np.zeros(0, np.int64)
         inside = np.ones(len(text), bool)
         inside[np.cumsum(sizes + 1) - 1] = False
         inside[-1] = False
-        text[inside] = np.frombuffer(b"".join(snippets), np.uint8).astype(np.int64) + 2
+        text[inside] = np.frombuffer(b"".join(snippets), np.uint8).astype(np.int16) + 2
         text[-1] = 0
         self.text, self.length, n = text, length, len(text)
         order, near, depth = suffix_rows(text, length)
-        order = order.astype(np.int32)
-        bwt = text[order - 1].astype(np.int16)
+        bwt = text[order - 1]
         head = np.flatnonzero(np.concatenate([[True], bwt[1:] != bwt[:-1]]))
         self.run_start, self.run_symbol = head, bwt[head].astype(np.int64)
         ends = np.append(head[1:], n) - 1
         self.first_sample, self.last_sample = order[head].astype(np.int64), order[ends].astype(np.int64)
         self.before = np.concatenate([[0], np.cumsum(np.bincount(bwt, minlength=258))])
+        del bwt
         size = ends - head + 1
         self.run_of = np.repeat(np.arange(len(head), dtype=np.int32), size)  # directory of rows
         by_symbol = np.argsort(self.run_symbol, kind="stable")  # runs of a symbol together, in order
@@ -191,17 +192,17 @@ class RunLengthIndex:
         self.run_rank[by_symbol] = inner - zero[self.run_symbol[by_symbol]]
         self.by_symbol, self.symbol_first = by_symbol, np.searchsorted(self.run_symbol[by_symbol], np.arange(259))
         # classes of rows with the same ``length`` symbols, none of them a divider
-        room = np.zeros(n, np.int64)
         cut = np.flatnonzero(text < 2)
-        room = cut[np.searchsorted(cut, np.arange(n))] - np.arange(n)
+        room = np.repeat(cut, np.diff(cut, prepend=-1)).astype(np.int32) - np.arange(n, dtype=np.int32)
         alike = np.zeros(n, bool)
         full = room[order] >= length
+        del room
         pair = np.flatnonzero(full[1:] & full[:-1]) + 1
         if depth:  # ranks by ``depth`` symbols: equal at a place and a little further on
-            one, two, on = order[pair].astype(np.int64), order[pair - 1].astype(np.int64), length - depth
+            one, two, on = order[pair], order[pair - 1], length - depth
             alike[pair] = (near[one] == near[two]) & (near[one + on] == near[two + on])
         self.class_start = np.flatnonzero(~alike)
-        self.class_of = (np.cumsum(~alike) - 1).astype(np.int32)
+        self.class_of = np.cumsum(~alike, dtype=np.int32) - np.int32(1)
         owner = np.searchsorted(self.start, order, side="right") - 1
         self.class_doc = np.minimum.reduceat(np.append(docs, 0)[np.minimum(owner, len(docs))], self.class_start) if n else docs
 
@@ -229,14 +230,14 @@ class RunLengthIndex:
         that starts there, a row and a text position of it.
         """
         sizes = np.fromiter(map(len, patterns), np.int64, len(patterns))
-        flat = np.frombuffer(b"".join(patterns), np.uint8).astype(np.int64) + 2
+        flat = np.frombuffer(b"".join(patterns), np.uint8).astype(np.int16) + 2
         end = np.cumsum(sizes)
-        length, rows, places = (np.zeros(len(flat), np.int64) for _ in range(3))
+        length, rows, places = (np.zeros(len(flat), np.int32) for _ in range(3))
         row, pos, size = np.zeros(len(sizes), np.int64), np.full(len(sizes), len(self.text) - 1), np.zeros(len(sizes), np.int64)
         for step in range(1, int(sizes.max(initial=0)) + 1):
             live = np.flatnonzero(sizes >= step)
             at = end[live] - step
-            c, r = flat[at], row[live]
+            c, r = flat[at].astype(np.int64), row[live]
             run = self.run_of[r].astype(np.int64)
             other = np.flatnonzero(self.run_symbol[run] != c)
             if len(other):  # no match to extend: the nearest run of the symbol above or below goes on, whichever matches longer
@@ -281,51 +282,61 @@ def suffix_rows(text: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray |
     that number: 0 if all suffixes differ before it reaches half of ``length``.
     """
     n = len(text)
-    padded = np.concatenate([text, np.zeros(6, np.int64)])
+    padded = np.concatenate([text, np.zeros(6, np.int16)])
     key = np.zeros(n, np.int64)
     for k in range(6):
-        key = key * 512 + padded[k:k + n]
+        key *= 512
+        key += padded[k:k + n]
     step, near, depth = 6, None, 0
     while True:
-        order = np.argsort(key)
+        order = np.argsort(key).astype(np.int32)
         ranked = key[order]
-        fresh = np.zeros(n, np.int64)
-        fresh[1:] = np.cumsum(ranked[1:] != ranked[:-1])
-        rank = np.empty(n, np.int64)
+        fresh = np.zeros(n, np.int32)
+        np.cumsum(ranked[1:] != ranked[:-1], out=fresh[1:], dtype=np.int32)
+        rank = np.empty(n, np.int32)
         rank[order] = fresh
         if step <= length < 2 * step:
             near, depth = rank, step
         if n == 0 or fresh[-1] == n - 1:
             return order, near, depth
-        after = np.zeros(n, np.int64)
-        after[:max(0, n - step)] = rank[step:] + 1
-        key = rank * (n + 1) + after
+        key = rank.astype(np.int64)
+        key *= n + 1
+        key[:max(0, n - step)] += rank[step:]
+        key[:max(0, n - step)] += 1
         step *= 2
 
 
-def _groups(docs: DataFrame, homes: int) -> DataFrame:
-    """Rows (home, id, z): compressed bytes of each text, dealt by id."""
+def _homes(docs: DataFrame, home_bytes: int) -> DataFrame:
+    """Rows (home, n_bytes, rows, z) of neighbouring texts: their ids and sizes, and all their bytes, compressed."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            press = zstandard.ZstdCompressor(level=1)
-            ids = np.asarray(b.column(0), np.int64)
-            z = [press.compress(t.as_py() or b"") for t in b.column(1)]
-            yield pa.RecordBatch.from_arrays([pa.array(_home(ids, homes).astype(np.int32)), pa.array(ids), pa.array(z, pa.binary())], names=["home", "id", "z"])
+        part, number, ids, texts, held = TaskContext.get().partitionId(), 0, [], [], 0
 
-    return docs.mapInArrow(run, "home int, id long, z binary")
+        def full() -> pa.RecordBatch:
+            sizes = np.fromiter(map(len, texts), np.int64, len(texts))
+            return pa.RecordBatch.from_arrays([
+                pa.array([part << 32 | number], pa.int64()), pa.array([held], pa.int64()), pa.array([_pack(_steps(np.array(ids, np.int64).view(_U64)), sizes)], pa.binary()),
+                pa.array([zstandard.ZstdCompressor(level=1).compress(b"".join(texts))], pa.binary())], names=["home", "n_bytes", "rows", "z"])
 
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                for i, t in zip(b.column(0).slice(at, 500).to_pylist(), b.column(1).slice(at, 500).to_pylist()):
+                    ids.append(i)
+                    texts.append(t)
+                    held += len(t)
+                    if held >= home_bytes:
+                        yield full()
+                        number, ids, texts, held = number + 1, [], [], 0
+        if ids:
+            yield full()
 
-def _texts(z: pd.Series) -> list[bytes]:
-    press = zstandard.ZstdDecompressor()
-    return [press.decompress(x) for x in z]
+    return docs.mapInArrow(run, "home long, n_bytes long, rows binary, z binary")
 
 
-def _ordered(group: pd.DataFrame) -> tuple[np.ndarray, list[bytes]]:
-    """Ids and texts of a home in an order that depends on them alone."""
-    texts = _texts(group["z"])
-    ids = group["id"].to_numpy(np.int64)
-    order = sorted(range(len(texts)), key=lambda i: (ids[i], texts[i]))
-    return ids[order], [texts[i] for i in order]
+def _texts(rows: bytes, z: bytes) -> tuple[np.ndarray, list[bytes]]:
+    """Ids and texts of a home."""
+    ids, sizes = _unpack(rows)
+    raw, end = zstandard.ZstdDecompressor().decompress(z), np.cumsum(sizes.astype(np.int64)).tolist()
+    return np.cumsum(ids).view(np.int64), [raw[a:b] for a, b in zip([0, *end], end)]
 
 
 def _chunks(texts: list[bytes]) -> Iterator[tuple[int, int]]:
@@ -341,8 +352,8 @@ def _chunks(texts: list[bytes]) -> Iterator[tuple[int, int]]:
 
 
 def _snippets(texts: list[bytes], length: int) -> Iterator[tuple[np.ndarray, ...]]:
-    """As ``anchors``, with positions within each text; texts over 16 MB go in overlapping parts."""
-    part = (1 << 24) - 1
+    """As ``anchors``, with positions within each text; texts over a chunk go in overlapping parts."""
+    part = CHUNK
     for a, b in _chunks(texts):
         if b == a + 1 and len(texts[a]) > part:
             t = texts[a]
@@ -357,91 +368,83 @@ def _snippets(texts: list[bytes], length: int) -> Iterator[tuple[np.ndarray, ...
         yield who + a, first - starts[who], n, place, h
 
 
-def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -> tuple:
-    """The functions of the four steps, for ``shards`` shards of anchors and homes of documents."""
-    def announce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held_h, held_d, names, size, docs = [], [], [], 0, 0
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            h, d = np.concatenate(held_h), np.concatenate(held_d)
-            order = np.argsort(h)
-            h, d = h[order], d[order]
-            fresh = np.concatenate([[True], (h[1:] != h[:-1]) | (d[1:] != d[:-1])])
-            h, d = h[fresh], d[fresh]
-            edge = np.searchsorted(_shard(h, shards), np.arange(shards + 1))
-            every = _steps(np.concatenate(names).view(_U64))
-            out = [(k, _pack(_steps(h[a:b]), d[a:b], every)) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in out], pa.int32()), pa.array([x for _, x in out], pa.binary())], names=["shard", "blob"])
+def _distinct(h: np.ndarray, who: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Different hashes in order, and the number of documents of each (at most 255)."""
+    order = np.argsort(h, kind="stable")
+    h, who = h[order], who[order]
+    head = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
+    fresh = np.concatenate([[True], (h[1:] != h[:-1]) | (who[1:] != who[:-1])])
+    return h[head], np.minimum(255, np.add.reduceat(fresh, head, dtype=np.int64))
+
+
+def _portions(anchor: np.ndarray, size: np.ndarray, most: int) -> Iterator[np.ndarray]:
+    """Snippets (numbers) in portions of about ``most`` bytes; those of one anchor stay together."""
+    order = np.argsort(anchor, kind="stable")
+    head = np.flatnonzero(np.concatenate([[True], anchor[order][1:] != anchor[order][:-1]]))
+    room = np.add.reduceat(size[order], head)
+    at, held = 0, 0
+    for k, (a, n) in enumerate(zip(head.tolist(), room.tolist())):
+        if held and held + n > most:
+            yield order[at:a]
+            at, held = a, 0
+        held += n
+    yield order[at:]
 
+
+def _steps_of(shards: int, meets: int, length: int, hot: int, index_bytes: int, with_text: bool) -> tuple:
+    """The functions of the steps, for ``meets`` shards of announced anchors and ``shards`` of snippets."""
+    def announce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids = np.asarray(b.column(0), np.int64)
-            for at in range(0, b.num_rows, 500):
-                texts = b.column(1).slice(at, 500).to_pylist()
-                for who, _, _, _, h in _snippets(texts, length):
-                    held_h.append(h)
-                    held_d.append((who + docs).astype(np.int32))
-                names.append(ids[at:at + 500])
-                docs += len(texts)
-                size += sum(map(len, texts))
-                if size > 16 << 20:
-                    yield from flush()
-                    held_h, held_d, names, size, docs = [], [], [], 0, 0
-                    _give_back()
-        if held_h:
-            yield from flush()
+            for home, rows, z in zip(b.column(0).to_pylist(), b.column(1), b.column(2)):
+                ids, texts = _texts(rows.as_py(), z.as_py())
+                found = [(h, who) for who, _, _, _, h in _snippets(texts, length)]
+                if not any(len(h) for h, _ in found):
+                    continue
+                names = np.unique(ids, return_inverse=True)[1].astype(np.int32)
+                h, count = _distinct(np.concatenate([h for h, _ in found]), names[np.concatenate([w for _, w in found])])
+                edge = np.searchsorted(_shard(h, meets), np.arange(meets + 1))
+                out = [(k, _pack(_steps(h[a:b]), count[a:b])) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
+                yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in out], pa.int32()), pa.array([home] * len(out), pa.int64()), pa.array([x for _, x in out], pa.binary())],
+                                                 names=["shard", "home", "blob"])
+            _give_back()
 
     def meet(key: tuple, blobs: pd.DataFrame) -> pd.DataFrame:
-        """Anchors in more than one document, back to the homes of these."""
-        hs, ds = [], []
-        for blob in blobs["blob"]:
-            h, d, names = _unpack(blob)
-            hs.append(np.cumsum(h))
-            ds.append(np.cumsum(names).view(np.int64)[d.astype(np.int64)])
-        h, d = np.concatenate(hs), np.concatenate(ds)
-        order = np.lexsort((d, h))
-        h, d = h[order], d[order]
-        fresh = np.concatenate([[True], (h[1:] != h[:-1]) | (d[1:] != d[:-1])])
-        h, d = h[fresh], d[fresh]
+        """Anchors in more than one document, back to the homes that have them."""
+        got = [_unpack(blob) for blob in blobs["blob"]]
+        home = np.repeat(np.arange(len(got), dtype=np.int32), [len(h) for h, _ in got])
+        h, count = np.concatenate([np.cumsum(h) for h, _ in got]), np.concatenate([c for _, c in got]).astype(np.int64)
+        del got
+        order = np.argsort(h, kind="stable")
+        h, count, home = h[order], count[order], home[order]
         head = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
-        count = np.diff(np.append(head, len(h)))
-        per = np.repeat(count, count)
-        keep = per > 1
-        h, d, very = h[keep], d[keep], (per[keep] > hot).astype(_U64)
-        home = _home(d, homes)
-        order = np.lexsort((h, d, home))
-        h, d, very, home = h[order], d[order], very[order], home[order]
-        edge = np.searchsorted(home, np.arange(homes + 1))
-        out = []
-        for k, (a, b) in enumerate(zip(edge, edge[1:])):
-            if b > a:
-                names, count = np.unique(d[a:b], return_counts=True)
-                out.append((k, _pack(_steps(names.view(_U64)), count, h[a:b], very[a:b])))
+        total = np.repeat(np.add.reduceat(count, head), np.diff(np.append(head, len(h))))
+        keep = total > 1
+        h, home, very = h[keep], home[keep], total[keep] > hot
+        order = np.argsort(home, kind="stable")  # hashes stay ascending
+        h, home, very = h[order], home[order], very[order].astype(np.int64)
+        edge, names = np.searchsorted(home, np.arange(len(blobs) + 1)), blobs["home"].tolist()
+        out = [(names[k], _pack(_steps(h[a:b]), very[a:b])) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
         _give_back()
-        return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int32"})
+        return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int64"})
+
+    sent = {"shard": "int32", "home": "int64", "blob": object, "bytes": object}
 
     def gather(key: tuple, group: pd.DataFrame, blobs: pd.DataFrame) -> pd.DataFrame:
-        """Snippets of a home's documents around anchors that recur."""
+        """Snippets of a home around anchors that recur: where they are (shard -1), and each once to its shard."""
+        nothing = pd.DataFrame({k: pd.Series([], dtype=t) for k, t in sent.items()})
         if not len(group) or not len(blobs):
-            return pd.DataFrame({"shard": pd.Series([], dtype="int32"), "blob": pd.Series([], dtype=object), "bytes": pd.Series([], dtype=object)})
-        ids, texts = _ordered(group)
-        names = np.unique(ids)
-        wanted, very = [], []
-        for blob in blobs["blob"]:
-            d, count, h, v = _unpack(blob)
-            slot = np.searchsorted(names, np.repeat(np.cumsum(d).view(np.int64), count.astype(np.int64))).astype(_U64)
-            wanted.append(slot << _U64(48) | h)
-            very.append(v)
-        wanted, very = np.concatenate(wanted), np.concatenate(very)
+            return nothing
+        ids, texts = _texts(group["rows"].iloc[0], group["z"].iloc[0])
+        told = [_unpack(blob) for blob in blobs["blob"]]
+        wanted, very = np.concatenate([np.cumsum(h) for h, _ in told]), np.concatenate([v for _, v in told])
         order = np.argsort(wanted)
         wanted, very = wanted[order], very[order]
         table: dict[tuple[int, bytes], int] = {}
         snippet, place, hashes, use, who_, first_ = [], [], [], [], [], []
         for who, first, n, off, h in _snippets(texts, length):
-            mine = np.searchsorted(names, ids[who]).astype(_U64) << _U64(48) | h
-            at = np.minimum(np.searchsorted(wanted, mine), len(wanted) - 1)
-            hit = np.flatnonzero(wanted[at] == mine)
-            for i, w, f, k, o, x, is_hot in zip(hit, who[hit].tolist(), first[hit].tolist(), n[hit].tolist(), off[hit].tolist(), h[hit].tolist(), very[at[hit]].tolist()):
+            at = np.minimum(np.searchsorted(wanted, h), len(wanted) - 1)
+            hit = np.flatnonzero(wanted[at] == h)
+            for w, f, k, o, x, is_hot in zip(who[hit].tolist(), first[hit].tolist(), n[hit].tolist(), off[hit].tolist(), h[hit].tolist(), very[at[hit]].tolist()):
                 t = texts[w]
                 # a very common anchor: every window for itself, keyed by all of its bytes
                 for f, s, o, x in ([(f, t[f:f + k + length - 1], o, x)] if not is_hot else
@@ -455,30 +458,35 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
                     who_.append(w)
                     first_.append(f)
         if not snippet:
-            return pd.DataFrame({"shard": pd.Series([], dtype="int32"), "blob": pd.Series([], dtype=object), "bytes": pd.Series([], dtype=object)})
-        shard = _shard(np.array(hashes, _U64), shards)
-        use, who_, first_ = np.array(use), np.array(who_), np.array(first_)
-        order = np.lexsort((first_, who_, use, shard[use]))
-        use, who_, first_ = use[order], who_[order], first_[order]
-        out = []
-        edge = np.searchsorted(shard[use], np.arange(shards + 1))
+            return nothing
+        del table
+        use, who_, first_ = np.array(use, np.int32), np.array(who_, np.int32), np.array(first_, np.int64)
+        size = np.fromiter(map(len, snippet), np.int64, len(snippet))
+        doc = ids[who_]
+        least, most = np.full(len(snippet), np.iinfo(np.int64).max), np.full(len(snippet), np.iinfo(np.int64).min)
+        np.minimum.at(least, use, doc)
+        np.maximum.at(most, use, doc)
+        order = np.argsort(use, kind="stable")
+        out = [(-1, key[0], _pack(size, _steps(use[order].astype(_U64)), who_[order], first_[order]), None)]
+        del use, who_, first_, doc
+        hashes, place = np.array(hashes, _U64), np.array(place, np.uint8)
+        shard = _shard(hashes, shards)
+        order = np.argsort(shard, kind="stable")
+        edge = np.searchsorted(shard[order], np.arange(shards + 1))
         press = zstandard.ZstdCompressor(level=3)
-        for k, (a, b) in enumerate(zip(edge, edge[1:])):
-            if b > a:
-                own, inv = np.unique(use[a:b], return_inverse=True)
-                docs_, dinv = np.unique(who_[a:b], return_inverse=True)
-                pieces = [snippet[i] for i in own]
-                out.append((k, _pack(np.array([key[0]]), np.array([place[i] for i in own]), np.array(list(map(len, pieces))), np.array([hashes[i] for i in own], _U64),
-                                     _steps(inv), dinv, first_[a:b], _steps(docs_), ids[docs_].view(_U64)), press.compress(b"".join(pieces))))
+        for k in np.flatnonzero(np.diff(edge)).tolist():
+            own = order[edge[k]:edge[k + 1]]
+            out.append((k, key[0], _pack(_steps(own.astype(_U64)), place[own], size[own], hashes[own], least[own].view(_U64), most[own] > least[own]),
+                        press.compress(b"".join([snippet[i] for i in own.tolist()]))))
         _give_back()
-        return pd.DataFrame(out, columns=["shard", "blob", "bytes"]).astype({"shard": "int32"})
+        return pd.DataFrame(out, columns=list(sent)).astype({"shard": "int32", "home": "int64"})
 
     def settle(key: tuple, blobs: pd.DataFrame) -> pd.DataFrame:
-        """Marks of a shard, back to the homes."""
+        """For the snippets of a shard their smallest document and the long matches of its copy, back to the homes."""
         number: dict[tuple[int, int, int], int] = {}
-        text, anchor, u_, home_, who_, doc_, first_ = [], [], [], [], [], [], []
+        text, anchor, u_, local_, doc_, many_ = [], [], [], [], [], []
         for blob, raw in zip(blobs["blob"], blobs["bytes"]):
-            home, place, size, h, inv, dinv, first, docs_, ids = _unpack(blob)
+            local, place, size, h, doc, many = _unpack(blob)
             raw, end = zstandard.ZstdDecompressor().decompress(raw), np.cumsum(size.astype(np.int64)).tolist()
             at, mine = 0, np.empty(len(place), np.int64)
             for i, (e, o, x) in enumerate(zip(end, place.tolist(), h.tolist())):
@@ -489,64 +497,70 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
                     text.append(s)
                     anchor.append(x << 1 | (o == 255))
                 mine[i] = u
-            u_.append(mine[np.cumsum(inv).astype(np.int64)])
-            dinv = dinv.astype(np.int64)
-            home_.append(np.full(len(dinv), int(home[0])))
-            who_.append(np.cumsum(docs_).astype(np.int64)[dinv])
-            doc_.append(ids.view(np.int64)[dinv])
-            first_.append(first.astype(np.int64))
-        u, home, who, doc, first = (np.concatenate(x) for x in (u_, home_, who_, doc_, first_))
+            u_.append(mine)
+            local_.append(np.cumsum(local))
+            doc_.append(doc.view(np.int64))
+            many_.append(many > 0)
+        del number
+        u, doc = np.concatenate(u_), np.concatenate(doc_)
         least = np.full(len(text), np.iinfo(np.int64).max)
         np.minimum.at(least, u, doc)
         size = np.fromiter(map(len, text), np.int64, len(text))
-        later = doc > least[u]
-        marks = [(home[later], who[later], first[later], size[u[later]])]
-        _, inv, count = np.unique(np.array(anchor, _U64), return_inverse=True, return_counts=True)
+        anchor = np.array(anchor, _U64)
+        _, inv, count = np.unique(anchor, return_inverse=True, return_counts=True)
         mixed = np.flatnonzero(count[inv] > 1)
-        if len(mixed):
-            mixed = mixed[np.argsort(least[mixed], kind="stable")]
-            pieces = [text[i] for i in mixed]
-            index = RunLengthIndex(pieces, least[mixed], length)
+        owner_, place_ = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for part in _portions(anchor[mixed], size[mixed], index_bytes) if len(mixed) else ():
+            part = mixed[part]
+            part = part[np.argsort(least[part], kind="stable")]
+            pieces = [text[i] for i in part.tolist()]
+            index = RunLengthIndex(pieces, least[part], length)
             long, rows_, _ = index.statistics(pieces)
-            start = np.cumsum(size[mixed]) - size[mixed]
+            start = np.cumsum(size[part]) - size[part]
             at = np.flatnonzero(long >= length)
             owner = np.searchsorted(start, at, side="right") - 1
-            hit = index.smallest(rows_[at]) < least[mixed][owner]
-            at, owner = at[hit], owner[hit]
-            # the first documents of these snippets hold them where ``later`` is not set
-            order = np.argsort(u, kind="stable")
-            lo, hi = np.searchsorted(u[order], mixed[owner]), np.searchsorted(u[order], mixed[owner], side="right")
-            reps = hi - lo
-            row = order[np.repeat(lo - np.cumsum(reps) + reps, reps) + np.arange(reps.sum())]
-            off = np.repeat(at - start[owner], reps)
-            own = ~later[row]
-            row, off = row[own], off[own]
-            marks.append((home[row], who[row], first[row] + off, np.full(len(row), length)))
-        home, who, first, size = (np.concatenate(x) for x in zip(*marks))
-        order = np.lexsort((first, who, home))
-        home, who, first, size = home[order], who[order], first[order], size[order]
+            hit = index.smallest(rows_[at]) < least[part][owner]
+            owner_.append(part[owner[hit]])
+            place_.append((at - start[owner])[hit])
+            del index, long, rows_
+        owner, place = np.concatenate(owner_), np.concatenate(place_)
+        order = np.lexsort((place, owner))
+        owner, place = owner[order], place[order]
+        hits = np.bincount(owner, minlength=len(text))
+        begin = np.cumsum(hits) - hits
         out = []
-        if len(home):
-            # runs of marks that touch become one
-            stop = first + size
-            group = np.cumsum(np.concatenate([[True], (home[1:] != home[:-1]) | (who[1:] != who[:-1])])) - 1
-            base = group * (1 << 40)
-            reach = np.maximum.accumulate(base + stop)
-            head = np.flatnonzero(np.concatenate([[True], (base + first)[1:] > reach[:-1]]))
-            last = reach[np.append(head[1:], len(reach)) - 1] - base[head]
-            home, who, first = home[head], who[head], first[head]
-            edge = np.flatnonzero(np.concatenate([[True], home[1:] != home[:-1], [True]]))
-            out = [(home[a], _pack(_steps(who[a:b]), first[a:b], (last - first)[a:b])) for a, b in zip(edge, edge[1:])]
+        for home, mine, local, doc, many in zip(blobs["home"].tolist(), u_, local_, doc_, many_):
+            here = least[mine] == doc  # the snippet's smallest document is in this home
+            tell = np.flatnonzero(many | ~here | (hits[mine] > 0))
+            if len(tell):
+                n = np.where(here[tell], hits[mine[tell]], 0)
+                at = np.repeat(begin[mine[tell]] - np.cumsum(n) + n, n) + np.arange(n.sum())
+                out.append((home, _pack(_steps(local[tell]), least[mine[tell]].view(_U64), n, place[at])))
         _give_back()
-        return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int32"})
+        return pd.DataFrame(out, columns=["home", "blob"]).astype({"home": "int64"})
 
-    def finish(key: tuple, group: pd.DataFrame, blobs: pd.DataFrame) -> pd.DataFrame:
+    def finish(key: tuple, group: pd.DataFrame, said: pd.DataFrame) -> pd.DataFrame:
         names = ["id", "n_bytes", "spans", "kept_sha256", *["kept"] * with_text]
         if not len(group):
             return pd.DataFrame({n: pd.Series([], dtype=object) for n in names})
-        ids, texts = _ordered(group)
-        who, first, stop = (np.concatenate(x) for x in zip((np.zeros(0, np.int64),) * 3, *[
-            (np.cumsum(w).astype(np.int64), f.astype(np.int64), (f + n).astype(np.int64)) for w, f, n in map(_unpack, blobs["blob"])]))
+        ids, texts = _texts(group["rows"].iloc[0], group["z"].iloc[0])
+        who, first, stop = (np.zeros(0, np.int64) for _ in range(3))
+        kept_, told = said["blob"][said["kept"]].tolist(), [_unpack(x) for x in said["blob"][~said["kept"]]]
+        if kept_ and told:
+            size, use, at, place = (x.astype(np.int64) for x in _unpack(kept_[0]))
+            use = np.cumsum(use)
+            local, least, n, hit = (np.concatenate(x) for x in zip(*[(np.cumsum(a).astype(np.int64), b.view(np.int64), c.astype(np.int64), d.astype(np.int64)) for a, b, c, d in told]))
+            low = np.full(len(size), np.iinfo(np.int64).max)
+            low[local] = least
+            hits, begin = np.zeros(len(size), np.int64), np.zeros(len(size), np.int64)
+            hits[local], begin[local] = n, np.cumsum(n) - n
+            later = ids[at] > low[use]
+            own = np.flatnonzero((ids[at] == low[use]) & (hits[use] > 0))
+            reps = hits[use[own]]
+            k = np.repeat(begin[use[own]] - np.cumsum(reps) + reps, reps) + np.arange(reps.sum())
+            who = np.concatenate([at[later], np.repeat(at[own], reps)])
+            first = np.concatenate([place[later], np.repeat(place[own], reps) + hit[k]])
+            stop = first + np.concatenate([size[use[later]], np.full(len(k), length)])
         order = np.lexsort((first, who))
         who, first, stop = who[order], first[order], stop[order]
         edge = np.searchsorted(who, np.arange(len(ids) + 1))
@@ -564,6 +578,7 @@ def _steps_of(shards: int, homes: int, length: int, hot: int, with_text: bool) -
                 at = b
             kept = b"".join([*kept, t[at:]])
             out.append((int(ids[i]), len(t), [{"a": a, "b": b} for a, b in spans], hashlib.sha256(kept).hexdigest(), *[kept] * with_text))
+        _give_back()
         return pd.DataFrame(out, columns=names)
 
     return announce, meet, gather, settle, finish
@@ -574,28 +589,23 @@ def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", le
     """Rows (id, n_bytes, spans, kept_sha256[, kept]) for every document row.
 
     ``spans`` are the maximal removed byte runs (start, end); ``kept`` the
-    bytes that stay.
+    bytes that stay. ``shard_bytes`` of text give a shard of snippets; homes
+    take twice, portions of an index a third of it.
     """
     if length < GRAM + 1:
         raise ValueError(f"length over {GRAM}")
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("binary"), F.lit(b"")).alias("t"))
-    known = rows.where("id is not null")
-    total = known.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    shards = max(1, -(-total // shard_bytes))  # of anchors
-    homes = max(1, -(-total // (3 * shard_bytes)))  # of documents
-    announce, meet, gather, settle, finish = _steps_of(shards, homes, length, hot, with_text)
     schema = "id long, n_bytes long, spans array<struct<a:long,b:long>>, kept_sha256 string" + ", kept binary" * with_text
-    session, batch = docs.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    usual = session.conf.get(batch)
-    session.conf.set(batch, "1000")  # long texts: smaller batches on both sides of the pipe
-    try:
-        said = staged(known.mapInArrow(announce, "shard int, blob binary").groupBy("shard").applyInPandas(meet, "home int, blob binary"), "recurring")
-        packed = _groups(known, homes)
-        dealt = staged(packed.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(gather, "shard int, blob binary, bytes binary")
-                       .groupBy("shard").applyInPandas(settle, "home int, blob binary"), "marks")
-    finally:
-        session.conf.set(batch, usual)
-    done = packed.groupBy("home").cogroup(dealt.groupBy("home")).applyInPandas(finish, schema)
+    homes = staged(_homes(rows.where("id is not null"), 2 * shard_bytes), "homes")
+    total = homes.agg(F.sum("n_bytes")).first()[0] or 0
+    shards, meets = max(1, -(-total // shard_bytes)), max(1, -(-total // (8 * shard_bytes)))
+    announce, meet, gather, settle, finish = _steps_of(shards, meets, length, hot, shard_bytes // 3, with_text)
+    texts = homes.select("home", "rows", "z")
+    told = texts.mapInArrow(announce, "shard int, home long, blob binary").groupBy("shard").applyInPandas(meet, "home long, blob binary")
+    sent = staged(texts.groupBy("home").cogroup(told.groupBy("home")).applyInPandas(gather, "shard int, home long, blob binary, bytes binary"), "snippets")
+    back = staged(sent.where("shard >= 0").groupBy("shard").applyInPandas(settle, "home long, blob binary"), "marks")
+    said = back.withColumn("kept", F.lit(False)).unionByName(sent.where("shard < 0").select("home", "blob", F.lit(True).alias("kept")))
+    done = texts.groupBy("home").cogroup(said.groupBy("home")).applyInPandas(finish, schema)
     alone = rows.where("id is null").select("id", F.octet_length("t").cast("long").alias("n_bytes"), F.array().cast("array<struct<a:bigint,b:bigint>>").alias("spans"),
                                             F.sha2("t", 256).alias("kept_sha256"), *[F.col("t").alias("kept")] * with_text)
     return done.unionByName(alone)
