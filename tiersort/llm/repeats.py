@@ -143,8 +143,8 @@ def _steps(x: np.ndarray) -> np.ndarray:
 
 
 def _shard(h: np.ndarray, shards: int) -> np.ndarray:
-    """Shard of a 48-bit hash; ascending with it."""
-    return ((h >> _U64(16)) * _U64(shards) >> _U64(32)).astype(np.int64)
+    """Shard of a 48-bit hash, mixed once more: anchors are minima, so their hashes crowd at the low end."""
+    return ((h * _U64(0x9E3779B97F4A7C15) >> _U64(32)) * _U64(shards) >> _U64(32)).astype(np.int32)
 
 
 def _give_back() -> None:
@@ -402,7 +402,9 @@ def _steps_of(shards: int, meets: int, length: int, hot: int, index_bytes: int,
                     continue
                 names = np.unique(ids, return_inverse=True)[1].astype(np.int32)
                 h, count = _distinct(np.concatenate([h for h, _ in found]), names[np.concatenate([w for _, w in found])])
-                edge = np.searchsorted(_shard(h, meets), np.arange(meets + 1))
+                shard = _shard(h, meets)
+                order = np.argsort(shard, kind="stable")  # hashes stay ascending
+                h, count, edge = h[order], count[order], np.searchsorted(shard[order], np.arange(meets + 1))
                 out = [(k, _pack(_steps(h[a:b]), count[a:b])) for k, (a, b) in enumerate(zip(edge, edge[1:])) if b > a]
                 yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in out], pa.int32()), pa.array([home] * len(out), pa.int64()), pa.array([x for _, x in out], pa.binary())],
                                                  names=["shard", "home", "blob"])
