@@ -64,7 +64,7 @@ def test_codes_rank_like_distances():
     rng = np.random.default_rng(1)
     x = rng.normal(size=(600, 16))
     x /= np.linalg.norm(x, axis=1, keepdims=True)
-    index = ann.Index(x, 4, 8)
+    index = ann.Index(x, ann.kmeans(x, 4, np.random.default_rng(3)), 8)
     cell, codes = index.encode(x)
     rows = np.flatnonzero(cell == 0)
     near = index.promising(x[rows[:20]], 0, codes[rows], 10)

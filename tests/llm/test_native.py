@@ -54,6 +54,29 @@ def test_templates_reject_by_purity(spark):
     assert got == {200: "block", 201: "allow", 202: "allow"}
 
 
+def test_branches_without_evidence_fall_into_their_pool(spark):
+    rules = [("block", "bad.org", "/shop/"), ("block", "mixed.org", "/a/b/x/"), ("allow", "mixed.org", "/a/b/y/")]
+    rows = [(i, f"http://bad.org/shop/item{i}/view") for i in range(30)]
+    rows += [(100 + i, f"http://mixed.org/a/b/x/{i}") for i in range(30)] + [(200 + i, f"http://mixed.org/a/b/y/{i}") for i in range(30)]
+    rows += [(300, "http://bad.org/news/1"), (301, "http://bad.org/"), (302, "http://mixed.org/a/b/z/1"), (303, "http://few.org/shop/1"), (304, "http://bad.org/" + "s/" * 3000 + "end"), (305, None)]
+    got = {r.page_id: (r.verdict, r.purity) for r in urls.judge(spark.createDataFrame(rows, "page_id long, url string"), rules).where("rule is null").collect()}
+    assert {k: v for k, (v, _) in got.items()} == {300: "block", 301: "block", 302: "allow", 303: "allow", 304: "block", 305: "allow"}
+    assert abs(got[302][1] - 0.5) < 0.1
+
+
+def test_many_children_become_one_template(spark):
+    rows = [(i, f"http://a.org/{w}/x") for i, w in enumerate("abcdefghijklmnop")] + [(99, "http://a.org/q/x/y")]
+    got = {r.page_id: r.template for r in urls.judge(spark.createDataFrame(rows, "page_id long, url string")).collect()}
+    assert set(got.values()) == {"/*/x", "/*/x/y"}
+
+
+def test_more_groups_than_a_driver_holds(spark):
+    df = spark.createDataFrame([(f"s{i}", 10 + i, float(x)) for i, x in enumerate([0, 1e-4, 3, 17, 30, 42])], "g string, size long, target double")
+    got = mixing.balance_each(df.select("g", "size"), df.select("g", "target"), "g").collect()
+    size = {r.g: r.size for r in df.collect()}
+    assert all(abs(r.rate * size[r.g] - r.target) <= 1e-12 * max(1, r.target) for r in got) and len(got) == 6
+
+
 def test_salted_join_equals_broadcast(spark, tmp_path):
     awkward(spark, tmp_path)
     docs = spark.read.parquet(f"{tmp_path}/documents.parquet")

@@ -8,10 +8,16 @@ the most promising members are reranked by the exact cosine of the original
 vectors. Centroids and codewords are fitted on a bounded sample (``most_fit``
 vectors, by a hash of their ids); every vector is indexed.
 
-Lists are cut into shards of a bounded number of vectors by a hash of the id,
-so a list with a third of all vectors isn't one task; a query goes to every
-shard of a list it visits, and the shards' best are merged. Queries are
-exchanged by list, never broadcast.
+How many lists there are and how many of them a query visits follows from the
+sample: for several numbers of lists, up to the root of the table's rows, the
+sample's own queries say how many lists hold the wanted share of their true
+neighbours, and the cheapest such pair is taken. So data without structure is
+visited widely, data in clusters list by list.
+
+A list is cut into shards of a bounded number of vectors, and the queries that
+visit it into blocks of a bounded number, both by a hash of the id; a task sees
+one block and one shard. Queries are exchanged by list, never broadcast. A
+shard's best are merged by partial rank before and after the exchange.
 
 Vectors that are null, zero, of another dimension than the first, or hold null
 or non-finite components take no part, neither as query nor as candidate. Null
@@ -27,10 +33,10 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tiersort.llm.common import staged
+from tiersort.llm.common import shipped, staged
 
 MOST_FIT = 20_000
 
@@ -62,11 +68,11 @@ def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
 class Index:
     """Coarse centroids, and codewords (parts, 256, width) of residuals; works on unit vectors."""
 
-    def __init__(self, sample: np.ndarray, lists: int, parts: int, seed: int = 3):
+    def __init__(self, sample: np.ndarray, coarse: np.ndarray, parts: int, seed: int = 3):
         rng = np.random.default_rng(seed)
         self.parts = parts
         self.width = -(-sample.shape[1] // parts)
-        self.coarse = kmeans(sample, lists, rng)
+        self.coarse = coarse
         rest = self.cut(sample - self.coarse[nearest(sample, self.coarse)])
         self.words = [kmeans(np.ascontiguousarray(rest[:, p]), 256, rng, 8) for p in range(parts)]
 
@@ -122,21 +128,51 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
-def fit(vectors: DataFrame, lists: int | None = None, parts: int = 16, most_fit: int = MOST_FIT) -> Index | None:
-    """Index of at most ``most_fit`` rows of (id, v); sqrt(sample) lists unless said otherwise."""
+def probes_for(sample: np.ndarray, coarse: np.ndarray, k: int, recall: float, queries: int = 300) -> tuple[int, float]:
+    """Lists to visit so that the share ``recall`` of true neighbours within the sample is met, and the share of vectors in them."""
+    cell = nearest(sample, coarse)
+    asks = sample[np.linspace(0, len(sample) - 1, min(queries, len(sample))).astype(int)]
+    near = asks @ sample.T
+    top = np.argpartition(-near, min(k, near.shape[1] - 1), 1)[:, :k + 1]  # itself and k others
+    order = np.argsort(-(asks @ coarse.T - (coarse ** 2).sum(1) / 2), 1, kind="stable")
+    place = np.empty_like(order)
+    np.put_along_axis(place, order, np.arange(order.shape[1])[None], 1)
+    met = np.sort(np.take_along_axis(place, cell[top], 1).ravel())
+    probes = int(met[min(len(met) - 1, int(np.ceil(recall * len(met))))]) + 1
+    size = np.bincount(cell, minlength=len(coarse))
+    return probes, float(size[order[:, :probes]].sum(1).mean() / len(sample))
+
+
+def fit(vectors: DataFrame, lists: int | None = None, parts: int = 16, most_fit: int = MOST_FIT, k: int = 5, recall: float = 0.96) -> tuple[Index, int] | None:
+    """Index of rows (id, v) from at most ``most_fit`` of them, and the lists to visit.
+
+    ``lists`` fixes the number of lists; without it the cheapest of several
+    numbers is taken, up to the root of the rows and an eighth of the sample.
+    """
     few = vectors.orderBy(F.xxhash64("id"), "id").limit(most_fit).toArrow()
     if not len(few):
         return None
     x = _unit(_matrix(few.column("v").combine_chunks()))
-    return Index(x, lists or max(1, min(1024, int(2 * len(x) ** 0.5))), parts)
-
-
-def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, probes: float = 0.6, rerank: int = 48,
-           lists: int | None = None, parts: int = 16, shard_rows: int = 20_000, most_fit: int = MOST_FIT) -> DataFrame:
+    rows = vectors.count()
+    most = max(8, min(int(rows ** 0.5), len(x) // 8))
+    best = None
+    for n in [lists] if lists else sorted({min(most, n) for n in (12, *(8 << j for j in range(14)))}):
+        coarse = kmeans(x, n, np.random.default_rng(3))
+        probes, share = probes_for(x, coarse, k, recall)
+        cost = share + len(coarse) / rows  # members a query is held against, and centroids, by the table's size
+        if best is None or cost < best[0]:
+            best = cost, coarse, probes
+    return Index(x, best[1], parts), best[2]
+
+
+def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5, recall: float = 0.96, probes: float | None = None, rerank: int = 48,
+           lists: int | None = None, parts: int = 16, shard_rows: int = 20_000, block_rows: int = 4_000, most_fit: int = MOST_FIT) -> DataFrame:
     """Rows (query_id, rank, vec_id, score): the k nearest found of each row with ``is_query`` (a condition on ``id``).
 
-    ``probes`` is the share of lists a query visits, ``rerank`` the number of
-    members reranked in each shard of a list. Rows that repeat an id count once.
+    ``recall`` is what the visited lists are to hold of the sample's true
+    neighbours; ``probes`` fixes the share of lists a query visits instead,
+    ``rerank`` the number of members reranked in each shard of a list. Rows
+    that repeat an id count once, by their best vector.
     """
     spark = df.sparkSession
     empty = "query_id long, rank int, vec_id long, score double"
@@ -145,39 +181,47 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
     if head is None:
         return spark.createDataFrame([], empty)
     every = every.where(F.size("v") == head.d)
-    index = fit(every, lists, parts, most_fit)
-    visited = max(8, round(probes * len(index.coarse)))  # the few lists of a small table are all visited
-    sent = spark.sparkContext.broadcast(index)  # bounded: centroids and codewords only
+    index, visited = fit(every, lists, parts, most_fit, k, recall)
+    if probes is not None:
+        visited = max(8, round(probes * len(index.coarse)))
+    sent = shipped(spark, index)  # bounded: centroids and codewords only
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent()
         for b in batches:
             if b.num_rows:
-                cell, codes = sent.value.encode(_unit(_matrix(b.column(1))))
+                cell, codes = held.encode(_unit(_matrix(b.column(1))))
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cell.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary())], names=["id", "v", "list", "code"])
 
     def visit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent()
         for b in batches:
             if b.num_rows:
-                lists_ = sent.value.visits(_unit(_matrix(b.column(1))), visited)
+                lists_ = held.visits(_unit(_matrix(b.column(1))), visited)
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([x.astype(np.int32) for x in lists_], pa.list_(pa.int32()))], names=["id", "v", "lists"])
 
     coded = staged(every.mapInArrow(encode, "id long, v array<double>, list int, code binary"), "coded")
-    shards = coded.groupBy("list").agg(F.greatest(F.lit(1), F.ceil(F.count("*") / shard_rows)).cast("int").alias("shards"))
-    asked = coded.where(is_query).select("id", "v").mapInArrow(visit, "id long, v array<double>, lists array<int>").select("id", "v", F.explode("lists").alias("list"))
-    members = coded.join(F.broadcast(shards), "list").withColumn("shard", F.pmod(F.xxhash64("id"), F.col("shards")).cast("int"))  # a row for each centroid
-    asked = asked.join(F.broadcast(shards), "list").withColumn("shard", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
+    asked = staged(coded.where(is_query).select("id", "v").mapInArrow(visit, "id long, v array<double>, lists array<int>").select("id", "v", F.explode("lists").alias("list")), "asked")
+    cut = lambda n, rows: F.greatest(F.lit(1), F.ceil(n / rows)).cast("int")
+    sizes = (coded.groupBy("list").agg(cut(F.count("*"), shard_rows).alias("shards"))
+             .join(asked.groupBy("list").agg(cut(F.count("*"), block_rows).alias("blocks")), "list"))  # a row for each centroid
+    part = lambda of, n: F.pmod(F.xxhash64(of), F.col(n)).cast("int")
+    every_part = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    members = coded.join(F.broadcast(sizes), "list").withColumn("shard", part("id", "shards")).withColumn("block", every_part("blocks"))
+    asked = asked.join(F.broadcast(sizes), "list").withColumn("block", part("id", "blocks")).withColumn("shard", every_part("shards"))
 
     def scan(key: tuple, q: pd.DataFrame, m: pd.DataFrame) -> pd.DataFrame:
         if not len(q) or not len(m):
             return pd.DataFrame({"query_id": pd.Series([], dtype="int64"), "vec_id": pd.Series([], dtype="int64"), "score": pd.Series([], dtype="float64")})
+        held = sent()
         m = m.sort_values("id", kind="stable")
         ids, vecs = m["id"].to_numpy(), _unit(np.stack(m["v"].to_numpy()))
         codes = np.frombuffer(b"".join(m["code"]), np.uint8).reshape(len(m), -1)
         out = []
         for at in range(0, len(q), 256):
-            part = q.iloc[at:at + 256]
-            mine, asks = part["id"].to_numpy(), np.stack(part["v"].to_numpy())
-            rows = sent.value.promising(_unit(asks), int(key[0]), codes, rerank + 1)
+            some = q.iloc[at:at + 256]
+            mine, asks = some["id"].to_numpy(), np.stack(some["v"].to_numpy())
+            rows = held.promising(_unit(asks), int(key[0]), codes, rerank + 1)
             for i, r in enumerate(rows):
                 r = r[ids[r] != mine[i]]
                 exact = np.round(vecs[r] @ _unit(asks[i:i + 1])[0], 12)  # equal vectors get equal scores, wherever they stand in a block
@@ -185,20 +229,19 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
                 out.append(pd.DataFrame({"query_id": mine[i], "vec_id": ids[r][best], "score": exact[best]}))
         return pd.concat(out)
 
-    found = asked.groupBy("list", "shard").cogroup(members.select("list", "shard", "id", "v", "code").groupBy("list", "shard")).applyInPandas(
-        scan, "query_id long, vec_id long, score double")
-    cut = _best(found, 4 * k)
+    found = asked.select("list", "shard", "block", "id", "v").groupBy("list", "shard", "block").cogroup(
+        members.select("list", "shard", "block", "id", "v", "code").groupBy("list", "shard", "block")).applyInPandas(scan, "query_id long, vec_id long, score double")
+    top = _best(found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), 4 * k)
     # the score in its plain form, over the components in order
-    pairs = (cut.join(coded.select(F.col("id").alias("query_id"), F.col("v").alias("a")), "query_id")
+    pairs = (top.join(coded.select(F.col("id").alias("query_id"), F.col("v").alias("a")), "query_id")
              .join(coded.select(F.col("id").alias("vec_id"), F.col("v").alias("b")), "vec_id"))
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda s, t: s * t), F.lit(0.0), lambda s, t: s + t)
     cosine = dot("a", "b") / (F.sqrt(dot("a", "a")) * F.sqrt(dot("b", "b")))
-    scored = pairs.select("query_id", "vec_id", cosine.alias("score"))
+    scored = pairs.select("query_id", "vec_id", cosine.alias("score")).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     return _best(scored, k).select("query_id", "rank", "vec_id", "score")
 
 
 def _best(found: DataFrame, k: int) -> DataFrame:
-    """The k best of each query with their rank; partial selection before the exchange's result is sorted."""
-    top = found.groupBy("query_id").agg(F.slice(F.sort_array(F.collect_set(F.struct((-F.col("score")).alias("n"), "vec_id"))), 1, k).alias("top"))
-    return top.select("query_id", F.posexplode("top").alias("at", "t")).select(
-        "query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("t.vec_id").alias("vec_id"), (-F.col("t.n")).alias("score"))
+    """The k best of each query with their rank; rows beyond it go before the exchange."""
+    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)

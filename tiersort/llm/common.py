@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import pickle
 import tempfile
 import uuid
+from collections.abc import Callable
 
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,7 +22,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Only where the session names none (as in tests) a temporary one is used.
+    Where the session names none, a session on one machine (as in tests) gets a
+    temporary one; on a cluster that is an error, as executors could not see it.
     """
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if named:
@@ -27,6 +31,8 @@ def shared_dir(spark: SparkSession) -> str:
     held = spark.sparkContext._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return held.get()
+    if not spark.sparkContext.master.startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     made = tempfile.mkdtemp(prefix="tiersort-")
     spark.sparkContext.setCheckpointDir(made)
     return made
@@ -40,7 +46,36 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/tiersort-{uuid.uuid4().hex}/{tag}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_at = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes the files of a staged table that nothing reads any more."""
+    path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._staged_at)
+    path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path.getParent(), True)
+
+
+def shipped(spark: SparkSession, what: object) -> Callable[[], object]:
+    """``what`` broadcast with its class by value; workers call the result to get it, without the repository on their path."""
+    box = spark.sparkContext.broadcast(cloudpickle.dumps(what))
+
+    def get() -> object:
+        return pickle.loads(box.value)
+
+    return get
+
+
+def free_names(df: DataFrame, *wanted: str) -> list[str]:
+    """Column names like those wanted that ``df`` doesn't use (case aside)."""
+    used, out = {c.lower() for c in df.columns}, []
+    for name in wanted:
+        while name.lower() in used:
+            name += "_"
+        used.add(name.lower())
+        out.append(name)
+    return out
 
 
 def row_key(df: DataFrame) -> Column:
@@ -63,7 +98,25 @@ def word_count(text: Column) -> Column:
     return starts.cast("long")
 
 
-def components(edges: DataFrame, src: str = "u", dst: str = "v", most_rounds: int = 60) -> DataFrame:
+#: Rows of a key from which on it counts as hot, and the share of all rows from which on it does in larger tables: at most HUB_PARTS keys do.
+HUB_ROWS, HUB_PARTS = 1_000, 2_000
+
+
+def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m") -> DataFrame:
+    """``rows`` with the smallest ``value`` of each ``key``; ``n`` rows at most.
+
+    Minima are aggregated before the exchange. Those of keys with more than
+    HUB_ROWS and n / HUB_PARTS rows, HUB_PARTS at most, are broadcast, so the
+    rows of a hub stay where they are; the others are joined by key.
+    """
+    least = rows.groupBy(key).agg(F.min(value).alias(name), F.count("*").alias("_n"))
+    bound = max(HUB_ROWS, n // HUB_PARTS)
+    held = rows.join(F.broadcast(least.where(F.col("_n") > bound).select(key, F.col(name).alias("_hub"))), key, "left")
+    rest = held.where("_hub is null").drop("_hub").join(least.where(F.col("_n") <= bound).drop("_n"), key)
+    return rest.unionByName(held.where("_hub is not null").withColumnRenamed("_hub", name))
+
+
+def components(edges: DataFrame, src: str = "u", dst: str = "v") -> DataFrame:
     """Connected components of an undirected edge list: rows (id, component).
 
     ``component`` is the smallest id that can be reached; ids without an edge
@@ -71,28 +124,29 @@ def components(edges: DataFrame, src: str = "u", dst: str = "v", most_rounds: in
     vertex links its larger neighbours to the smallest it knows, then its
     smaller ones), so that the number of rounds grows with the logarithm of a
     component's size and no vertex is collected into one task: minima are
-    aggregated before the exchange and hubs are dealt by a join that adaptive
-    execution splits. Each round is staged in the shared folder.
+    aggregated before the exchange and hubs' rows aren't exchanged. Each round
+    is staged in the shared folder; the one before it is deleted.
     """
     def tidy(df: DataFrame) -> DataFrame:
         return df.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
 
-    now, before = staged(tidy(edges.select(F.col(src).alias("u"), F.col(dst).alias("v"))), "edges"), None
-    for turn in range(most_rounds):
+    def sign(df: DataFrame) -> tuple:
+        return tuple(df.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first())
+
+    now = staged(tidy(edges.select(F.col(src).alias("u"), F.col(dst).alias("v"))), "edges")
+    size, turn, before = sign(now), 0, None
+    while size != before:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         # larger neighbours go to the smallest known vertex
-        hung = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        hung = tidy(hung)
-        low = hung.groupBy("u").agg(F.min("v").alias("m"))
+        near = with_least(both, "u", "v", 2 * size[0])
+        hung = staged(tidy(near.where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v"))), f"hung{turn}")
         # smaller neighbours, and the vertex itself, too
-        drawn = hung.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        now = staged(tidy(drawn.unionByName(low.select("u", F.col("m").alias("v")))), f"round{turn}")
-        sign = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
-        if sign == before:
-            break
-        before = sign
-    else:
-        raise RuntimeError("components did not settle")
+        drawn = with_least(hung, "u", "v", 2 * size[0]).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        low = hung.groupBy("u").agg(F.min("v").alias("v"))
+        after = staged(tidy(drawn.unionByName(low)), f"round{turn}")
+        discard(hung)
+        discard(now)
+        now, before, turn = after, size, turn + 1
+        size = sign(now)
     return now.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(
         now.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct())

@@ -28,6 +28,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from tiersort.llm.common import shipped
+
 # HTML elements by behaviour.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title".split())
@@ -381,13 +383,14 @@ def main_text(source: str | None, model: Model) -> str:
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", model: Model | None = None) -> DataFrame:
     """Rows (page_id, url, text, n_chars)."""
-    sent = pages.sparkSession.sparkContext.broadcast(model or standard_model())
+    sent = shipped(pages.sparkSession, model or standard_model())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent()
         for b in batches:
             for at in range(0, b.num_rows, 500):
                 part = b.slice(at, 500)
-                text = [main_text(t.as_py(), sent.value) for t in part.column(2)]
+                text = [main_text(t.as_py(), held) for t in part.column(2)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(text, pa.string()), pa.array(map(len, text), pa.int64())],
                                                  names=["page_id", "url", "text", "n_chars"])
 

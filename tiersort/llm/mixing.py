@@ -3,11 +3,11 @@
 Rates as near as possible (in relative entropy) to one for each document, such
 that the words of every constraint group meet a target, are exponentials of a
 sum of one multiplier for each group. The multipliers minimise a convex dual;
-Newton steps find them. Where the groups of one column are the only
-constraints the dual falls apart into one equation for each group, and every
-group's row iterates for itself in the plan; several columns share one Newton
-iteration, whose gradient and Hessian are aggregated over the cells of equal
-groups.
+Newton steps find them. Documents of equal groups have equal rates, so they
+are first aggregated into cells; each step then aggregates the gradient and
+the Hessian over the cells. With one column of groups the Hessian is diagonal
+and the multipliers stay in a table, whatever their number (``balance_each``,
+which the mix uses); several columns share one bounded system (``balance``).
 
 Rates become copies: each document of a cell gets the whole part, and in a
 fixed pseudo-random order the first documents get one more until the words of
@@ -26,11 +26,10 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tiersort.llm.common import staged, word_count
+from tiersort.llm.common import discard, staged, word_count
 
 MOST_TIMES = 3
 RANGES = 21  # bits of the order below a range: 2^31 places in 1024 ranges
-NEWTON_STEPS = 64
 
 
 def place(doc_id: Column) -> Column:
@@ -61,11 +60,29 @@ def targets(sources: DataFrame, weights: tuple[int, ...] = (5, 2, 1), most: int
     return s.withColumn("lev", level).select("source", "source_size", F.least(F.col("bound").cast("double"), F.col("lev") * F.col("w")).alias("target"))
 
 
-def newton_rate(size: Column, target: Column) -> Column:
-    """exp(multiplier) of one group: the root of size * exp(x) = target, by Newton steps on the dual."""
-    step = F.aggregate(F.sequence(F.lit(1), F.lit(NEWTON_STEPS)), F.lit(0.0),
-                       lambda x, _: x - F.lit(1.0) + target / (size * F.exp(x)))
-    return F.when((target > 0) & (size > 0), F.exp(step)).otherwise(F.lit(0.0))
+def balance_each(cells: DataFrame, targets: DataFrame, group: str, size: str = "size", close: float = 1e-13, most_steps: int = 2_000) -> DataFrame:
+    """Rows (group, target, rate): the words of ``cells`` (group, size) times the rate meet ``targets`` (group, target).
+
+    One Newton iteration over all groups: each step aggregates every group's
+    tilted words (its gradient is these less the target, its Hessian entry
+    these) and moves its multiplier, by 2 at most. A target of 0 or a group
+    without words has rate 0. From 0 a multiplier falls by about 1 a step
+    towards the logarithm of a small rate, so the steps needed are few.
+    """
+    words = cells.groupBy(F.col(group).alias("_g")).agg(F.sum(size).cast("double").alias("_words"))
+    joined = targets.join(words, F.col(group).eqNullSafe(F.col("_g")), "left").drop("_g")
+    start = F.when((F.col("target") > 0) & (F.col("_words") > 0), F.lit(0.0))
+    now = staged(joined.select(group, "target", "_words", start.alias("_x")), "newton0")
+    for step in range(1, most_steps + 1):
+        tilted = F.col("_words") * F.exp("_x")
+        gap = F.abs(tilted - F.col("target")) / F.col("target")
+        if (now.agg(F.max(gap)).first()[0] or 0.0) <= close:
+            break
+        move = (F.col("target") - tilted) / tilted
+        after = staged(now.withColumn("_x", F.col("_x") + F.greatest(F.lit(-2.0), F.least(F.lit(2.0), move))), f"newton{step}")
+        discard(now)
+        now = after
+    return now.select(group, "target", F.coalesce(F.exp("_x"), F.lit(0.0)).alias("rate"))
 
 
 def balance(cells: DataFrame, margins: dict[str, dict], size: str = "size", most_steps: int = 200, close: float = 1e-9,
@@ -131,8 +148,10 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text_col: str = "text", source_
         weights: tuple[int, ...] = (5, 2, 1), most: int = MOST_TIMES, carry: tuple[str, ...] = ()) -> DataFrame:
     """Rows (doc_id, source, size, source_size, target, taken) and the columns of ``carry``; a row for each input row."""
     sized = staged(docs.select(*carry, F.col(doc_id).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")), "sizes")
-    per_source = targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most)
-    rates = per_source.withColumn("rate", newton_rate(F.col("source_size").cast("double"), F.col("target"))).withColumnRenamed("source", "_s")
+    cells = staged(sized.groupBy("source").agg(F.sum("size").alias("source_size")), "cells")
+    wanted = staged(targets(cells, weights, most), "targets")
+    rates = balance_each(cells, wanted.select("source", "target"), "source", "source_size").select(F.col("source").alias("_s"), "target", "rate")
+    rates = rates.join(wanted.select(F.col("source").alias("_t"), "source_size"), F.col("_s").eqNullSafe(F.col("_t"))).drop("_t")
     rated = sized.join(rates, F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
     return rounded(rated, "source").select(*carry, "doc_id", "source", "size", "source_size", "target", "taken")
 

@@ -5,12 +5,12 @@ for quality, and one over telling words and beginnings of words for toxicity, bo
 fitted on at most ``most_labels`` labelled documents (chosen by a hash of
 their id, a bounded sample; everything else covers all documents).
 
-Site evidence: the documents' probabilities are averaged by grouped
-aggregation for each host and each path of a host. A host's mean is shrunk
-towards the global one, a path's towards its host's, with weights estimated
-from the spread between groups (a beta-binomial fit by moments), so that
-sparse sites say little. The posterior log odds of a document are its own plus
-what its site adds over the global prior.
+Site evidence, for quality and for toxicity alike: the documents' probabilities
+are averaged by grouped aggregation for each host and each path of a host. A
+host's mean is shrunk towards the global one, a path's towards its host's, with
+weights estimated from the spread between groups (a beta-binomial fit by
+moments), so that sparse sites say little. The posterior log odds of a document
+are its own plus what the others of its site add over the global prior.
 
 Null and empty texts have neutral evidence except for their missing words and
 are rejected. A null host or path is a group of its own. Repeated rows count
@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tiersort.llm.common import staged
+from tiersort.llm.common import shipped, staged
 
 MOST_LABELS = 12_000
 MEASURES = 16
@@ -106,11 +106,13 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, steps: int = 30)
 
 
 def sample(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, most_labels: int) -> DataFrame:
-    """At most ``most_labels`` rows (id, text, quality, toxic)."""
+    """At most ``most_labels`` rows (id, text, quality, toxic); of several texts with one id the smallest."""
     first = labels.where(F.col(id_col).isNotNull() & F.col("quality").isNotNull() & F.col("toxic").isNotNull()).groupBy(id_col).agg(
         F.min(F.struct("quality", "toxic")).alias("l")).select(F.col(id_col).alias("_id"), "l.quality", "l.toxic")
     few = first.orderBy(F.xxhash64("_id"), "_id").limit(most_labels)
-    return docs.join(F.broadcast(few), docs[id_col] == few["_id"]).select(F.col("_id").alias("id"), F.col(text_col).alias("text"), "quality", "toxic").dropDuplicates(["id"])
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    found = texts.join(F.broadcast(few), F.col("id") == F.col("_id")).select("id", "text", "quality", "toxic")
+    return found.groupBy("id").agg(F.min(F.struct("text", "quality", "toxic")).alias("l")).select("id", "l.*")
 
 
 def fit(rows: DataFrame, least: int = 4, most_telling: int = 120) -> Model:
@@ -153,14 +155,15 @@ def fit(rows: DataFrame, least: int = 4, most_telling: int = 120) -> Model:
         if len(telling) == most_telling:
             break
     draft = Model(model.quality, mean, scale, telling, None)
-    sent = rows.sparkSession.sparkContext.broadcast(draft)
+    sent = shipped(rows.sparkSession, draft)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent()
         for b in batches:
             out = []
             for v in b.column(0):
                 words = measures(v.as_py())[1]
-                out.append(told(sent.value.hits(words), words.total()).tolist())
+                out.append(told(held.hits(words), words.total()).tolist())
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.float64())), b.column(1)], names=["x", "toxic"])
 
     got = kept.select("text", "toxic").mapInArrow(features, "x array<double>, toxic int").toArrow()  # as many rows as the sample
@@ -172,10 +175,10 @@ def fit(rows: DataFrame, least: int = 4, most_telling: int = 120) -> Model:
 
 def scores(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang") -> DataFrame:
     """Rows (id, host, path, good, bad): the document's own log odds."""
-    sent = docs.sparkSession.sparkContext.broadcast(model)
+    sent = shipped(docs.sparkSession, model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = sent.value
+        m = sent()
         for b in batches:
             got = [m.evidence(t.as_py()) for t in b.column(3)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array([g for g, _ in got], pa.float64()), pa.array([x for _, x in got], pa.float64())],
@@ -194,33 +197,64 @@ def _weight(mean: str, n: str) -> Column:
     return F.least(F.greatest(m * (1 - m) / between - 1, F.lit(1.0)), F.lit(1000.0))
 
 
-def site_priors(scored: DataFrame) -> DataFrame:
-    """Rows (host, path, lift): log odds that a site adds to its documents' quality."""
-    p = 1 / (1 + F.exp(-F.col("good")))
-    paths = scored.groupBy("host", "path").agg(F.sum(F.round(p * 1e6).cast("long")).alias("s"), F.count("*").alias("n"))
-    hosts = paths.groupBy("host").agg(F.sum("s").alias("hs"), F.sum("n").alias("hn"))
-    world = hosts.withColumn("hm", F.col("hs") / F.col("hn") / 1e6).agg(
-        (F.sum("hs") / F.sum("hn") / 1e6).alias("w"), _weight("hm", "hn").alias("kh"))
-    one = paths.withColumn("pm", F.col("s") / F.col("n") / 1e6).agg(_weight("pm", "n").alias("kp"))
-    t = paths.join(hosts.withColumnRenamed("host", "_h"), F.col("host").eqNullSafe(F.col("_h"))).crossJoin(F.broadcast(world)).crossJoin(F.broadcast(one))  # one row each
-    host = (F.col("hs") / 1e6 + F.col("kh") * F.col("w")) / (F.col("hn") + F.col("kh"))
-    path = (F.col("s") / 1e6 + F.col("kp") * host) / (F.col("n") + F.col("kp"))
-    inside = lambda x: F.least(F.greatest(x, F.lit(1e-3)), F.lit(1 - 1e-3))
-    odds = lambda x: F.log(inside(x) / (1 - inside(x)))
-    return t.select("host", "path", (odds(path) - odds(F.col("w"))).alias("lift"), path.alias("site_quality"))
+def site_sums(scored: DataFrame) -> DataFrame:
+    """Rows (host, path, with the sums of both probabilities and the numbers of documents of path and host).
+
+    Probabilities are summed as millionths, so the order of rows doesn't matter.
+    """
+    p = lambda x: F.round(1e6 / (1 + F.exp(-F.col(x)))).cast("long")
+    paths = scored.groupBy("host", "path").agg(F.sum(p("good")).alias("path_good"), F.sum(p("bad")).alias("path_bad"), F.count("*").alias("path_n"))
+    hosts = paths.groupBy("host").agg(F.sum("path_good").alias("host_good"), F.sum("path_bad").alias("host_bad"), F.sum("path_n").alias("host_n"))
+    return paths.join(hosts.withColumnRenamed("host", "_h"), F.col("host").eqNullSafe(F.col("_h"))).drop("_h")
+
+
+def strengths(sums: DataFrame) -> DataFrame:
+    """One row: the global means, and how many documents the priors of hosts and paths are worth."""
+    hosts = sums.groupBy("host").agg(*[F.first(c).alias(c) for c in ("host_good", "host_bad", "host_n")])
+    mean = lambda c, n: F.col(c) / F.col(n) / 1e6
+    at_hosts = hosts.select("*", mean("host_good", "host_n").alias("g"), mean("host_bad", "host_n").alias("b")).agg(
+        (F.sum("host_good") / F.sum("host_n") / 1e6).alias("all_good"), (F.sum("host_bad") / F.sum("host_n") / 1e6).alias("all_bad"),
+        _weight("g", "host_n").alias("host_w_good"), _weight("b", "host_n").alias("host_w_bad"))
+    at_paths = sums.select("*", mean("path_good", "path_n").alias("g"), mean("path_bad", "path_n").alias("b")).agg(
+        _weight("g", "path_n").alias("path_w_good"), _weight("b", "path_n").alias("path_w_bad"))
+    return at_hosts.crossJoin(F.broadcast(at_paths))  # one row each
+
+
+def _odds(x: Column) -> Column:
+    x = F.least(F.greatest(x, F.lit(1e-3)), F.lit(1 - 1e-3))
+    return F.log(x / (1 - x))
+
+
+def _posterior(kind: str, own: Column, one: Column) -> Column:
+    """A path's mean shrunk to its host's, that to the global one; ``own`` (in millionths) of ``one`` document is left out."""
+    host = ((F.col(f"host_{kind}") - own) / 1e6 + F.col(f"host_w_{kind}") * F.col(f"all_{kind}")) / (F.col("host_n") - one + F.col(f"host_w_{kind}"))
+    return ((F.col(f"path_{kind}") - own) / 1e6 + F.col(f"path_w_{kind}") * host) / (F.col("path_n") - one + F.col(f"path_w_{kind}"))
 
 
 def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang",
           most_labels: int = MOST_LABELS, least_quality: float = 0.5, most_toxic: float = 0.5, row_col: str | None = None) -> DataFrame:
-    """Rows (id, quality, toxicity, site_quality, keep), one for each document row.
+    """Rows (id, quality, toxicity, site_quality, site_toxicity, keep), one for each document row.
 
     ``row_col`` is what the rows are to be named by, if not by the id of the labels.
     """
     model = fit(sample(docs, labels, id_col, text_col, most_labels))
-    scored = staged(scores(docs, model, row_col or id_col, text_col, host_col, path_col), "scored")
-    prior = staged(site_priors(scored), "sites").toDF("_h", "_p", "lift", "site_quality")
-    t = scored.join(prior, F.col("host").eqNullSafe(F.col("_h")) & F.col("path").eqNullSafe(F.col("_p")))
-    good = 1 / (1 + F.exp(-(F.col("good") + F.col("lift"))))
-    bad = 1 / (1 + F.exp(-F.col("bad")))
-    return t.select("id", F.round(good, 6).alias("quality"), F.round(bad, 6).alias("toxicity"), F.round("site_quality", 6).alias("site_quality")).withColumn(
+    return combined(staged(scores(docs, model, row_col or id_col, text_col, host_col, path_col), "scored"), least_quality, most_toxic)
+
+
+def combined(scored: DataFrame, least_quality: float = 0.5, most_toxic: float = 0.5) -> DataFrame:
+    """Rows (id, host, path, good, bad) with their sites' evidence.
+
+    A document's posterior log odds are its own and what the others of its
+    site add over the global mean.
+    """
+    sums = staged(site_sums(scored), "sites")
+    t = scored.join(sums.withColumnsRenamed({"host": "_h", "path": "_p"}), F.col("host").eqNullSafe(F.col("_h")) & F.col("path").eqNullSafe(F.col("_p")))
+    t = t.crossJoin(F.broadcast(strengths(sums)))  # one row
+    out = {}
+    for kind in ("good", "bad"):
+        own = F.round(1e6 / (1 + F.exp(-F.col(kind)))).cast("long")
+        lift = _odds(_posterior(kind, own, F.lit(1))) - _odds(F.col(f"all_{kind}"))
+        out[kind] = F.round(1 / (1 + F.exp(-(F.col(kind) + lift))), 6)
+    site = {kind: F.round(_posterior(kind, F.lit(0), F.lit(0)), 6) for kind in out}
+    return t.select("id", out["good"].alias("quality"), out["bad"].alias("toxicity"), site["good"].alias("site_quality"), site["bad"].alias("site_toxicity")).withColumn(
         "keep", (F.col("quality") >= least_quality) & (F.col("toxicity") < most_toxic))
