@@ -12,10 +12,16 @@ from tiersort.functions.keys import KeySpec
 from tiersort.operators.layout import SortedLayout
 
 
-def scratch(spark: SparkSession) -> str:
-    """A new path in the folder that driver and executors share (a temporary one only where the session names none)."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tiersort-")
-    return f"{named.rstrip('/')}/layout-{uuid.uuid4().hex}"
+def scratch(spark: SparkSession, tag: str = "layout") -> str:
+    """A new path in the folder that driver and executors share (a temporary one only for a session on one machine that names none)."""
+    held = spark.sparkContext._jsc.sc().getCheckpointDir()
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or (held.get() if held.isDefined() else None)
+    if not named:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        named = tempfile.mkdtemp(prefix="tiersort-")
+        spark.sparkContext.setCheckpointDir(named)
+    return f"{named.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
 def write_sorted(layout: SortedLayout, path: str, fmt: str = "parquet") -> None:
