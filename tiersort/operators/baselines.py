@@ -16,7 +16,7 @@ def single_sample_sort(df: DataFrame, key: KeySpec, p: int, oversample: float =
     return splitter_sort(df, key, p, 1, a=oversample, b=1, **options)
 
 
-def single_merge_sort(df: DataFrame, key: KeySpec, p: int, merge: str = "timsort", **options) -> SortedLayout:
+def single_merge_sort(df: DataFrame, key: KeySpec, p: int, merge: str = "arrow", **options) -> SortedLayout:
     """One level of exact splitting: p - 1 selections at once and one exchange; ``merge='resort'`` sorts what arrives from scratch."""
     return merge_sort(df, key, p, 1, merge=merge, **options)
 

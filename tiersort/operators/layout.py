@@ -9,6 +9,7 @@ no task sees the whole table.
 from __future__ import annotations
 
 from functools import cached_property
+from itertools import accumulate
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -17,23 +18,42 @@ from tiersort.functions.keys import KeySpec
 
 
 class SortedLayout:
-    def __init__(self, df: DataFrame, key: KeySpec, p: int, report=None):
-        self.df, self.key, self.p, self.report = df, key, p, report
+    """``df`` has the column ``_ms_pe``; ``_ms_row`` (place in the PE) may be there, and ``loads`` (rows of each PE) be known."""
+
+    def __init__(self, df: DataFrame, key: KeySpec, p: int, report=None, loads: list[int] | None = None):
+        self.df, self.key, self.p, self.report, self.loads = df, key, p, report, loads
 
     @property
     def columns(self) -> list[str]:
-        return [c for c in self.df.columns if c != "_ms_pe"]
+        return [c for c in self.df.columns if c not in ("_ms_pe", "_ms_row")]
+
+    @cached_property
+    def offsets(self) -> DataFrame:
+        """Rows (pe, cnt, offset), one for each PE that has rows; without a job where loads are known."""
+        if self.loads is None:
+            return self.stats.select("pe", "cnt", "offset")
+        ahead = [0, *accumulate(self.loads)]
+        return self.df.sparkSession.createDataFrame([(x, n, ahead[x]) for x, n in enumerate(self.loads) if n], "pe int, cnt long, offset long")
+
+    def _numbered(self) -> DataFrame:
+        """Rows with their place in the PE (``_ms_n``, from 1)."""
+        if "_ms_row" in self.df.columns:
+            return self.df.withColumn("_ms_n", F.col("_ms_row") + 1).drop("_ms_row")
+        return self.df.withColumn("_ms_n", F.row_number().over(self._local()).cast("long"))
 
     @cached_property
     def stats(self) -> DataFrame:
         """Rows (pe, cnt, offset, first_key, last_key), one for each PE that has rows; p rows at most."""
         k = self.key.struct()
-        local = self.df.withColumn("_ms_n", F.row_number().over(self._local())).groupBy(F.col("_ms_pe").alias("pe")).agg(
+        local = self._numbered().groupBy(F.col("_ms_pe").alias("pe")).agg(
             F.count("*").alias("cnt"), F.min_by(k, "_ms_n").alias("first_key"), F.max_by(k, "_ms_n").alias("last_key"))
         ahead = Window.orderBy("pe").rowsBetween(Window.unboundedPreceding, -1)  # p rows
         out = local.withColumn("offset", F.coalesce(F.sum("cnt").over(ahead), F.lit(0)).cast("long"))
         return out.select("pe", "cnt", "offset", "first_key", "last_key").persist()
 
+    def _plain(self) -> DataFrame:
+        return self.df.drop("_ms_row")
+
     def _local(self):
         return Window.partitionBy("_ms_pe").orderBy(*self.key.order())
 
@@ -43,13 +63,12 @@ class SortedLayout:
 
     def with_rank(self, name: str = "rank", start: int = 0) -> DataFrame:
         """Rows with their position in the whole order."""
-        numbered = self.df.withColumn("_ms_n", F.row_number().over(self._local()))
-        out = self._carry(numbered, self.stats.select("pe", "offset"))
+        out = self._carry(self._numbered(), self.offsets.select("pe", "offset"))
         return out.withColumn(name, F.col("offset") + F.col("_ms_n") - 1 + start).drop("_ms_n", "offset")
 
     def load_stats(self) -> DataFrame:
         """One row: largest and mean load, and the imbalance max * p / n - 1."""
-        return self.stats.agg(F.max("cnt").alias("max_load"), (F.sum("cnt") / self.p).alias("mean_load"), (F.max("cnt") * self.p / F.sum("cnt") - 1).alias("eps"))
+        return self.offsets.agg(F.max("cnt").alias("max_load"), (F.sum("cnt") / self.p).alias("mean_load"), (F.max("cnt") * self.p / F.sum("cnt") - 1).alias("eps"))
 
     # ---- windows over the whole order
 
@@ -75,7 +94,7 @@ class SortedLayout:
         border = border.withColumn("goes", nxt).withColumn("end", F.when((F.col("d") > 1) | (nxt == 0), F.col("head_last")))
         border = border.withColumn("tail_to", F.when(F.col("goes") == 1, F.first("end", True).over(w.rowsBetween(1, Window.unboundedFollowing))).otherwise(F.col("stop")))
         out = self._carry(rows, border.select("pe", "head", "tail", "head_from", "tail_to", "dbase"))
-        total = self.stats.agg(F.sum("cnt").alias("_ms_total"))
+        total = self.offsets.agg(F.sum("cnt").alias("_ms_total"))
         out = out.crossJoin(F.broadcast(total))  # one row
         first = F.when(F.col("_ms_v").eqNullSafe(F.col("head")), F.col("head_from")).otherwise(F.col("_ms_first"))
         last = F.when(F.col("_ms_v").eqNullSafe(F.col("tail")), F.col("tail_to")).otherwise(F.col("_ms_last"))
@@ -85,7 +104,7 @@ class SortedLayout:
         }).drop("_ms_v", "_ms_first", "_ms_last", "_ms_d", "head", "tail", "head_from", "tail_to", "dbase", "_ms_total")
 
     def ntile(self, tiles: int, name: str = "ntile") -> DataFrame:
-        rows = self.with_rank("_ms_r").crossJoin(F.broadcast(self.stats.agg(F.sum("cnt").alias("_ms_total"))))  # one row
+        rows = self.with_rank("_ms_r").crossJoin(F.broadcast(self.offsets.agg(F.sum("cnt").alias("_ms_total"))))  # one row
         size, extra = F.expr(f"_ms_total div {tiles}"), F.expr(f"_ms_total % {tiles}")
         big = extra * (size + 1)
         tile = F.when(F.col("_ms_r") < big, F.floor(F.try_divide(F.col("_ms_r"), size + 1))).otherwise(extra + F.floor(F.try_divide(F.col("_ms_r") - big, size)))
@@ -93,7 +112,7 @@ class SortedLayout:
 
     def running(self, value: Column, how: str = "sum", name: str = "running") -> DataFrame:
         """Rows with the aggregate of ``value`` from the first row of the order to this one."""
-        rows = self.df.withColumn("_ms_x", value)
+        rows = self._plain().withColumn("_ms_x", value)
         agg = {"sum": F.sum, "min": F.min, "max": F.max, "count": F.count}[how]
         parts = rows.groupBy(F.col("_ms_pe").alias("pe")).agg(agg("_ms_x").alias("part"))
         ahead = Window.orderBy("pe").rowsBetween(Window.unboundedPreceding, -1)  # p rows
@@ -108,12 +127,12 @@ class SortedLayout:
     def _halo(self, before: int, after: int) -> DataFrame:
         """Rows of each PE with the ``before`` rows ahead of it and the ``after`` rows behind it (``_ms_own`` marks its own)."""
         rows = self.with_rank("_ms_r")
-        need = self.stats.select(F.col("pe").alias("to"), (F.col("offset") - before).alias("lo"), F.col("offset").alias("a"), (F.col("offset") + F.col("cnt")).alias("b"),
+        need = self.offsets.select(F.col("pe").alias("to"), (F.col("offset") - before).alias("lo"), F.col("offset").alias("a"), (F.col("offset") + F.col("cnt")).alias("b"),
                                  (F.col("offset") + F.col("cnt") + after).alias("hi"))
         edges = F.array_agg(F.struct("to", "lo", "a", "b", "hi"))
         table = need.agg(edges.alias("_ms_need"))
         goes = F.filter("_ms_need", lambda x: (F.col("_ms_r") >= x["lo"]) & (F.col("_ms_r") < x["hi"]) & ((F.col("_ms_r") < x["a"]) | (F.col("_ms_r") >= x["b"])))
-        edge_rows = self._carry(rows, self.stats.select("pe", F.col("offset").alias("_ms_a"), (F.col("offset") + F.col("cnt")).alias("_ms_b")))
+        edge_rows = self._carry(rows, self.offsets.select("pe", F.col("offset").alias("_ms_a"), (F.col("offset") + F.col("cnt")).alias("_ms_b")))
         outside = edge_rows.where((F.col("_ms_r") < F.col("_ms_a") + after) | (F.col("_ms_r") >= F.col("_ms_b") - before)).drop("_ms_a", "_ms_b")
         copies = outside.crossJoin(F.broadcast(table)).withColumn("_ms_to", F.explode(goes)).withColumn("_ms_pe", F.col("_ms_to.to")).drop("_ms_to", "_ms_need")  # one row of p entries
         return rows.withColumn("_ms_own", F.lit(True)).unionByName(copies.withColumn("_ms_own", F.lit(False)))
@@ -137,7 +156,12 @@ class SortedLayout:
     # ---- selection
 
     def range_scan(self, low=None, high=None) -> DataFrame:
-        """Rows whose first key column lies in [low, high]; only PEs whose range overlaps are read."""
+        """Rows whose first key column lies in [low, high].
+
+        PEs whose range doesn't overlap are filtered out by number, so a layout
+        that was read from sorted files skips their files; one in memory is
+        filtered row by row.
+        """
         c = self.key.cols[0]
         inside = F.lit(True)
         first, last = (F.col("first_key.k0"), F.col("last_key.k0")) if not self.key.asc or self.key.asc[0] else (F.col("last_key.k0"), F.col("first_key.k0"))
@@ -147,15 +171,16 @@ class SortedLayout:
         if high is not None:
             inside, hit = inside & (F.col(c) <= high), hit & (first <= high)
         pes = [r.pe for r in self.stats.where(hit).select("pe").collect()]  # p numbers
-        return self.df.where(F.col("_ms_pe").isin(pes)).where(inside).drop("_ms_pe") if pes else self.df.limit(0).drop("_ms_pe")
+        rows = self._plain()
+        return rows.where(F.col("_ms_pe").isin(pes)).where(inside).drop("_ms_pe") if pes else rows.limit(0).drop("_ms_pe")
 
     def slice(self, start: int, count: int) -> DataFrame:
         """Rows at positions [start, start + count) with ``rank``; other PEs are not read on."""
-        hit = [r.pe for r in self.stats.where((F.col("offset") < start + count) & (F.col("offset") + F.col("cnt") > start)).select("pe").collect()]  # p numbers
+        hit = [r.pe for r in self.offsets.where((F.col("offset") < start + count) & (F.col("offset") + F.col("cnt") > start)).select("pe").collect()]  # p numbers
         if not hit:
             return self.with_rank().limit(0).drop("_ms_pe")
         part = SortedLayout(self.df.where(F.col("_ms_pe").isin(hit)), self.key, self.p)
-        part.stats = self.stats
+        part.offsets = self.offsets
         return part.with_rank().where(F.col("rank").between(start, start + count - 1)).drop("_ms_pe")
 
     def kth(self, k: int) -> DataFrame:
@@ -189,13 +214,15 @@ class SortedLayout:
         c = self.key.cols[0]
         dealt = self._dealt(other, on, F.col(on), F.col(on))
         copies = dealt.withColumn("_ms_to", F.explode("_ms_hit")).drop("_ms_hit").repartitionById(self.p, F.col("_ms_to"))
-        here = self.df.repartitionById(self.p, F.col("_ms_pe")) if self.df.rdd.getNumPartitions() != self.p else self.df
+        here = self._plain()
         cond = (F.col("_ms_pe") == F.col("_ms_to")) & (here[c] == copies[on])
         kind = {"inner": "inner", "left": "left", "semi": "left_semi", "anti": "left_anti", "right": "inner", "full": "left"}[how]
         out = here.join(copies, cond, kind).drop("_ms_pe", "_ms_to")
-        if how in ("right", "full"):  # rows of the other side without a partner
-            keys = self.df.select(F.col(c).alias("_ms_c")).distinct()
-            lone = other.join(keys, F.col(on) == F.col("_ms_c"), "left_anti")
+        if how in ("right", "full"):  # rows of the other side without a partner: found PE by PE, as a key may be on several
+            own = here.select("_ms_pe", F.col(c).alias("_ms_c")).distinct()  # a key once on each PE that has it
+            met = dealt.withColumn("_ms_to", F.explode("_ms_hit")).select(F.col(on).alias("_ms_k"), "_ms_to").distinct()
+            keys = met.join(own, (F.col("_ms_to") == F.col("_ms_pe")) & (F.col("_ms_k") == F.col("_ms_c")), "left_semi").select("_ms_k").distinct()
+            lone = other.join(keys, F.col(on) == F.col("_ms_k"), "left_anti")
             out = out.unionByName(lone, allowMissingColumns=True)
         return out
 
@@ -205,7 +232,7 @@ class SortedLayout:
         dealt = self._dealt(other, on, F.col(on) - delta, F.col(on) + delta)
         copies = dealt.withColumn("_ms_to", F.explode("_ms_hit")).drop("_ms_hit")
         near = (F.col(c) >= F.col(on) - delta) & (F.col(c) <= F.col(on) + delta)
-        return self.df.join(copies, (F.col("_ms_pe") == F.col("_ms_to")) & near).drop("_ms_pe", "_ms_to")
+        return self._plain().join(copies, (F.col("_ms_pe") == F.col("_ms_to")) & near).drop("_ms_pe", "_ms_to")
 
     def asof(self, other: DataFrame, on: str, by: list[str], value: str) -> DataFrame:
         """Rows with ``value`` of the last row of ``other`` (by column ``on``) at or before this row's first key column, for equal ``by``.
@@ -217,7 +244,7 @@ class SortedLayout:
         table = self.stats.agg(F.array_sort(F.array_agg(F.struct("pe", F.col("last_key.k0").alias("b")))).alias("_ms_f"))
         home = F.coalesce(F.get(F.filter("_ms_f", lambda f: f["b"] >= F.col(on)), F.lit(0))["pe"], F.element_at("_ms_f", -1)["pe"])
         theirs = other.crossJoin(F.broadcast(table)).select(home.alias("_ms_pe"), *by, F.col(on).alias("_ms_t"), F.col(value).alias("_ms_v"), F.lit(0).alias("_ms_side"))  # one row of p entries
-        mine = self.df.withColumns({"_ms_t": F.col(c), "_ms_side": F.lit(1)})
+        mine = self._plain().withColumns({"_ms_t": F.col(c), "_ms_side": F.lit(1)})
         both = mine.unionByName(theirs.withColumn("_ms_hit", F.struct("_ms_t", "_ms_v")).drop("_ms_v"), allowMissingColumns=True)
         w = Window.partitionBy("_ms_pe", *by).orderBy("_ms_t", "_ms_side").rowsBetween(Window.unboundedPreceding, 0)
         local = both.withColumn("_ms_local", F.last("_ms_hit", True).over(w))
@@ -234,7 +261,7 @@ class SortedLayout:
         by = of or self.key.without_ties()
         rows = self.df.withColumn("_ms_v", F.struct(*by.names))
         out = SortedLayout(rows, self.key, self.p)
-        out.stats = self.stats
+        out.offsets = self.offsets
         w = self.window()
         other = F.lag("_ms_v").over(w) if keep == "first" else F.lead("_ms_v").over(w)
         flagged = out.frame({"_ms_dup": other.isNotNull() & other.eqNullSafe(F.col("_ms_v"))}, 1, 1)
@@ -247,10 +274,56 @@ class SortedLayout:
 
     def rebalance(self, p: int) -> SortedLayout:
         """The same order on ``p`` PEs of equal load; every row moves at most once."""
-        rows = self.with_rank("_ms_r").crossJoin(F.broadcast(self.stats.agg(F.sum("cnt").alias("_ms_total"))))  # one row
+        rows = self.with_rank("_ms_r").crossJoin(F.broadcast(self.offsets.agg(F.sum("cnt").alias("_ms_total"))))  # one row
         pe = F.expr(f"((_ms_r + 1) * {p} - 1) div _ms_total").cast("int")
         moved = rows.withColumn("_ms_pe", pe).drop("_ms_r", "_ms_total").repartitionById(p, F.col("_ms_pe"))
-        return SortedLayout(moved.sortWithinPartitions(*self.key.order()), self.key, p)
+        n = sum(self.loads) if self.loads is not None else None
+        loads = None if n is None else [n * (x + 1) // p - n * x // p for x in range(p)]
+        return SortedLayout(moved.sortWithinPartitions("_ms_pe", *self.key.order()), self.key, p, loads=loads)
+
+    # ---- more layouts
+
+    def runs(self, first: int = 0) -> DataFrame:
+        """Rows as sorted runs, one for each PE, numbered from ``first`` (``_ms_pe``) with positions from 0 (``_ms_pos``)."""
+        rows = self._numbered()
+        return rows.withColumn("_ms_pos", F.col("_ms_n") - 1).withColumn("_ms_pe", F.col("_ms_pe") + F.lit(first)).drop("_ms_n")
+
+    def append(self, rows: DataFrame, p: int | None = None) -> SortedLayout:
+        """This layout and new rows, sorted by themselves and then merged in."""
+        from tiersort.operators.sort import merge_sort
+
+        return merge_layouts([self, merge_sort(rows.select(*self.columns), self.key, self.p, 1)], p or self.p)
+
+    def set_op(self, other: DataFrame, op: str, every: bool = True) -> DataFrame:
+        """intersect, except or union of the key columns with those of ``other`` (same names), as multisets unless ``every`` is false.
+
+        ``other`` is dealt by the fences and both sides are counted inside the
+        PEs; only a key that spans PEs is put together from several rows.
+        """
+        names = [*self.key.cols]
+        c = names[0]
+        table = self.stats.agg(F.array_sort(F.array_agg(F.struct(F.col("pe"), F.col("last_key.k0").alias("b")))).alias("_ms_f"))
+        beyond = (lambda b: b >= F.col(c)) if not self.key.asc or self.key.asc[0] else (lambda b: b <= F.col(c))
+        home = F.coalesce(F.get(F.filter("_ms_f", lambda f: beyond(f["b"])), F.lit(0))["pe"], F.element_at("_ms_f", -1)["pe"], F.lit(0))
+        theirs = other.crossJoin(F.broadcast(table)).select(home.alias("_ms_pe"), *names, F.lit(0).alias("_ms_l"), F.lit(1).alias("_ms_r"))  # one row of p entries
+        both = self._plain().select("_ms_pe", *names, F.lit(1).alias("_ms_l"), F.lit(0).alias("_ms_r")).unionByName(theirs)
+        local = both.groupBy("_ms_pe", *names).agg(F.sum("_ms_l").alias("l"), F.sum("_ms_r").alias("r"))
+        return _repeated(local.groupBy(*names).agg(F.sum("l").alias("l"), F.sum("r").alias("r")), names, op, every)
+
+    def views(self, spark=None) -> list[str]:
+        """Makes temporary views of the sort's report (``ms_report``) and of the loads (``ms_loads``)."""
+        spark = spark or self.df.sparkSession
+        self.offsets.createOrReplaceTempView("ms_loads")
+        made = ["ms_loads"]
+        if self.report is not None:
+            self.report.table(spark).createOrReplaceTempView("ms_report")
+            made.append("ms_report")
+        return made
+
+    def explain_plan(self) -> str:
+        """The physical plan of the layout's rows, as text."""
+        mode = self.df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted")
+        return self.df._jdf.queryExecution().explainString(mode)
 
     def release(self) -> None:
         """Gives cached levels back."""
@@ -262,10 +335,34 @@ def set_op(left: DataFrame, right: DataFrame, columns: list[str], op: str, every
     """intersect or except of two tables as multisets, by counting each key on either side in one exchange."""
     both = left.select(*columns, F.lit(1).alias("_ms_l"), F.lit(0).alias("_ms_r")).unionByName(right.select(*columns, F.lit(0).alias("_ms_l"), F.lit(1).alias("_ms_r")))
     counts = both.groupBy(*columns).agg(F.sum("_ms_l").alias("l"), F.sum("_ms_r").alias("r"))
-    n = F.least("l", "r") if op == "intersect" else F.greatest(F.col("l") - F.col("r"), F.lit(0))
+    return _repeated(counts, columns, op, every)
+
+
+def _repeated(counts: DataFrame, columns: list[str], op: str, every: bool, portion: int = 10_000) -> DataFrame:
+    """Keys with counts (l, r) as often as the operation has them; a very frequent key is written out in portions, dealt anew."""
+    n = {"intersect": F.least("l", "r"), "except": F.greatest(F.col("l") - F.col("r"), F.lit(0)), "union": F.col("l") + F.col("r")}[op]
     if not every:
-        n = F.when((F.col("l") > 0) & ((F.col("r") > 0) if op == "intersect" else (F.col("r") == 0)), 1).otherwise(0)
-    return counts.withColumn("n", n).where("n > 0").withColumn("_ms_i", F.explode(F.sequence(F.lit(1), F.col("n").cast("int")))).select(*columns)
+        n = F.when({"intersect": (F.col("l") > 0) & (F.col("r") > 0), "except": (F.col("l") > 0) & (F.col("r") == 0), "union": F.lit(True)}[op], 1).otherwise(0).cast("long")
+    some = counts.withColumn("n", n).where("n > 0").select(*columns, "n", F.explode(F.expr(f"sequence(0L, (n - 1) div {portion})")).alias("_ms_p"))
+    left = F.least(F.lit(portion).cast("long"), F.col("n") - F.col("_ms_p") * portion)
+    few, many = some.where(f"n <= {portion}"), some.where(f"n > {portion}").repartition(F.xxhash64(*columns, "_ms_p"))
+    return few.unionByName(many).select(*columns, F.explode(F.sequence(F.lit(1).cast("long"), left)).alias("_ms_i")).select(*columns)
+
+
+def merge_layouts(layouts: list[SortedLayout], p: int | None = None) -> SortedLayout:
+    """Several layouts of one key as one: their PEs are runs, cut exactly and merged after one exchange."""
+    from tiersort.operators.sort import Report, merge_levels
+    from tiersort.sources.sinks import staged
+
+    key, p = layouts[0].key, p or max(x.p for x in layouts)
+    first, rows, report = 0, None, Report()
+    for x in layouts:
+        mine = x.runs(first)
+        rows = mine if rows is None else rows.unionByName(mine)
+        first += x.p
+    rows = staged(rows, "layouts")
+    report.kept.append(rows)
+    return merge_levels(rows, key, p, [p], report=report)
 
 
 def interval_join(left: DataFrame, right: DataFrame, start: str, stop: str, other_start: str, other_stop: str, width: int) -> DataFrame:

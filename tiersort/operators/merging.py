@@ -2,57 +2,88 @@
 
 from __future__ import annotations
 
+import sys
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tiersort.functions.keys import KeySpec
+from tiersort.functions.search import Codes, before_next
+
+cloudpickle.register_pickle_by_value(sys.modules[__name__])
+
+
+def merged_order(rows: list[np.ndarray], ways: list[bool], stretches: list[np.ndarray], fan_in: int = 64) -> tuple[np.ndarray, int]:
+    """Row numbers in order, from sorted stretches of row numbers, and the number of passes.
+
+    At most ``fan_in`` stretches are merged at once. A merge puts them one
+    behind the other and runs a stable run-adaptive sort over the first column
+    that differs, which finds the stretches and merges them by comparisons
+    from their ends; rows equal there are settled by the other columns.
+    """
+    passes = 0
+    while len(stretches) > 1:
+        stretches = [_merge(rows, ways, stretches[i:i + fan_in]) for i in range(0, len(stretches), fan_in)]
+        passes += 1
+    return stretches[0] if stretches else np.zeros(0, np.int64), passes
+
+
+def _merge(rows: list[np.ndarray], ways: list[bool], stretches: list[np.ndarray]) -> np.ndarray:
+    some = np.concatenate(stretches)
+    if len(stretches) == 1:
+        return some
+
+    def sort(which: np.ndarray, depth: int) -> np.ndarray:
+        while depth < len(rows) and len(which) and (rows[depth][which] == rows[depth][which[0]]).all():
+            depth += 1
+        if depth == len(rows):
+            return which
+        v = rows[depth][which]
+        if not ways[depth]:
+            v = -np.unique(v, return_inverse=True)[1].reshape(-1) if v.dtype == object else (~v if v.dtype.kind == "i" else -v)
+        which = which[np.argsort(v, kind="stable")]
+        v = rows[depth][which]
+        edge = np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1], [True]]))
+        if depth + 1 < len(rows):
+            for k in np.flatnonzero(np.diff(edge) > 1):
+                which[edge[k]:edge[k + 1]] = sort(which[edge[k]:edge[k + 1]], depth + 1)
+        return which
+
+    return sort(some, 0)
+
+
+def natural_runs(rows: list[np.ndarray], ways: list[bool], src: np.ndarray) -> list[np.ndarray]:
+    """Stretches of rows that are in order as they came and from one source."""
+    if not len(src):
+        return []
+    cut = np.flatnonzero(~before_next(rows, ways) | (src[1:] != src[:-1])) + 1
+    return np.split(np.arange(len(src)), cut)
 
 
 def merge_partitions(df: DataFrame, key: KeySpec, fan_in: int = 64) -> DataFrame:
-    """Every partition as one sorted run, merged from the runs of its sources (``_ms_src``).
+    """Every partition as one sorted run with positions ``_ms_pos``, merged from the runs of its sources (``_ms_src``).
 
-    Runs arrive as blocks; at most ``fan_in`` of them are merged at once, so
-    more runs take several passes. Merging compares blocks: runs that don't
-    overlap are only put one after the other, others are sorted together.
-    A partition must fit a worker's memory (size p accordingly).
+    Runs are taken as the exchange hands them over; where it breaks one up,
+    its pieces count as runs. More than ``fan_in`` runs take several passes. A
+    partition must fit a worker's memory (size p accordingly).
     """
-    order = [(c, "ascending" if a else "descending", f) for (c, a, f) in key._all]
-    plain = all(not isinstance(df.schema[c].dataType, (T.ArrayType, T.StructType)) for c, _, _ in order)
-    if not plain:  # Arrow has no order for nested values: Spark's sort merges them
-        return df.sortWithinPartitions(*key.order())
-    staged = df.sortWithinPartitions("_ms_src", *key.order())
-
-    def ordered(t: pa.Table) -> pa.Table:
-        keys, named = [], t
-        for i, (c, way, nulls_first) in enumerate(order):  # place of nulls and NaN by columns of their own
-            x = t.column(c)
-            null = pc.is_null(x)
-            named = named.append_column(f"_o{i}n", pc.cast(null, pa.int8()))
-            keys.append((f"_o{i}n", "descending" if nulls_first else "ascending"))
-            if pa.types.is_floating(x.type):
-                named = named.append_column(f"_o{i}x", pc.cast(pc.fill_null(pc.is_nan(x), False), pa.int8()))
-                keys.append((f"_o{i}x", way))
-            if pa.types.is_boolean(x.type):
-                x = pc.cast(x, pa.int8())
-            named = named.append_column(f"_o{i}v", x)
-            keys.append((f"_o{i}v", way))
-        return t.take(pc.sort_indices(named, sort_keys=keys))
+    codes = Codes(df, key)
+    columns = [c for c in df.columns if c != "_ms_src"]
+    schema = T.StructType([*(df.schema[c] for c in columns), T.StructField("_ms_pos", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = [b for b in batches if b.num_rows]
         if not held:
             return
         whole = pa.Table.from_batches(held)
-        src = whole.column("_ms_src").to_numpy()
-        edge = [0, *(i + 1 for i in range(len(src) - 1) if src[i] != src[i + 1]), len(src)] if len(src) < 2 else [0, *((src[1:] != src[:-1]).nonzero()[0] + 1).tolist(), len(src)]
-        runs = [whole.slice(a, b - a) for a, b in zip(edge, edge[1:])]
-        while len(runs) > 1:
-            runs = [ordered(pa.concat_tables(runs[i:i + fan_in])) if len(runs[i:i + fan_in]) > 1 else runs[i] for i in range(0, len(runs), fan_in)]
-        yield from runs[0].combine_chunks().to_batches(max_chunksize=10_000)
-
-    return staged.mapInArrow(run, df.schema)
+        first = len(columns) + 1
+        rows, ways = codes.arrays(*codes.read([whole.column(i) for i in range(first, whole.num_columns)]))
+        order, _ = merged_order(rows, ways, natural_runs(rows, ways, whole.column("_ms_src").to_numpy()), fan_in)
+        out = whole.select(columns).take(pa.array(order)).append_column("_ms_pos", pa.array(np.arange(len(order))))
+        yield from out.combine_chunks().to_batches(max_chunksize=10_000)
+
+    return df.select(*columns, "_ms_src", *codes.named()).mapInArrow(run, schema)

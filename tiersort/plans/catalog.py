@@ -15,8 +15,8 @@ from tiersort.operators import baselines as base
 from tiersort.operators import delivery as d
 from tiersort.operators.layout import SortedLayout, interval_join, set_op
 from tiersort.operators.packing import packing_table
-from tiersort.operators.selection import select_splits
-from tiersort.operators.sort import merge_sort, splitter_sort
+from tiersort.operators.selection import at_ranks, select_splits
+from tiersort.operators.sort import merge_sort, numbered, splitter_sort
 from tiersort.operators.splitters import bucket_sizes, choose_splitters, classify, draw_sample, grid_rank, grid_rank_matrix, sort_sample
 from tiersort.plans.topology import plan_levels
 from tiersort.sources.tables import pieces_of, read_table, tiny_run
@@ -129,7 +129,7 @@ _NUMBERED = "(select o_orderkey, o_totalprice, (o_orderkey % 8)::int as pe, row_
 def q18_select_one(spark, folder):
     runs = _runs(spark, folder)
     k = runs.count() // 2
-    got = select_splits(runs, TOTAL, {0: [k]}, pivots_per_round=1)
+    got = select_splits(runs, TOTAL, {0: [k]}, pivots_per_round=1, most_collect=500)
     return spark.createDataFrame([(e, x) for e, x in got[0, k].items()], "pe int, pos long")
 
 
@@ -141,21 +141,17 @@ def q19_select_many(spark, folder):
     return spark.createDataFrame([(i, e, x) for i in range(1, 16) for e, x in got[0, i * n // 16].items()], "part int, pe int, pos long")
 
 
-def _at_ranks(df: DataFrame, by: KeySpec, ranks: list[int], pe) -> DataFrame:
-    """Keys at ranks (from 0) without a global sort: select, then the smallest key right of the cuts."""
-    runs = df.withColumn("_ms_pe", pe.cast("int")).withColumn("_ms_grp", F.lit(0))
-    runs = runs.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*by.order())).cast("long") - 1).persist()
-    got = select_splits(runs, by, {0: ranks})
-    table = df.sparkSession.createDataFrame([(r, e, x) for r in set(ranks) for e, x in got[0, r].items()], "at long, e int, x long")
-    cut = runs.join(F.broadcast(table), (F.col("_ms_pe") == F.col("e")) & (F.col("_ms_pos") == F.col("x")))  # ranks x runs rows
-    return cut.groupBy("at").agg(F.min_by(F.struct(*by.names), by.struct()).alias("k")).select("at", "k.*")
+def _at_ranks(df: DataFrame, by: KeySpec, ranks: list[int]) -> DataFrame:
+    """Keys at ranks (from 0), selected without sorting the table."""
+    rows, _, n = numbered(df)
+    return at_ranks(rows, by, ranks, ("_ms_id",), n)
 
 
 @query("select (rn - 1)::bigint as at, l_extendedprice from (select l_extendedprice, row_number() over (order by " + _PO + ") as rn, count(*) over () as n from lineitem) where (rn - 1) in (select unnest([n * 1 // 4, n // 2, n * 3 // 4]))")
 def q20_select_keys(spark, folder):
     df = read_table(spark, folder, "lineitem", LINE)
     n = df.count()
-    return _at_ranks(df, PRICE, [n // 4, n // 2, 3 * n // 4], F.col("l_orderkey") % 8).select("at", "l_extendedprice")
+    return _at_ranks(df, PRICE, [n // 4, n // 2, 3 * n // 4]).select("at", "l_extendedprice")
 
 
 @query("select s_suppkey, (row_number() over (order by s_acctbal, s_suppkey) - 1)::bigint as rank from supplier")
@@ -296,7 +292,7 @@ def q31_mss_loads(spark, folder):
 def q41_exact_median(spark, folder):
     df = read_table(spark, folder, "lineitem", LINE)
     n = df.count()
-    return _at_ranks(df, PRICE, [(n + 1) // 2 - 1], F.col("l_orderkey") % 8).select(F.col("l_extendedprice").alias("median"))
+    return _at_ranks(df, PRICE, [(n + 1) // 2 - 1]).select(F.col("l_extendedprice").alias("median"))
 
 
 @query("select i::int as pct, (select value from (select value, row_number() over (order by value, event_id) as rn, count(*) over () as n from events) where rn = (i * n + 99) // 100) as value from (select unnest(generate_series(1, 99)) as i)")
@@ -304,7 +300,7 @@ def q42_exact_quantiles(spark, folder):
     df = read_table(spark, folder, "events", ["event_id", "value"])
     n = df.count()
     at = {i: max(0, (i * n + 99) // 100 - 1) for i in range(1, 100)}
-    found = _at_ranks(df, key("value", ties=("event_id",)), sorted(set(at.values())), F.col("event_id") % 8)
+    found = _at_ranks(df, key("value", ties=("event_id",)), sorted(set(at.values())))
     return spark.createDataFrame(list(at.items()), "pct int, at long").join(found, "at").select("pct", "value")
 
 
@@ -319,7 +315,7 @@ def q44_equi_depth(spark, folder):
     df = read_table(spark, folder, "lineitem", LINE)
     n = df.count()
     cuts = [(i, i * n // 16, (i + 1) * n // 16 - i * n // 16) for i in range(16)]
-    found = _at_ranks(df, PRICE, [c for _, c, _ in cuts], F.col("l_orderkey") % 8)
+    found = _at_ranks(df, PRICE, [c for _, c, _ in cuts])
     return spark.createDataFrame(cuts, "part int, at long, cnt long").join(found, "at").select("part", "cnt", F.col("l_extendedprice").alias("low"))
 
 

@@ -9,7 +9,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tiersort.functions.keys import KeySpec
-from tiersort.operators.layout import SortedLayout
 
 
 def scratch(spark: SparkSession, tag: str = "layout") -> str:
@@ -24,15 +23,32 @@ def scratch(spark: SparkSession, tag: str = "layout") -> str:
     return f"{named.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
-def write_sorted(layout: SortedLayout, path: str, fmt: str = "parquet") -> None:
+def staged(df: DataFrame, tag: str = "level") -> DataFrame:
+    """``df`` written to the shared folder and read again: whatever numbered its rows is fixed from then on."""
+    path = scratch(df.sparkSession, tag)
+    df.write.parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._staged_at = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes the files of a staged table."""
+    path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._staged_at)
+    path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def write_sorted(layout, path: str, fmt: str = "parquet") -> None:
     """A folder for each PE with its rows in order; footers' ranges don't overlap, so readers skip files. Counts and fences stand beside."""
     layout.stats.coalesce(1).write.mode("overwrite").json(f"{path}.manifest")
-    layout.df.withColumn("pe", F.col("_ms_pe")).write.mode("overwrite").partitionBy("pe").format(fmt).save(path)
+    layout.df.drop("_ms_row").withColumn("pe", F.col("_ms_pe")).write.mode("overwrite").partitionBy("pe").format(fmt).save(path)
+
 
+def read_sorted(spark: SparkSession, path: str, key: KeySpec, p: int, fmt: str = "parquet"):
+    from tiersort.operators.layout import SortedLayout
 
-def read_sorted(spark: SparkSession, path: str, key: KeySpec, p: int, fmt: str = "parquet") -> SortedLayout:
     df = spark.read.format(fmt).load(path)
-    return SortedLayout(df.drop("pe").repartitionById(p, F.col("_ms_pe")).sortWithinPartitions(*key.order()), key, p)
+    return SortedLayout(df.drop("pe").repartitionById(p, F.col("_ms_pe")).sortWithinPartitions("_ms_pe", *key.order()), key, p)
 
 
 def measure_only(df: DataFrame) -> None:

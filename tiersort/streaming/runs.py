@@ -6,27 +6,20 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tiersort.functions.keys import KeySpec
-from tiersort.operators.delivery import deliver
 from tiersort.operators.layout import SortedLayout
-from tiersort.operators.selection import select_splits
-from tiersort.operators.sort import ship
-
-
-def merge_runs(df: DataFrame, key: KeySpec, p: int, run: str = "run") -> SortedLayout:
-    """Runs (column ``run``, from 0) as one layout on p PEs of equal size: exact cuts over all runs, one exchange, local merge."""
-    rows = df.withColumn("_ms_pe", F.col(run).cast("int")).withColumn("_ms_grp", F.lit(0))
-    rows = rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.steady(df))).cast("long") - 1).persist()
-    lengths = {(x[0], x[1]): x[2] for x in rows.groupBy("_ms_grp", "_ms_pe").count().collect()}  # a row for each run
-    total = sum(lengths.values())
-    ranks = [total * x // p for x in range(1, p)]
-    cuts = select_splits(rows, key, {0: ranks}, lengths=lengths)
-    table = df.sparkSession.createDataFrame([(e, [0, *(cuts[0, k][e] for k in ranks)]) for _, e in lengths], "_ms_te int, _ms_ta array<long>")
-    split = rows.join(F.broadcast(table), F.col("_ms_pe") == F.col("_ms_te"))  # runs x p numbers
-    part = F.size(F.filter("_ms_ta", lambda x: x <= F.col("_ms_pos")))
-    split = split.withColumn("_ms_dest", (part - 1).cast("int")).withColumn("_ms_in", F.col("_ms_pos") - F.element_at("_ms_ta", part)).drop("_ms_te", "_ms_ta", "_ms_pos")
-    pieces = split.groupBy(F.col("_ms_pe").alias("pe"), F.col("_ms_dest").alias("grp")).agg(F.count("*").alias("size")).select("pe", "grp", "size", F.col("grp").alias("base"), F.lit(1).alias("q"))
-    moved = ship(split, deliver(pieces, "prefix"), p)
-    return SortedLayout(moved.drop("_ms_grp", "_ms_src").sortWithinPartitions(*key.order()), key, p)
+from tiersort.operators.sort import Report, merge_levels
+from tiersort.sources.sinks import staged
+
+
+def merge_runs(df: DataFrame, key: KeySpec, p: int, run: str = "run", merge: str = "arrow") -> SortedLayout:
+    """Runs (column ``run``, from 0) as one layout on p PEs of equal size: exact cuts over all runs, one exchange, local merge.
+
+    Runs are numbered by sorting each by itself once more (files don't say in
+    which order they were written) and staged.
+    """
+    rows = df.withColumn("_ms_pe", F.col(run).cast("int"))
+    rows = staged(rows.withColumn("_ms_pos", F.row_number().over(Window.partitionBy("_ms_pe").orderBy(*key.steady(df))).cast("long") - 1), "runs")
+    return merge_levels(rows, key, p, [p], merge=merge, report=Report(kept=[rows]))
 
 
 def stream_runs(stream: DataFrame, key: KeySpec, path: str, checkpoint: str):
