@@ -14,6 +14,12 @@ from tiersort.llm import decontaminate, lines, mixing, quality, simhash
 from tiersort.llm.common import row_key, staged, table
 
 
+def _apart(docs: DataFrame, *reserved: str) -> tuple[DataFrame, dict[str, str]]:
+    """``docs`` with columns of reserved names renamed, and the way back."""
+    back = {f"_own_{i}_": c for i, c in enumerate(docs.columns) if c.lower() in reserved}
+    return docs.withColumnsRenamed({c: k for k, c in back.items()}), back
+
+
 def _sized(docs: DataFrame, columns: list[str]) -> DataFrame:
     """The columns of ``documents``, with ``n_chars`` of the text as it now is."""
     if "n_chars" in columns:
@@ -22,24 +28,31 @@ def _sized(docs: DataFrame, columns: list[str]) -> DataFrame:
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier keeps (good quality, not toxic)."""
-    rows = docs.withColumn("_row", F.to_json(row_key(docs)))
+    """Documents that the classifier keeps (good quality, not toxic). Rows are told apart by all their columns, so null and repeated ids stay."""
+    mine, back = _apart(docs, "_row", "id")
+    rows = mine.withColumn("_row", F.to_json(row_key(mine)))
     kept = quality.judge(rows, table(spark, sf_dir, "labels"), row_col="_row").where("keep").select("id").distinct()
-    return rows.join(kept, rows["_row"] == kept["id"], "left_semi").drop("_row")
+    return rows.join(kept, rows["_row"] == kept["id"], "left_semi").withColumnsRenamed(back).select(*docs.columns)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the boilerplate lines of their source; one with nothing else stays whole."""
-    return _sized(lines.drop_frequent(docs), docs.columns)
+    mine, back = _apart(docs, "n_lines", "n_dropped")
+    return _sized(lines.drop_frequent(mine).withColumnsRenamed(back), docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near-duplicates the document with the smallest id (null ids last)."""
+    """Of each class of near-duplicates the document with the smallest id (null ids last; of equal ids the row with the smallest key).
+
+    Links are texts that share 0.8 of their five-word shingles; candidates come
+    from bands of minima and from SimHash fingerprints within 2 bits.
+    """
+    mine, back = _apart(docs, "_row", "h1", "h2", "class", "f")
     h1, h2 = simhash.text_key("text")
-    rows = docs.withColumns({"_row": row_key(docs), "h1": h1, "h2": h2})
-    named = rows.select("doc_id", "_row", "h1", "h2").join(simhash.near_texts(docs), ["h1", "h2"])
+    rows = mine.withColumns({"_row": row_key(mine), "h1": h1, "h2": h2})
+    named = rows.select("doc_id", "_row", "h1", "h2").join(simhash.near_texts(mine), ["h1", "h2"])
     first = named.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("f")).select("f._row")
-    return rows.join(first, "_row", "left_semi").dropDuplicates(["_row"]).select(*docs.columns)
+    return rows.join(first, "_row", "left_semi").dropDuplicates(["_row"]).withColumnsRenamed(back).select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,10 +61,12 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with the words that the mix takes of them; those without any go."""
-    rows = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")  # written once, so the numbers stay
+    """Documents with the words that the mix takes of them; those without any go. Its columns replace others of their names."""
+    own = [c for c in docs.columns if c.lower() not in ("size", "source_size", "target", "taken")]
+    mine, back = _apart(docs.select(*own), "_row")
+    rows = staged(mine.withColumn("_row", F.monotonically_increasing_id()), "numbered")  # written once, so the numbers stay
     taken = mixing.mix(rows, carry=("_row",)).where("taken > 0").select("_row", "size", "source_size", "target", "taken")
-    return rows.join(taken, "_row").drop("_row")
+    return rows.join(taken, "_row").drop("_row").withColumnsRenamed(back)
 
 
 STAGES = [("quality classifier", quality_filter), ("line dedup", line_dedup), ("SimHash near-dedup", near_dedup),

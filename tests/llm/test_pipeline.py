@@ -81,3 +81,19 @@ def test_null_and_repeated_ids_stay_apart(spark, tmp_path):
     mixed = corpus_pipeline.mixture(spark, distinct, DATA)
     off = mixed.groupBy("source").agg(F.sum("taken").alias("t"), F.first("target").alias("w")).where(F.abs(F.col("t") - F.col("w")) > 1)
     assert off.count() == 0 and mixed.where("doc_id is null").count() > 0
+
+
+def test_clashing_columns(spark, tmp_path):
+    base = spark.read.parquet(f"{DATA}/documents.parquet").where("doc_id < 300")
+    odd = ["_row", "id", "h1", "class", "n_lines", "Size", "target", "quality", "_id"]
+    docs = staged(base.withColumns({c: F.lit(f"own {c}") for c in odd}), "test")
+    for t in ("labels", "benchmark"):
+        spark.read.parquet(f"{DATA}/{t}.parquet").write.parquet(f"{tmp_path}/{t}.parquet")
+    plain = staged(base, "test")
+    for name, f in corpus_pipeline.STAGES:
+        docs, plain = staged(f(spark, docs, str(tmp_path)), "test"), staged(f(spark, plain, str(tmp_path)), "test")
+        assert docs.count() == plain.count(), name
+        for c in odd:
+            if c in docs.columns and c not in ("target",):
+                assert docs.where(F.col(c) != f"own {c}").count() == 0, (name, c)
+    assert docs.schema["target"].dataType.simpleString() == "double" and "Size" not in docs.columns

@@ -102,8 +102,8 @@ def word_count(text: Column) -> Column:
 HUB_ROWS, HUB_PARTS = 1_000, 2_000
 
 
-def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m") -> DataFrame:
-    """``rows`` with the smallest ``value`` of each ``key``; ``n`` rows at most.
+def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m", alone: bool = True) -> DataFrame:
+    """``rows`` with the smallest ``value`` of each ``key``; ``n`` rows at most. Without ``alone``, rows of keys that occur once are left out.
 
     Minima are aggregated before the exchange. Those of keys with more than
     HUB_ROWS and n / HUB_PARTS rows, HUB_PARTS at most, are broadcast, so the
@@ -112,7 +112,7 @@ def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m") -
     least = rows.groupBy(key).agg(F.min(value).alias(name), F.count("*").alias("_n"))
     bound = max(HUB_ROWS, n // HUB_PARTS)
     held = rows.join(F.broadcast(least.where(F.col("_n") > bound).select(key, F.col(name).alias("_hub"))), key, "left")
-    rest = held.where("_hub is null").drop("_hub").join(least.where(F.col("_n") <= bound).drop("_n"), key)
+    rest = held.where("_hub is null").drop("_hub").join(least.where(F.col("_n").between(1 if alone else 2, bound)).drop("_n"), key)
     return rest.unionByName(held.where("_hub is not null").withColumnRenamed("_hub", name))
 
 

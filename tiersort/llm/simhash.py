@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tiersort.llm.common import components, staged
+from tiersort.llm.common import components, staged, with_least
 
 BITS = 64
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -196,8 +196,7 @@ def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands:
     own = sketch.join(first.select("id"), "id", "left_semi").where(F.size("keys") > 0)
     sets = own.select("id", F.size("shingles").alias("n"), "shingles")
     entry = own.select("id", F.size("shingles").alias("n"), F.explode("keys").alias("key"))
-    shared = entry.groupBy("key").agg(F.min("id").alias("low"), F.count("*").alias("members")).where("members > 1")
-    held = staged(entry.join(shared.select("key", "low"), "key"), "bands")
+    held = staged(with_least(entry, "key", "id", bands * first.count(), "low", alone=False), "bands")
     star = held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v"))
     near = classes(own.select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
     links = staged(similar(star.unionByName(near), sets, tenths), "links")
