@@ -60,7 +60,9 @@ def test_small_inputs_and_odd_p(spark, sort, n):
 def test_equal_keys_balance_only_with_ties(spark):
     df = spark.range(800).select("id", F.lit(5).alias("x"))
     with_ties = splitter_sort(df, key("x", ties=("id",)), 4, 1, by="id")
-    without = splitter_sort(df, key("x"), 4, 1, by="id")
+    without = splitter_sort(df, key("x"), 4, 1, by="id", ties="none")
+    for mode in ("level", "origin"):
+        assert max(map(len, values(splitter_sort(df, key("x"), 4, 2, ties=mode), "x"))) < 260
     assert max(map(len, values(with_ties, "x"))) < 260 and max(map(len, values(without, "x"))) == 800
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 from tiersort.functions.keys import KeySpec
-from tiersort.functions.search import Codes, before_next
+from tiersort.functions.search import Codes, before_next, lex_order
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -64,12 +64,13 @@ def natural_runs(rows: list[np.ndarray], ways: list[bool], src: np.ndarray) -> l
     return np.split(np.arange(len(src)), cut)
 
 
-def merge_partitions(df: DataFrame, key: KeySpec, fan_in: int = 64) -> DataFrame:
+def merge_partitions(df: DataFrame, key: KeySpec, fan_in: int = 64, scratch: bool = False) -> DataFrame:
     """Every partition as one sorted run with positions ``_ms_pos``, merged from the runs of its sources (``_ms_src``).
 
     Runs are taken as the exchange hands them over; where it breaks one up,
-    its pieces count as runs. More than ``fan_in`` runs take several passes. A
-    partition must fit a worker's memory (size p accordingly).
+    its pieces count as runs. More than ``fan_in`` runs take several passes.
+    With ``scratch`` runs are not made use of. A partition must fit a worker's
+    memory (size p accordingly).
     """
     codes = Codes(df, key)
     columns = [c for c in df.columns if c != "_ms_src"]
@@ -82,7 +83,7 @@ def merge_partitions(df: DataFrame, key: KeySpec, fan_in: int = 64) -> DataFrame
         whole = pa.Table.from_batches(held)
         first = len(columns) + 1
         rows, ways = codes.arrays(*codes.read([whole.column(i) for i in range(first, whole.num_columns)]))
-        order, _ = merged_order(rows, ways, natural_runs(rows, ways, whole.column("_ms_src").to_numpy()), fan_in)
+        order = lex_order(rows, ways) if scratch else merged_order(rows, ways, natural_runs(rows, ways, whole.column("_ms_src").to_numpy()), fan_in)[0]
         out = whole.select(columns).take(pa.array(order)).append_column("_ms_pos", pa.array(np.arange(len(order))))
         yield from out.combine_chunks().to_batches(max_chunksize=10_000)
 

@@ -417,8 +417,9 @@ def merge_sort(df: DataFrame, key: KeySpec, p: int = 16, k: int | str = 2, by: s
     On every level each group's runs are cut at the exact ranks between its
     parts, pieces are delivered, and what a PE receives is merged into its new
     run: by an explicit merge of Arrow batches (``arrow``, at most ``fan_in``
-    runs at once) or by sorting it from scratch (``resort``). Keys may repeat:
-    a cut tells equal ones apart by where they stand on that level.
+    runs at once), by Spark's sort (``timsort``), or by a sort over all columns
+    that knows nothing of runs (``resort``, the slow competitor's way). Keys may
+    repeat: a cut tells equal ones apart by where they stand on that level.
     """
     key = key.resolve(df)
     report = Report()
@@ -436,7 +437,7 @@ def merge_levels(runs: DataFrame, key: KeySpec, p: int, levels: list[int], deliv
     """Layout of sorted runs (columns ``_ms_pe`` and ``_ms_pos``) on p PEs; on the first level their number may be any."""
     from tiersort.operators.merging import merge_partitions
 
-    if merge not in ("arrow", "resort"):
+    if merge not in ("arrow", "timsort", "resort"):
         raise ValueError(merge)
     report = Report() if report is None else report
     rows, spans, block = runs, [(0, p)], F.col("_ms_pe").cast("long")
@@ -472,9 +473,9 @@ def merge_levels(runs: DataFrame, key: KeySpec, p: int, levels: list[int], deliv
         t = time.time()
         sent = rows.select(*columns, F.col("_ms_pe").alias("_ms_src"), run_target(names, starts, parent, local, dealings, F.col("_ms_pe"), F.col("_ms_pos")).alias("_ms_pe"))
         moved = sent.repartitionById(p, F.col("_ms_pe"))
-        merged = merge_partitions(moved, key, fan_in) if merge == "arrow" else moved.drop("_ms_src").sortWithinPartitions("_ms_pe", *key.order())
+        merged = merge_partitions(moved, key, fan_in, merge == "resort") if merge != "timsort" else moved.drop("_ms_src").sortWithinPartitions("_ms_pe", *key.order())
         if not last:
-            rows = staged(merged if merge == "arrow" else merged.withColumn("_ms_pos", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))), "merged")
+            rows = staged(merged if merge != "timsort" else merged.withColumn("_ms_pos", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))), "merged")
             report.kept.append(rows)
         elif measure:
             measure_only(moved)
@@ -485,7 +486,7 @@ def merge_levels(runs: DataFrame, key: KeySpec, p: int, levels: list[int], deliv
         measure_only(merged)
         report.add(algorithm="merge", level=len(levels), phase="bucket processing", seconds=max(0.0, time.time() - t - report.rows[-1]["seconds"]))
     loads = [total * (x + 1) // p - total * x // p for x in range(p)]
-    return SortedLayout(merged.withColumnRenamed("_ms_pos", "_ms_row") if merge == "arrow" else merged, key, p, report, loads)
+    return SortedLayout(merged.withColumnRenamed("_ms_pos", "_ms_row") if merge != "timsort" else merged, key, p, report, loads)
 
 
 def _run_traffic(names: np.ndarray, pieces: np.ndarray, dealings: list, parent: np.ndarray, local: np.ndarray, most: int = 200_000) -> dict[str, float]:
