@@ -39,6 +39,15 @@ def hilbert_key(bits: int):
     return key
 
 
+def median_of(column: str):
+    """Median of a group, as an aggregate over Arrow batches."""
+    @F.pandas_udf("double")
+    def median(x: pd.Series) -> float:
+        return float(x.median())
+
+    return median(F.col(column))
+
+
 class LevelPlan:
     def eval(self, p: int, k: int, how: str):
         yield from enumerate(topology.plan_levels(p, k, how))

@@ -8,7 +8,7 @@ of the piece go to PE ``target``.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tiersort.functions.mixing import mix_pair
@@ -50,7 +50,7 @@ def _cut(runs: DataFrame, capacity: str) -> DataFrame:
                       (F.col("base") + F.col("t")).cast("int").alias("target")).where("to_pos > from_pos")
 
 
-def deliver(pieces: DataFrame, method: str = "two_phase", capacity: str = "even", seed: int = 1, pes: int | None = None) -> DataFrame:
+def deliver(pieces: DataFrame, method: str = "two_phase", capacity: str = "even", seed: int = 1, pes: int | None = None, merge: str = "window") -> DataFrame:
     """Slices of ``pieces`` (pe, grp, size, base, q).
 
     ``prefix`` counts a group's elements in the order of source PEs and cuts
@@ -61,7 +61,7 @@ def deliver(pieces: DataFrame, method: str = "two_phase", capacity: str = "even"
     """
     rows = sized(pieces, capacity)
     if method == "two_phase":
-        return _two_phase(pieces, pes)
+        return _two_phase(pieces, pes, merge)
     if method in ("prefix", "permuted"):
         order = ["pe"] if method == "prefix" else [mix_pair(F.col("pe"), F.col("grp"), seed), "pe"]
         return _cut(rows.withColumn("start", _scan(["grp"], order, F.col("size"))).withColumn("lead", F.lit(0).cast("long")), capacity)
@@ -83,13 +83,14 @@ def coalesced(slices: DataFrame) -> DataFrame:
         F.min("from_pos").alias("from_pos"), F.max("to_pos").alias("to_pos")).select(*SLICE)
 
 
-def _two_phase(pieces: DataFrame, pes: int | None) -> DataFrame:
+def _two_phase(pieces: DataFrame, pes: int | None, merge: str = "window") -> DataFrame:
     """Small pieces (at most n / (2 p r)) whole by number, large ones into what room is left.
 
     A group's small pieces are numbered in PE order and dealt evenly to its
     PEs, which they fill by half at most. Prefix sums of the room left (by PE)
     and of the large pieces (by source) are then overlapped as intervals. The
     capacity is that of the fullest group, so there is room for everything.
+    ``merge``: overlaps by one merging pass (``window``) or a range join.
     """
     rows = sized(pieces, "bound")
     facts = rows.groupBy().agg(F.sum("size").alias("n"))
@@ -105,11 +106,27 @@ def _two_phase(pieces: DataFrame, pes: int | None) -> DataFrame:
             .join(given, ["grp", "t"], "left").withColumn("free", F.col("cap") - F.coalesce("given", F.lit(0))))
     room = room.withColumn("x", _scan(["grp"], ["t"], F.col("free"))).where("free > 0").select("grp", F.col("t").alias("rt"), "x", "free")
     large = rows.where("not small").withColumn("y", _scan(["grp"], ["pe"], F.col("size")))
-    met = large.join(room, (large["grp"] == room["grp"]) & (F.col("x") < F.col("y") + F.col("size")) & (F.col("y") < F.col("x") + F.col("free")))
-    big = met.select(large["grp"], "pe", (F.greatest("x", "y") - F.col("y")).cast("long").alias("from_pos"),
+    met = _met_by_window(large, room) if merge == "window" else _met_by_range(large, room)
+    big = met.select("grp", "pe", (F.greatest("x", "y") - F.col("y")).cast("long").alias("from_pos"),
                      (F.least(F.col("x") + F.col("free"), F.col("y") + F.col("size")) - F.col("y")).cast("long").alias("to_pos"), (F.col("base") + F.col("rt")).cast("int").alias("target"))
     whole = small.select("grp", "pe", F.lit(0).cast("long").alias("from_pos"), F.col("size").alias("to_pos"), (F.col("base") + F.col("t")).cast("int").alias("target"))
-    return whole.unionByName(big)
+    return whole.unionByName(big.where("to_pos > from_pos"))
+
+
+def _met_by_range(large: DataFrame, room: DataFrame) -> DataFrame:
+    """Large pieces with the rooms they overlap, as a range join within each group."""
+    met = large.join(room, (large["grp"] == room["grp"]) & (F.col("x") < F.col("y") + F.col("size")) & (F.col("y") < F.col("x") + F.col("free")))
+    return met.drop(room["grp"])
+
+
+def _met_by_window(large: DataFrame, room: DataFrame) -> DataFrame:
+    """As the range join, by merging both prefix sums: one ordered pass gives each piece the rooms of its first and last element."""
+    ends = large.select("grp", "pe", F.col("y").alias("v"), F.lit(1).alias("end")).unionByName(large.select("grp", "pe", (F.col("y") + F.col("size") - 1).alias("v"), F.lit(2).alias("end")))
+    events = room.select("grp", F.lit(None).cast("int").alias("pe"), F.col("x").alias("v"), F.lit(0).alias("end"), "rt").unionByName(ends, allowMissingColumns=True)
+    order = Window.partitionBy("grp").orderBy("v", "end", "rt").rowsBetween(Window.unboundedPreceding, 0)  # rooms before pieces at one place
+    found = events.withColumn("at", F.last("rt", True).over(order)).where("end > 0").groupBy("grp", "pe").agg(F.min("at").alias("first"), F.max("at").alias("last"))
+    spread = large.join(found, ["grp", "pe"]).withColumn("rt", F.explode(F.sequence("first", "last"))).drop("first", "last")
+    return spread.join(room, ["grp", "rt"])
 
 
 def route_descriptors(pieces: DataFrame, r: int) -> DataFrame:
@@ -117,13 +134,21 @@ def route_descriptors(pieces: DataFrame, r: int) -> DataFrame:
     return pieces.select("grp", "pe", "size", (F.col("base") + F.expr(f"pe div {r}") % F.col("q")).cast("int").alias("at"))
 
 
-def message_stats(slices: DataFrame) -> DataFrame:
-    """One row: messages and words, most and mean, sent and received by a PE."""
+def message_stats(slices: DataFrame, exchange: str = "one_factor", p: int | None = None) -> DataFrame:
+    """One row: messages and words, most and mean, sent and received by a PE, and the messages of all.
+
+    ``one_factor`` leaves empty messages out; the ``dense`` exchange of ``p``
+    PEs sends every pair one, with words or without.
+    """
     sent = slices.groupBy("pe").agg(F.countDistinct("target").alias("n"), F.sum(F.col("to_pos") - F.col("from_pos")).alias("w"))
     got = slices.groupBy("target").agg(F.countDistinct("pe").alias("n"), F.sum(F.col("to_pos") - F.col("from_pos")).alias("w"))
-    a = sent.agg(F.max("n").alias("max_sent"), F.avg("n").alias("mean_sent"), F.max("w").alias("words_sent"))
+    a = sent.agg(F.max("n").alias("max_sent"), F.avg("n").alias("mean_sent"), F.max("w").alias("words_sent"), F.sum("n").alias("messages"))
     b = got.agg(F.max("n").alias("max_recv"), F.avg("n").alias("mean_recv"), F.max("w").alias("words_recv"))
-    return a.crossJoin(b).withColumn("bottleneck", F.greatest("words_sent", "words_recv"))  # one row each
+    out = a.crossJoin(b).withColumn("bottleneck", F.greatest("words_sent", "words_recv"))  # one row each
+    if exchange == "dense":
+        each = F.lit(p - 1).cast("long")
+        out = out.withColumns({"max_sent": each, "max_recv": each, "mean_sent": each.cast("double"), "mean_recv": each.cast("double"), "messages": F.lit(p * (p - 1)).cast("long")})
+    return out
 
 
 def cross_volume(slices: DataFrame, island: int) -> DataFrame:
@@ -133,6 +158,27 @@ def cross_volume(slices: DataFrame, island: int) -> DataFrame:
     return slices.groupBy("grp").agg(F.sum(words).alias("words"), F.sum(F.when(leaves, words).otherwise(0)).alias("crossing"))
 
 
+def gossip_schedule(spark: SparkSession, p: int, words: int = 1, how: str = "hypercube") -> DataFrame:
+    """Rows (round, src, dst, words) by which all of p PEs come to hold what each of them has (``words``).
+
+    ``hypercube`` (p a power of two): partners differ in one bit and exchange
+    all they hold, which is merged. ``tree`` (any p): gathered along a binary
+    tree to PE 0, then everything is sent down again.
+    """
+    bits = max(0, p - 1).bit_length()
+    if how == "hypercube":
+        if p != 1 << bits:
+            raise ValueError("a hypercube has a power of two of PEs")
+        cell = spark.range(p * bits).select(F.expr(f"cast(id div {p} as int)").alias("round"), (F.col("id") % p).cast("int").alias("src"))
+        step = F.call_function("shiftleft", F.lit(1), F.col("round"))
+        return cell.select("round", "src", F.col("src").bitwiseXOR(step).alias("dst"), (F.lit(words).cast("long") * step).alias("words"))
+    cell = spark.range(p * bits).select(F.expr(f"cast(id div {p} as int)").alias("round"), (F.col("id") % p).cast("int").alias("src"))
+    step = F.call_function("shiftleft", F.lit(1), F.col("round"))
+    up = cell.where(F.col("src") % (step * 2) == step).select("round", "src", (F.col("src") - step).alias("dst"), (F.least(step, F.lit(p) - F.col("src")) * words).cast("long").alias("words"))
+    down = up.select((F.lit(2 * bits - 1) - F.col("round")).alias("round"), F.col("dst").alias("src"), F.col("src").alias("dst"), F.lit(p * words).cast("long").alias("words"))
+    return up.unionByName(down)
+
+
 def one_factor_schedule(messages: DataFrame, p: int, skip_empty: bool = True) -> DataFrame:
     """Rows (round, src, dst, words): in round t PE i is paired with (t - i) mod p; rounds without words are left out."""
     out = messages.where("src <> dst").select(((F.col("src") + F.col("dst")) % p).cast("int").alias("round"), "src", "dst", "words")

@@ -365,6 +365,11 @@ def merge_layouts(layouts: list[SortedLayout], p: int | None = None) -> SortedLa
     return merge_levels(rows, key, p, [p], report=report)
 
 
+def equi_width(df: DataFrame, column: str, low: float, high: float, m: int) -> DataFrame:
+    """Rows (bucket, n): counts of m equally wide ranges of [low, high), numbered from 1; 0 is below, m + 1 above."""
+    return df.groupBy(F.width_bucket(F.col(column), F.lit(low), F.lit(high), F.lit(m)).alias("bucket")).agg(F.count("*").alias("n"))
+
+
 def interval_join(left: DataFrame, right: DataFrame, start: str, stop: str, other_start: str, other_stop: str, width: int) -> DataFrame:
     """Pairs of half-open integer intervals that overlap; each is copied to the cells of ``width`` it meets, and a pair is kept in the cell where it begins."""
     cell = lambda a, b: F.sequence(F.expr(f"{a} div {width}"), F.expr(f"({b} - 1) div {width}"))

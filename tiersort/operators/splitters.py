@@ -14,6 +14,8 @@ from tiersort.functions.mixing import PRIME, h
 
 #: Splitters that may be sent to every task; beyond it the classifying join is a shuffled one.
 MOST_BROADCAST = 2_000_000
+#: Rows of which every pair is compared in one broadcast join.
+MOST_MATRIX = 20_000
 
 
 def draw_sample(df: DataFrame, size: int, by: str, rows: int, grp: str | None = None, how: str = "hash", seed: int = 0) -> DataFrame:
@@ -26,7 +28,7 @@ def draw_sample(df: DataFrame, size: int, by: str, rows: int, grp: str | None =
     """
     if how == "bernoulli":
         return df.sample(False, min(1.0, size / max(1, rows)), seed)
-    place = h((F.col(by) + seed) % PRIME)
+    place = h(F.pmod(F.coalesce(F.col(by).cast("long"), F.lit(0).cast("long")) + seed, F.lit(PRIME).cast("long")))
     bound = min(PRIME, int(PRIME * min(1.0, (2 * size + 100) / max(1, rows))) + 1)
     order = Window.partitionBy(*([grp] if grp else [F.lit(0)])).orderBy("_ms_h", by)
     return (df.withColumn("_ms_h", place).where(F.col("_ms_h") < bound).withColumn("_ms_n", F.row_number().over(order))
@@ -46,28 +48,39 @@ def grid_rank(df: DataFrame, key: KeySpec, p: int = 16, shape: str = "auto", pe:
     """``df`` with ``rank`` (from 0) by comparing all pairs on a grid of PEs.
 
     Elements are dealt to a grid's PEs; each is copied along its row and along
-    its column. In every cell a column's elements are ranked among a row's,
-    and an element's rank is the sum over its column's cells. ``wanted`` keeps
-    some ranks only. Keys must be unique. For small inputs (samples): an
-    element is copied a + b times.
+    its column. In every cell both lists are sorted together, so a column's
+    elements are ranked among a row's by a running count, and an element's rank
+    is the sum over its column's cells. ``wanted`` keeps some ranks only. Keys
+    must be unique. For small inputs (samples): an element is copied a + b
+    times.
     """
     a, b = grid_shape(p, shape)
     names = key.names
     base = df.withColumn("_ms_pe", F.col(pe) % (a * b) if pe else F.pmod(F.xxhash64(*names), F.lit(a * b)).cast("int"))
-    base = base.withColumn("_ms_id", F.struct(*names))
-    mine = base.select("_ms_id", key.struct().alias("_ms_k"), (F.col("_ms_pe") % b).alias("col"), F.explode(F.sequence(F.lit(0), F.lit(a - 1))).alias("row"))
-    theirs = base.select(key.struct().alias("_ms_o"), F.expr(f"_ms_pe div {b}").cast("int").alias("row"), F.explode(F.sequence(F.lit(0), F.lit(b - 1))).alias("col"))
-    cells = theirs.groupBy("row", "col").agg(F.collect_list("_ms_o").alias("_ms_all"))  # n / a elements in a cell
-    less = KeySpec(key.cols, key.asc, key.nulls_first, key.ties)
-    count = F.aggregate(F.coalesce("_ms_all", F.array()), F.lit(0), lambda acc, o: acc + less.above(o).cast("int"))
-    local = mine.join(cells, ["row", "col"], "left").select("_ms_id", "_ms_all", *[F.col("_ms_id")[c].alias(c) for c in names]).withColumn("_ms_c", count)
-    ranks = local.groupBy(F.col("_ms_id").alias("_ms_r")).agg(F.sum("_ms_c").cast("long").alias("rank"))
-    out = base.join(ranks, F.col("_ms_id").eqNullSafe(F.col("_ms_r"))).drop("_ms_pe", "_ms_id", "_ms_r")
+    own = base.select(*names, (F.col("_ms_pe") % b).alias("col"), F.explode(F.sequence(F.lit(0), F.lit(a - 1))).alias("row"), F.lit(0).alias("_ms_s"))
+    row = base.select(*names, F.explode(F.sequence(F.lit(0), F.lit(b - 1))).alias("col"), F.expr(f"_ms_pe div {b}").cast("int").alias("row"), F.lit(1).alias("_ms_s"))
+    cell = Window.partitionBy("row", "col").orderBy(*key.order(), "_ms_s").rowsBetween(Window.unboundedPreceding, 0)
+    counted = own.unionByName(row).withColumn("_ms_c", F.sum("_ms_s").over(cell)).where("_ms_s = 0")
+    ranks = counted.groupBy(F.struct(*names).alias("_ms_r")).agg(F.sum("_ms_c").cast("long").alias("rank"))
+    out = base.drop("_ms_pe").withColumn("_ms_id_", F.struct(*names)).join(ranks, F.col("_ms_id_").eqNullSafe(F.col("_ms_r"))).drop("_ms_id_", "_ms_r")
     return out.where(F.col("rank").isin(wanted)) if wanted is not None else out
 
 
+def grid_sort(df: DataFrame, key: KeySpec, p: int = 16, shape: str = "auto"):
+    """Layout of a small table: ranked on the grid, each element routed to PE rank * p div n."""
+    from tiersort.operators.layout import SortedLayout
+
+    n = df.count()
+    pe = F.expr(f"cast(((rank + 1) * {p} - 1) div {max(1, n)} as int)")
+    moved = grid_rank(df, key, p, shape).withColumn("_ms_pe", pe).drop("rank").repartitionById(p, F.col("_ms_pe"))
+    return SortedLayout(moved.sortWithinPartitions("_ms_pe", *key.order()), key, p, loads=[n * (x + 1) // p - n * x // p for x in range(p)])
+
+
 def grid_rank_matrix(df: DataFrame, key: KeySpec) -> DataFrame:
-    """``df`` with ``rank`` by one comparison of each pair (the n x n case; for very small inputs)."""
+    """``df`` with ``rank`` by one comparison of each pair (the n x n case; for very small inputs, up to MOST_MATRIX rows)."""
+    n = df.count()
+    if n > MOST_MATRIX:
+        raise ValueError(f"{n} rows; all pairs are compared for {MOST_MATRIX} at most")
     side = df.select(key.struct().alias("_ms_o"))
     own = df.withColumn("_ms_id", F.struct(*key.names))
     ranks = own.join(F.broadcast(side), key.above(F.col("_ms_o")), "left").groupBy("_ms_id").agg(F.count("_ms_o").alias("rank"))

@@ -280,12 +280,6 @@ def q33_level_plans(spark, folder):
     return spark.createDataFrame(rows, "k int, p int, level int, r int")
 
 
-@query()
-def q31_mss_loads(spark, folder):
-    layout = splitter_sort(read_table(spark, folder, "orders", _OC), TOTAL, P, 2, by="o_orderkey")
-    return layout.load_stats()
-
-
 # ---- operators over layouts
 
 @query("select quantile_disc(l_extendedprice, 0.5) as median from lineitem")
@@ -377,15 +371,19 @@ _LK = key("l_orderkey", ties=("l_partkey", "l_suppkey", "l_linenumber", "l_exten
 
 def _join_query(name: str, how: str, sql: str) -> None:
     def run(spark, folder):
-        layout = splitter_sort(read_table(spark, folder, "lineitem", LINE, "l_orderkey % 3 <> 0"), _LK, P, 1, by="l_orderkey")
-        other = read_table(spark, folder, "orders", ["o_orderkey", "o_totalprice"], "o_orderkey % 5 <> 0")
+        layout = splitter_sort(read_table(spark, folder, "lineitem", LINE), _LK, P, 1)
+        # every order, under a key that leaves out each fifth number and goes beyond the last: rows without a partner on both sides
+        other = read_table(spark, folder, "orders", ["o_orderkey", "o_totalprice"]).withColumn("o_orderkey", F.expr("o_orderkey * 5 div 4"))
         out = layout.join(other, "o_orderkey", how)
+        price, total = F.sum(F.round(F.col("l_extendedprice") * 100).cast("long")).alias("cents"), F.sum(F.round(F.col("o_totalprice") * 100).cast("long")).alias("total")
         if how in ("semi", "anti"):
-            return out.agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("lk"))
-        return out.agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("lk"), F.sum("o_orderkey").alias("ok"), F.count("o_orderkey").alias("matched"))
+            return out.groupBy("l_orderkey", "l_linenumber").agg(F.count("*").alias("n"), price)
+        return out.groupBy("l_orderkey", "o_orderkey", "l_linenumber").agg(F.count("*").alias("n"), price, total)
     QUERIES[name] = run
-    rest = "" if how in ("semi", "anti") else ", sum(o_orderkey)::bigint as ok, count(o_orderkey)::bigint as matched"
-    ORACLES[name] = f"select count(*)::bigint as n, sum(l_orderkey)::bigint as lk{rest} from (select * from lineitem where l_orderkey % 3 <> 0) l {sql} (select * from orders where o_orderkey % 5 <> 0) o on l_orderkey = o_orderkey"
+    by = "l_orderkey, l_linenumber" if how in ("semi", "anti") else "l_orderkey, o_orderkey, l_linenumber"
+    total = "" if how in ("semi", "anti") else ", sum(round(o_totalprice * 100)::bigint)::bigint as total"
+    ORACLES[name] = f"""select {by}, count(*)::bigint as n, sum(round(l_extendedprice * 100)::bigint)::bigint as cents{total} from lineitem {sql}
+(select o_orderkey * 5 // 4 as o_orderkey, o_totalprice from orders) o on l_orderkey = o_orderkey group by {by}"""
 
 
 for _how, _sql in {"inner": "join", "left": "left join", "semi": "semi join", "anti": "anti join", "full": "full join", "right": "right join"}.items():
@@ -413,13 +411,16 @@ def q61_join_asof(spark, folder):
     return _events(spark, folder).asof(other, "pts", ["user_id"], "pid").select("event_id", "asof_pid")
 
 
-@query("""with a as (select o_orderkey as id, (o_orderkey * 37 % 5000)::bigint as s, (o_orderkey * 37 % 5000 + o_orderkey % 23)::bigint as e from orders where o_orderkey % 10 = 1),
-b as (select o_orderkey as id, (o_orderkey * 53 % 5000)::bigint as s, (o_orderkey * 53 % 5000 + o_orderkey % 29)::bigint as e from orders where o_orderkey % 10 = 2)
-select a.id as left_id, b.id as right_id from a, b where a.s < b.e and b.s < a.e and a.e > a.s and b.e > b.s""")
+@query("""with a as (select o_orderkey as id, o_orderkey * 3301 as s, o_orderkey * 3301 + o_custkey % 401 as e from orders),
+b as (select row_number() over (order by o_totalprice, o_orderkey) as id, round(o_totalprice * 100)::bigint as s, round(o_totalprice * 100)::bigint + o_custkey % 503 as e from orders)
+select a.id as left_id, count(*)::bigint as n, sum(b.s)::bigint as starts from a join b on a.s < b.e and b.s < a.e where a.e > a.s and b.e > b.s group by a.id""")
 def q62_interval_overlap(spark, folder):
-    o = read_table(spark, folder, "orders", ["o_orderkey"])
-    make = lambda m, f, w, x: o.where(F.col("o_orderkey") % 10 == m).select(F.col("o_orderkey").alias(f"{x}_id"), (F.col("o_orderkey") * f % 5000).alias(f"{x}s"), (F.col("o_orderkey") * f % 5000 + F.col("o_orderkey") % w).alias(f"{x}e"))
-    return interval_join(make(1, 37, 23, "left"), make(2, 53, 29, "right"), "lefts", "lefte", "rights", "righte", 64).select("left_id", "right_id")
+    """Intervals of order numbers against intervals of prices, all orders on both sides."""
+    o = read_table(spark, folder, "orders", ["o_orderkey", "o_custkey", "o_totalprice"])
+    price = F.round(F.col("o_totalprice") * 100).cast("long")
+    left = o.select(F.col("o_orderkey").alias("left_id"), (F.col("o_orderkey") * 3301).alias("ls"), (F.col("o_orderkey") * 3301 + F.col("o_custkey") % 401).alias("le"))
+    right = o.select(price.alias("rs"), (price + F.col("o_custkey") % 503).alias("re"))
+    return interval_join(left, right, "ls", "le", "rs", "re", 64).groupBy("left_id").agg(F.count("*").alias("n"), F.sum("rs").alias("starts"))
 
 
 @query("""with o as (select o_orderkey as id, round(o_totalprice * 100)::bigint as s, round(o_totalprice * 100)::bigint + o_custkey % 97 as e from orders)

@@ -5,9 +5,10 @@ from __future__ import annotations
 import statistics
 import time
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from tiersort.functions.costmodel import fit, throughput
 from tiersort.functions.keys import KeySpec, key
 from tiersort.functions.mixing import h
 from tiersort.operators import delivery as d
@@ -15,7 +16,7 @@ from tiersort.operators.packing import pack
 from tiersort.operators.sort import merge_sort, splitter_sort
 from tiersort.operators.splitters import choose_splitters, classify, draw_sample, sort_sample
 from tiersort.plans.topology import plan_levels
-from tiersort.sources.sinks import measure_only
+from tiersort.sources.sinks import discard, measure_only, staged
 from tiersort.sources.tables import few_large, rand64, tiny_run
 
 
@@ -45,24 +46,63 @@ def delivery_worst(spark: SparkSession, p: int, r: int) -> DataFrame:
     return out
 
 
-def weak_scaling(spark: SparkSession, per_pe: list[int], ps: list[int], ks: list[int], repeat: int = 5, algorithms: tuple[str, ...] = ("splitter", "merge")) -> DataFrame:
-    """Rows (algorithm, per_pe, p, k, run, seconds) of sorts of random 64-bit keys."""
-    out = []
+def weak_scaling(spark: SparkSession, per_pe: list[int], ps: list[int], ks: list[int], repeat: int = 5, algorithms: tuple[str, ...] = ("splitter", "merge"), cores: int | None = None) -> DataFrame:
+    """Rows (algorithm, per_pe, p, k, run, seconds, rate) of sorts of random 64-bit keys; ``rate`` in elements a second and core.
+
+    Session, input and plans are made before the timer starts.
+    """
+    out, cores = [], cores or spark.sparkContext.defaultParallelism
     for n in per_pe:
         for p in ps:
-            df = rand64(spark, n * p).persist()
-            df.count()
+            df = staged(rand64(spark, n * p), "keys")
             for k in ks:
+                levels = plan_levels(p, k)
+                if k != "log" and len(levels) != k:
+                    continue  # this plan is another k's
                 for name in algorithms:
                     for run in range(repeat):
                         t = time.time()
                         sort = splitter_sort if name == "splitter" else merge_sort
-                        layout = sort(df, key("key", ties=("id",)), p, levels=plan_levels(p, k), by="id")
+                        layout = sort(df, key("key", ties=("id",)), p, levels=levels)
                         measure_only(layout.df)
-                        out.append((name, n, p, k, run, time.time() - t))
+                        s = time.time() - t
+                        out.append((name, n, p, len(levels), run, s, throughput(n * p, s, cores)))
                         layout.release()
-            df.unpersist()
-    return spark.createDataFrame(out, "algorithm string, per_pe int, p int, k int, run int, seconds double")
+            discard(df)
+    return spark.createDataFrame(out, "algorithm string, per_pe int, p int, k int, run int, seconds double, rate double")
+
+
+def phases(df: DataFrame, by: KeySpec, p: int, ks: tuple[int, ...] = (1, 2)) -> DataFrame:
+    """Rows (algorithm, k, phase, seconds): time by phase, summed over the levels; every phase ends before the next begins."""
+    out = []
+    for k in ks:
+        for name, sort in (("splitter", splitter_sort), ("merge", merge_sort)):
+            report = sort(df, by, p, k, measure=True).report
+            for phase in ("splitter selection", "bucket processing", "data delivery", "local sort"):
+                out.append((name, k, phase, float(sum(r["seconds"] for r in report.rows if r["phase"] == phase))))
+            report.release()
+    return df.sparkSession.createDataFrame(out, "algorithm string, k int, phase string, seconds double")
+
+
+def level_traffic(df: DataFrame, by: KeySpec, p: int, ks: tuple[int, ...] = (1, 2, 3), **options) -> DataFrame:
+    """Rows (k, level, groups, max_sent, max_recv, bottleneck, words, eps) of splitter sorts by level."""
+    out = []
+    for k in ks:
+        report = splitter_sort(df, by, p, k, **options).report
+        out += [(k, r["level"], r["groups"], r["max_sent"], r["max_recv"], r["bottleneck"], r["words"], r["eps"]) for r in report.rows if r["phase"] == "data delivery"]
+        report.release()
+    return df.sparkSession.createDataFrame(out, "k int, level int, groups int, max_sent double, max_recv double, bottleneck double, words double, eps double")
+
+
+def tie_modes(df: DataFrame, columns: list[str], p: int, modes: tuple[str, ...] = ("none", "level", "origin")) -> DataFrame:
+    """Rows (key, mode, eps): imbalance of one level of splitting by keys that repeat."""
+    out = []
+    for c in columns:
+        for mode in modes:
+            layout = splitter_sort(df.select(c), key(c), p, 1, ties=mode)
+            out.append((c, mode, float(max(layout.loads) * p / max(1, sum(layout.loads)) - 1)))
+            layout.release()
+    return df.sparkSession.createDataFrame(out, "key string, mode string, eps double")
 
 
 def best_k(metrics: DataFrame) -> DataFrame:
@@ -91,6 +131,18 @@ def median_seconds(run, repeat: int = 3) -> float:
     return statistics.median(times)
 
 
+def efficiencies(metrics: DataFrame) -> DataFrame:
+    """Weak-scaling efficiency of the best level counts, against the fewest PEs of the same load."""
+    best = best_k(metrics)
+    first = Window.partitionBy("algorithm", "per_pe").orderBy("p")
+    return best.withColumn("efficiency", F.first("median").over(first) / F.col("median"))
+
+
+def cost_fit(reports: list[list[dict]]) -> tuple[float, float]:
+    """Start-up and time for each word from the deliveries of several sorts."""
+    return fit([(r["max_sent"], r["bottleneck"], r["seconds"]) for rows in reports for r in rows if r.get("phase") == "data delivery"])
+
+
 def hash_order_sample(df: DataFrame, unique: str, n: int) -> DataFrame:
     """The n rows of smallest mixed key."""
     return df.orderBy(h(F.col(unique)), unique).limit(n)

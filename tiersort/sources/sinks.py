@@ -44,10 +44,21 @@ def write_sorted(layout, path: str, fmt: str = "parquet") -> None:
     layout.df.drop("_ms_row").withColumn("pe", F.col("_ms_pe")).write.mode("overwrite").partitionBy("pe").format(fmt).save(path)
 
 
+def write_bucketed(layout, name: str, buckets: int) -> None:
+    """A table of ``buckets`` buckets by the key's columns, each sorted: joins on them need no exchange."""
+    cols = list(layout.key.cols)
+    layout.df.drop("_ms_row", "_ms_pe").write.mode("overwrite").bucketBy(buckets, *cols).sortBy(*cols).saveAsTable(name)
+
+
+def write_metrics(metrics: DataFrame, path: str) -> None:
+    """Metric rows as JSON lines, added to those that are there."""
+    metrics.coalesce(1).write.mode("append").json(path)
+
+
 def read_sorted(spark: SparkSession, path: str, key: KeySpec, p: int, fmt: str = "parquet"):
     from tiersort.operators.layout import SortedLayout
 
-    df = spark.read.format(fmt).load(path)
+    df = spark.read.format(fmt).load(path)  # its folders by PE are skipped where ranges don't overlap
     return SortedLayout(df.drop("pe").repartitionById(p, F.col("_ms_pe")).sortWithinPartitions("_ms_pe", *key.order()), key, p)
 
 

@@ -10,8 +10,9 @@ from tiersort.functions.mixing import h, random64
 
 def read_table(spark: SparkSession, folder: str, name: str, cols: list[str] | None = None, where: str | None = None, fmt: str = "parquet", **options) -> DataFrame:
     """A table of a folder; columns and filter reach the scan."""
-    path = f"{folder}/{name}.{fmt}"
-    df = spark.read.format(fmt).options(**options).load(path)
+    path, schema = f"{folder}/{name}.{fmt}", options.pop("schema", None)
+    reader = spark.read.format(fmt).options(**options)
+    df = (reader.schema(schema) if schema else reader).load(path)
     df = df.where(where) if where else df
     return df.select(*cols) if cols else df
 
@@ -20,6 +21,12 @@ def rand64(spark: SparkSession, n: int, seed: int = 0) -> DataFrame:
     return spark.range(n).select("id", random64(F.col("id"), seed).alias("key"))
 
 
+def rate_keys(spark: SparkSession, rows_per_second: int = 100, seed: int = 0) -> DataFrame:
+    """An endless stream (id, ts, key) of random 64-bit keys."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    return rows.select(F.col("value").alias("id"), F.col("timestamp").alias("ts"), random64(F.col("value"), seed).alias("key"))
+
+
 def rec100(spark: SparkSession, n: int, seed: int = 0) -> DataFrame:
     """Records of 100 bytes with keys of 10."""
     digest = F.unhex(F.sha2(F.concat_ws(":", F.lit(seed).cast("string"), F.col("id").cast("string")), 512))
