@@ -32,13 +32,13 @@ def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     mine, back = _apart(docs, "_row", "id")
     rows = mine.withColumn("_row", F.to_json(row_key(mine)))
     kept = quality.judge(rows, table(spark, sf_dir, "labels"), row_col="_row").where("keep").select("id").distinct()
-    return rows.join(kept, rows["_row"] == kept["id"], "left_semi").withColumnsRenamed(back).select(*docs.columns)
+    return rows.join(kept, rows["_row"] == kept["id"], "left_semi").drop("_row").withColumnsRenamed(back).select(*docs.columns)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the boilerplate lines of their source; one with nothing else stays whole."""
     mine, back = _apart(docs, "n_lines", "n_dropped")
-    return _sized(lines.drop_frequent(mine).withColumnsRenamed(back), docs.columns)
+    return _sized(lines.drop_frequent(mine).drop("n_lines", "n_dropped").withColumnsRenamed(back), docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,7 +52,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     rows = mine.withColumns({"_row": row_key(mine), "h1": h1, "h2": h2})
     named = rows.select("doc_id", "_row", "h1", "h2").join(simhash.near_texts(mine), ["h1", "h2"])
     first = named.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row")).alias("f")).select("f._row")
-    return rows.join(first, "_row", "left_semi").dropDuplicates(["_row"]).withColumnsRenamed(back).select(*docs.columns)
+    return rows.join(first, "_row", "left_semi").dropDuplicates(["_row"]).drop("_row", "h1", "h2").withColumnsRenamed(back).select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -85,3 +85,33 @@ def test_edge_rows(spark):
 def test_short_disguises_wake_the_transducer(text, kind, part):
     got = pii.disguised(text, pii.detect(text))
     assert [text[a:b] for a, b in got[kind]] == [part]
+
+
+def test_planted_disguises_are_found():
+    """Random identifiers in random disguises: what is found is the disguised stretch itself."""
+    rng = random.Random(12)
+    names = {"0": "zero", "1": "one", "2": "two", "3": "three", "4": "four", "5": "five", "6": "six", "7": "seven", "8": "eight", "9": "nine"}
+    alike = {"a": "а", "e": "е", "o": "о", "c": "с", "p": "р", "x": "х"}
+    word = lambda n: "".join(rng.choice("bdfghklmnrstv") + rng.choice("aeo") for _ in range(n))
+    wide = lambda t: "".join(chr(ord(c) + 0xFEE0) if c.isdigit() and rng.random() < 0.7 else c for c in t)
+    for _ in range(400):
+        kind = rng.choice(["email", "ip", "card", "phone"])
+        if kind == "email":
+            at, dot = rng.choice([(" [at] ", " [dot] "), ("(at)", "(dot)"), (" at ", " dot "), ("＠", "．"), ("@", ".")])
+            hidden = word(2) + at + word(3) + dot + rng.choice(["org", "net", "example"])
+            if at == "@":
+                k = next(i for i, c in enumerate(hidden) if c in alike and i > hidden.index("@"))  # what stands before it may be a base match
+                hidden = hidden[:k] + alike[hidden[k]] + hidden[k + 1:]
+        elif kind == "ip":
+            hidden = wide(".".join(str(rng.randrange(256)) for _ in range(4)))
+            if hidden.isascii():
+                hidden = chr(ord(hidden[0]) + 0xFEE0) + hidden[1:]
+        elif kind == "card":
+            digits = [rng.randrange(10) for _ in range(15)]
+            check = next(x for x in range(10) if pii.luhn("".join(map(str, [*digits, x]))))
+            hidden = " ".join(names[str(x)] for x in [*digits, check])
+        else:
+            hidden = "+" + " ".join(names[str(rng.randrange(1, 10))] for _ in range(rng.randrange(9, 14)))
+        text = f"please note: {hidden} ; thanks, {word(3)}"
+        found = pii.disguised(text, pii.detect(text))[kind]
+        assert [text[a:b] for a, b in found] == [hidden], (kind, text, found)

@@ -9,7 +9,9 @@ from pyspark.sql import functions as F
 sys.path.insert(0, str(Path(__file__).resolve().parents[2]))
 corpus_pipeline = pytest.importorskip("corpus_pipeline")
 
-from helpers import DATA, plain_contamination  # noqa: E402
+from helpers import DATA, plain_contamination, plain_cut, plain_lines, plain_near, plain_verdicts  # noqa: E402
+from oracle import sql_rows  # noqa: E402
+from tiersort.llm import mixing, quality  # noqa: E402
 from tiersort.llm.common import staged  # noqa: E402
 
 
@@ -97,3 +99,22 @@ def test_clashing_columns(spark, tmp_path):
             if c in docs.columns and c not in ("target",):
                 assert docs.where(F.col(c) != f"own {c}").count() == 0, (name, c)
     assert docs.schema["target"].dataType.simpleString() == "double" and "Size" not in docs.columns
+
+
+def test_run_equals_plain_version(spark, tmp_path):
+    folder = DATA.replace("sf0.01", "sf0.001")
+    docs, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
+    model = quality.fit(quality.sample(docs, labels, "doc_id", "text", quality.MOST_LABELS))
+    rows = sorted(docs.select("doc_id", "text", "lang", "source").collect())
+    good = {v[0] for v in plain_verdicts([(r.doc_id, r.source, r.lang, *model.evidence(r.text)) for r in rows]) if v[3]}
+    rows = [tuple(r) for r in rows if r.doc_id in good]
+    rows = [(r[0], t, r[2], r[3]) for r, t in zip(rows, plain_lines([(r[0], r[1], r[3]) for r in rows]))]
+    stay = plain_near([r[:2] for r in rows])
+    items = [r.text for r in spark.read.parquet(f"{folder}/benchmark.parquet").collect()]
+    rows = [(r[0], plain_cut(r[1], items), *r[2:]) for r in rows if r[0] in stay]
+    rows = [r for r in rows if r[1] is not None]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    taken = {r[0]: r[3] for r in sql_rows(mixing.ORACLE, tmp_path)}  # columns in the order of their names
+    want = sorted((r[0], r[1], taken[r[0]]) for r in rows if taken[r[0]] > 0)
+    got = sorted((r.doc_id, r.text, r.taken) for r in corpus_pipeline.run(spark, folder).collect())
+    assert got == want and len(want) > 20

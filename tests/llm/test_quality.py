@@ -1,12 +1,9 @@
-import math
-from collections import defaultdict
-
 import numpy as np
 from pyspark.sql import functions as F
 
 from tiersort.llm import quality as q
 from tiersort.llm.queries import QUERIES
-from helpers import DATA
+from helpers import DATA, plain_verdicts
 
 LARGER = "/root/testdata/sf0.1"
 
@@ -41,33 +38,6 @@ def test_sites_are_shrunk(spark):
     assert site["low"] < site["tiny"] < site["big"]
 
 
-def plain_verdicts(rows):
-    """(id, host, path, good, bad) rows -> sorted (id, quality, toxicity, keep), every posterior worked out for itself."""
-    prob = lambda x: 1 / (1 + math.exp(-x))
-    odds = lambda x: math.log(min(max(x, 1e-3), 1 - 1e-3) / (1 - min(max(x, 1e-3), 1 - 1e-3)))
-
-    def strength(groups):
-        means = [sum(g) / len(g) for g in groups]
-        m = sum(means) / len(means)
-        v = sum((x - m) ** 2 for x in means) / len(means)
-        between = max(v - sum(x * (1 - x) / len(g) for x, g in zip(means, groups)) / len(means), 1e-4)
-        return min(max(m * (1 - m) / between - 1, 1.0), 1000.0)
-
-    out = [[r[0]] for r in rows]
-    for k in (3, 4):
-        p = [round(prob(r[k]) * 1e6) / 1e6 for r in rows]
-        hosts, paths = defaultdict(list), defaultdict(list)
-        for r, x in zip(rows, p):
-            hosts[r[1]].append(x)
-            paths[r[1], r[2]].append(x)
-        world, kh, kp = sum(p) / len(p), strength(list(hosts.values())), strength(list(paths.values()))
-        for o, r, x in zip(out, rows, p):
-            host = (sum(hosts[r[1]]) - x + kh * world) / (len(hosts[r[1]]) - 1 + kh)
-            site = (sum(paths[r[1], r[2]]) - x + kp * host) / (len(paths[r[1], r[2]]) - 1 + kp)
-            o.append(round(prob(r[k] + odds(site) - odds(world)), 6))
-    return sorted((i, good, bad, good >= 0.5 and bad < 0.5) for i, good, bad in out)
-
-
 def test_query_matches_plain_version(spark):
     docs, labels = spark.read.parquet(f"{DATA}/documents.parquet"), spark.read.parquet(f"{DATA}/labels.parquet")
     model = q.fit(q.sample(docs, labels, "doc_id", "text", q.MOST_LABELS))
