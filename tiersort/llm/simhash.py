@@ -127,38 +127,43 @@ def hex_of(fp: Column) -> Column:
 
 
 def sketches(docs: DataFrame, text_col: str, shingle: int, bands: int, rows: int, seed: int = 11) -> DataFrame:
-    """Rows (h1, h2, fp, keys, shingles) for every row of ``docs``.
+    """Rows (h1, h2, fp, keys, bits, shingles) for every row of ``docs``.
 
     ``h1`` and ``h2`` (96 bits) name the text, ``keys`` has a 64-bit key for
-    each band of minima, ``shingles`` the distinct hashes of its shingles.
-    Texts without a word have neither.
+    each band of minima, ``bits`` the last bit of each minimum (packed into
+    longs), ``shingles`` the distinct hashes of its shingles. Texts without a
+    word have none of these.
     """
     rng = np.random.default_rng(seed)
     mul = rng.integers(0, 1 << 32, (bands * rows, 1), np.uint64).astype(np.uint32) | np.uint32(1)
     add = rng.integers(0, 1 << 32, (bands * rows, 1), np.uint64).astype(np.uint32)
 
-    def keys(h: np.ndarray) -> list[int]:
+    def keys(h: np.ndarray) -> tuple[list[int], list[int]]:
         low = np.full(bands * rows, 0xFFFFFFFF, np.uint32)
         small = np.unique(((h ^ (h >> np.uint64(29))) & np.uint64(0xFFFFFFFF)).astype(np.uint32))
         for at in range(0, len(small), 4096):
             x = small[at:at + 4096] * mul + add
             low = np.minimum(low, (x ^ (x >> np.uint32(15))).min(1))
-        return [xxhash.xxh64_intdigest(low[i * rows:(i + 1) * rows].tobytes(), i) - (1 << 63) for i in range(bands)]
+        last = np.zeros(-(-bands * rows // BITS) * BITS, np.uint8)
+        last[:bands * rows] = low & np.uint32(1)
+        return [xxhash.xxh64_intdigest(low[i * rows:(i + 1) * rows].tobytes(), i) - (1 << 63) for i in range(bands)], np.packbits(last).view(np.int64).tolist()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         longs = pa.list_(pa.int64())
         for b in batches:
-            out, fps, held = [], [], []
+            out, fps, held, bits = [], [], [], []
             for t in b.column(2):
                 h = shingle_hashes(t.as_py(), shingle)
                 fps.append(_signed(fingerprint(h)))
                 held.append(np.unique(h).view(np.int64))
-                out.append(keys(held[-1].view(np.uint64)) if len(h) else [])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fps, pa.int64()), pa.array(out, longs), pa.array(held, longs)],
-                                             names=["h1", "h2", "fp", "keys", "shingles"])
+                band, last = keys(held[-1].view(np.uint64)) if len(h) else ([], [])
+                out.append(band)
+                bits.append(last)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fps, pa.int64()), pa.array(out, longs), pa.array(bits, longs), pa.array(held, longs)],
+                                             names=["h1", "h2", "fp", "keys", "bits", "shingles"])
 
     h1, h2 = text_key(text_col)
-    return docs.select(h1.alias("h1"), h2.alias("h2"), text_col).mapInArrow(run, "h1 long, h2 int, fp long, keys array<long>, shingles array<long>")
+    return docs.select(h1.alias("h1"), h2.alias("h2"), text_col).mapInArrow(run, "h1 long, h2 int, fp long, keys array<long>, bits array<long>, shingles array<long>")
 
 
 def text_key(text_col: str) -> tuple[Column, Column]:
@@ -167,12 +172,28 @@ def text_key(text_col: str) -> tuple[Column, Column]:
     return F.xxhash64(text), F.hash(F.reverse(text))
 
 
-def similar(pairs: DataFrame, shingles: DataFrame, tenths: int, most_broadcast: int = 500_000) -> DataFrame:
-    """Those of ``pairs`` (u, v) whose sets, rows (id, n, shingles), have a Jaccard similarity of ``tenths`` / 10 or more, exactly."""
-    pairs = staged(pairs.distinct(), "pairs")
+def bits_apart(a: str, b: str) -> Column:
+    """Number of positions in which two packed bit vectors differ."""
+    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+
+
+def most_apart(minima: int, tenths: int) -> int:
+    """Last bits of minima in which texts of ``tenths`` / 10 differ, but for two of a million such pairs (4.6 standard deviations above the mean)."""
+    share = (1 - tenths / 10) / 2
+    return int(minima * share + 4.6 * (minima * share * (1 - share)) ** 0.5)
+
+
+def similar(pairs: DataFrame, facts: DataFrame, shingles: DataFrame, tenths: int, apart: int, most_broadcast: int = 500_000) -> DataFrame:
+    """Those of ``pairs`` (u, v) whose sets, rows (id, n, shingles), have a Jaccard similarity of ``tenths`` / 10 or more, exactly.
+
+    Pairs that sizes or last bits (``facts``) rule out are not looked up.
+    """
+    a, b = (facts.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), F.col("bits").alias(f"b{x}")) for x in "uv")
+    fits = (10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")) & (bits_apart("bu", "bv") <= apart)
+    pairs = staged(pairs.distinct().join(a, "u").join(b, "v").where(fits).select("u", "v"), "pairs")
     asked = pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct()
     few = 2 * pairs.count() <= most_broadcast
-    sets = staged(shingles.join(F.broadcast(asked) if few else asked, "id", "left_semi"), "sets")
+    sets = shingles.join(F.broadcast(asked) if few else asked, "id", "left_semi")
     both = pairs.join(sets.toDF("u", "nu", "su"), "u").join(sets.toDF("v", "nv", "sv"), "v")
     shared = F.size(F.array_intersect("su", "sv"))
     return both.where(10 * shared >= tenths * (F.col("nu") + F.col("nv") - shared)).select("u", "v")
@@ -184,32 +205,42 @@ def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands:
     Two texts are linked if they share ``tenths`` / 10 or more of their
     distinct shingles. Candidates have an equal band of minima (40 bands of 6:
     five of a million pairs at 0.8 have none) or fingerprints of one class
-    within ``radius`` bits; each link is checked on the whole sets. First
-    every member of a band is held against one of them. Whatever is in
-    different components after that and still shares a band is compared pair
-    by pair, but for pairs whose sizes rule a link out, so no link within a
-    band is lost, and members that agree with the first are never paired.
+    within ``radius`` bits, and last bits of their minima as near as such texts
+    have them (two of a million haven't); each link is checked on the whole
+    sets. First each text is held against one other: the smallest that is the
+    first of a band they share. Bands that still have several components are
+    held against their first member once more. What then lies in different
+    components and shares a band is compared pair by pair, sizes and last bits
+    first, inside of the join; so no link within a band is lost, and members
+    that agree with a first one are never paired.
     """
     raw = sketches(docs, text_col, shingle, bands, rows).withColumn("id", F.monotonically_increasing_id())
     sketch = staged(raw, "sketch")  # written once, so the numbers stay
     first = staged(sketch.groupBy("h1", "h2").agg(F.min("id").alias("id")), "texts")
     own = sketch.join(first.select("id"), "id", "left_semi").where(F.size("keys") > 0)
     sets = own.select("id", F.size("shingles").alias("n"), "shingles")
-    entry = own.select("id", F.size("shingles").alias("n"), F.explode("keys").alias("key"))
-    held = staged(with_least(entry, "key", "id", bands * first.count(), "low", alone=False), "bands")
-    star = held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v"))
-    near = classes(own.select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
-    links = staged(similar(star.unionByName(near), sets, tenths), "links")
-    # components so far; bands that lie in one of them need nothing more
-    grown = staged(components(links), "grown")
-    placed = held.join(grown, "id", "left").select("id", "n", "key", F.coalesce("component", "id").alias("c"))
-    mixed = placed.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select("key")
-    open_ = staged(placed.join(mixed, "key"), "open")
-    a, b = open_.toDF("key", "u", "nu", "cu"), open_.toDF("key", "v", "nv", "cv")
-    fits = 10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")
-    rest = a.join(b, "key").where((F.col("u") > F.col("v")) & (F.col("cu") != F.col("cv")) & fits).select("u", "v").distinct()
-    rest = rest.join(star.distinct(), ["u", "v"], "left_anti")
-    found = components(links.unionByName(similar(rest, sets, tenths)))
+    facts = staged(own.select("id", F.size("shingles").alias("n"), "bits", "fp"), "facts")
+    apart, n = most_apart(bands * rows, tenths), first.count()
+    held = staged(with_least(own.select("id", F.explode("keys").alias("key")), "key", "id", bands * n, "low", alone=False), "bands")
+    tried = held.where("id <> low").groupBy(F.col("id").alias("u")).agg(F.min("low").alias("v"))
+    near = classes(facts.select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
+    tried = staged(tried.unionByName(near).distinct(), "first")
+    links = staged(similar(tried, facts, sets, tenths, apart), "links")
+
+    def mixed(grown: DataFrame) -> DataFrame:
+        """Members (id, key, c, low, lc) of bands with several components, with the band's first member and its component."""
+        placed = held.select("id", "key").join(grown, "id", "left").select("id", "key", F.coalesce("component", "id").alias("c"))
+        some = placed.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b"), F.min(F.struct("id", "c")).alias("f")).where("a < b")
+        return placed.join(some.select("key", F.col("f.id").alias("low"), F.col("f.c").alias("lc")), "key")
+
+    again = mixed(staged(components(links), "grown")).where("c <> lc").select(F.col("id").alias("u"), F.col("low").alias("v"))
+    again = staged(again.distinct().join(tried, ["u", "v"], "left_anti"), "second")
+    links = staged(links.unionByName(similar(again, facts, sets, tenths, apart)), "links")
+    open_ = staged(mixed(staged(components(links), "grown")).select("id", "key", "c").join(facts.select("id", "n", "bits"), "id"), "open")
+    a, b = open_.toDF("u", "key", "cu", "nu", "bu"), open_.toDF("v", "key", "cv", "nv", "bv")
+    fits = (F.col("u") > F.col("v")) & (F.col("cu") != F.col("cv")) & (10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")) & (bits_apart("bu", "bv") <= apart)
+    rest = a.join(b, (a["key"] == b["key"]) & fits).select("u", "v").distinct().join(tried.unionByName(again), ["u", "v"], "left_anti")
+    found = components(links.unionByName(similar(rest, facts, sets, tenths, apart)))
     return first.join(found, "id", "left").select("h1", "h2", F.coalesce("component", "id").alias("class"))
 
 
