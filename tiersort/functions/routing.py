@@ -121,6 +121,24 @@ def gap_of(router: Router, block: Column) -> Column:
     return F.pandas_udf(run, "long")(block, *router.codes.columns(router.depth))
 
 
+def reached(codes: Codes, firsts: tuple, lasts: tuple, begin: list[Column], end: list[Column]) -> Column:
+    """Struct (a, b): numbers of the first and the last PE whose keys can lie between ``begin`` and ``end`` (codes of both, in the order's direction).
+
+    ``firsts`` and ``lasts`` are the PEs' first and last keys (flags, values).
+    The last number is below the first one if there is no such PE.
+    """
+    first, ways = codes.arrays(*firsts)
+    last, _ = codes.arrays(*lasts)
+    width = len(begin)
+
+    def run(*columns: pd.Series) -> pd.DataFrame:
+        a, _ = codes.arrays(*codes.read(list(columns[:width])))
+        b, _ = codes.arrays(*codes.read(list(columns[width:])))
+        return pd.DataFrame({"a": lex_search(a, last, ways), "b": lex_search(b, first, ways, right=True) - 1})
+
+    return F.pandas_udf(run, "a int, b int")(*begin, *end)
+
+
 def runs_below(router: Router, by_run: bool):
     """Function for ``mapInArrow`` over rows (block, pos, codes) of sorted runs: rows (pe, bound, n), rows up to each bound.
 

@@ -15,6 +15,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tiersort.functions.keys import KeySpec
+from tiersort.functions.routing import reached
+from tiersort.functions.search import Codes
 
 
 class SortedLayout:
@@ -195,13 +197,44 @@ class SortedLayout:
         """One row for each PE that has rows: its last key; with it other tables are dealt like this one."""
         return self.stats.select("pe", "first_key", "last_key")
 
+    def _reach(self, other: DataFrame, low: Column, high: Column) -> tuple[DataFrame, list[int]]:
+        """``other`` with ``_ms_a`` and ``_ms_b``: places, among the PEs that have rows (second result), of those whose range of the first key column overlaps [low, high].
+
+        The p first and last keys are on the driver; each row finds its places
+        by binary search.
+        """
+        c, asc = self.key.cols[0], self.key._all[0][1]
+        kind = self.df.schema[c].dataType
+        one = KeySpec((c,), (asc,), (self.key._all[0][2],))
+
+        fence = self.stats.select("pe", F.col("first_key.k0").alias("_f"), F.col("last_key.k0").alias("_l")).orderBy("pe")
+        found = []
+        for x in ("_f", "_l"):
+            mine = fence.select("pe", F.col(x).alias(c))
+            codes = Codes(mine, one)
+            got = mine.orderBy("pe").select("pe", *codes.named()).toArrow()  # p rows
+            found.append(codes.read([got.column(i) for i in range(1, got.num_columns)]))
+        pes = got.column(0).to_pylist()
+        held = other.withColumns({"_ms_lo": low.cast(kind), "_ms_hi": high.cast(kind)})
+        begin, end = ("_ms_lo", "_ms_hi") if asc else ("_ms_hi", "_ms_lo")
+        ends = [Codes(held, KeySpec((n,), one.asc, one.nulls_first)).columns() for n in (begin, end)]
+        spot = reached(codes, *found, *ends)
+        return held.withColumn("_ms_s", spot).withColumns({"_ms_a": F.col("_ms_s.a"), "_ms_b": F.col("_ms_s.b")}).drop("_ms_s"), pes
+
     def _dealt(self, other: DataFrame, on: str, low: Column, high: Column) -> DataFrame:
-        """``other`` copied to every PE whose range of the first key column overlaps [low, high]; p fences are broadcast as one row."""
-        table = self.stats.agg(F.array_agg(F.struct("pe", F.col("first_key.k0").alias("a"), F.col("last_key.k0").alias("b"))).alias("_ms_f"))
-        if self.key.asc and not self.key.asc[0]:
-            table = self.stats.agg(F.array_agg(F.struct("pe", F.col("last_key.k0").alias("a"), F.col("first_key.k0").alias("b"))).alias("_ms_f"))
-        hit = F.transform(F.filter("_ms_f", lambda f: (f["a"] <= high) & (f["b"] >= low)), lambda f: f["pe"])
-        return other.crossJoin(F.broadcast(table)).withColumn("_ms_hit", hit).drop("_ms_f")
+        """``other`` with the PEs (``_ms_hit``) whose range of the first key column overlaps [low, high]; none for nulls."""
+        held, pes = self._reach(other, low, high)
+        known = F.array(*[F.lit(x) for x in pes]) if pes else F.array().cast("array<int>")
+        some = F.when(F.col("_ms_lo").isNotNull() & F.col("_ms_hi").isNotNull() & (F.col("_ms_a") <= F.col("_ms_b")),
+                      F.sequence("_ms_a", "_ms_b") if pes == list(range(len(pes))) else F.transform(F.sequence("_ms_a", "_ms_b"), lambda i: F.element_at(known, i + 1)))
+        return held.withColumn("_ms_hit", F.coalesce(some, F.array().cast("array<int>"))).drop("_ms_lo", "_ms_hi", "_ms_a", "_ms_b")
+
+    def _home(self, other: DataFrame, on: Column) -> DataFrame:
+        """``other`` with the PE (``_ms_pe``) where a row of key ``on`` would stand."""
+        held, pes = self._reach(other, on, on)
+        spot = F.least(F.col("_ms_a"), F.lit(max(0, len(pes) - 1)))
+        known = F.array(*[F.lit(x) for x in pes]) if pes else F.array(F.lit(0))
+        return held.withColumn("_ms_pe", spot if pes == list(range(len(pes))) else F.element_at(known, spot + 1)).drop("_ms_lo", "_ms_hi", "_ms_a", "_ms_b")
 
     def join(self, other: DataFrame, on: str, how: str = "inner") -> DataFrame:
         """Equi-join with ``other`` on its column ``on`` against this layout's first key column.
@@ -241,9 +274,7 @@ class SortedLayout:
         carried to the next PEs as small rows.
         """
         c = self.key.cols[0]
-        table = self.stats.agg(F.array_sort(F.array_agg(F.struct("pe", F.col("last_key.k0").alias("b")))).alias("_ms_f"))
-        home = F.coalesce(F.get(F.filter("_ms_f", lambda f: f["b"] >= F.col(on)), F.lit(0))["pe"], F.element_at("_ms_f", -1)["pe"])
-        theirs = other.crossJoin(F.broadcast(table)).select(home.alias("_ms_pe"), *by, F.col(on).alias("_ms_t"), F.col(value).alias("_ms_v"), F.lit(0).alias("_ms_side"))  # one row of p entries
+        theirs = self._home(other, F.col(on)).select("_ms_pe", *by, F.col(on).alias("_ms_t"), F.col(value).alias("_ms_v"), F.lit(0).alias("_ms_side"))
         mine = self._plain().withColumns({"_ms_t": F.col(c), "_ms_side": F.lit(1)})
         both = mine.unionByName(theirs.withColumn("_ms_hit", F.struct("_ms_t", "_ms_v")).drop("_ms_v"), allowMissingColumns=True)
         w = Window.partitionBy("_ms_pe", *by).orderBy("_ms_t", "_ms_side").rowsBetween(Window.unboundedPreceding, 0)
@@ -301,11 +332,7 @@ class SortedLayout:
         PEs; only a key that spans PEs is put together from several rows.
         """
         names = [*self.key.cols]
-        c = names[0]
-        table = self.stats.agg(F.array_sort(F.array_agg(F.struct(F.col("pe"), F.col("last_key.k0").alias("b")))).alias("_ms_f"))
-        beyond = (lambda b: b >= F.col(c)) if not self.key.asc or self.key.asc[0] else (lambda b: b <= F.col(c))
-        home = F.coalesce(F.get(F.filter("_ms_f", lambda f: beyond(f["b"])), F.lit(0))["pe"], F.element_at("_ms_f", -1)["pe"], F.lit(0))
-        theirs = other.crossJoin(F.broadcast(table)).select(home.alias("_ms_pe"), *names, F.lit(0).alias("_ms_l"), F.lit(1).alias("_ms_r"))  # one row of p entries
+        theirs = self._home(other, F.col(names[0])).select("_ms_pe", *names, F.lit(0).alias("_ms_l"), F.lit(1).alias("_ms_r"))
         both = self._plain().select("_ms_pe", *names, F.lit(1).alias("_ms_l"), F.lit(0).alias("_ms_r")).unionByName(theirs)
         local = both.groupBy("_ms_pe", *names).agg(F.sum("_ms_l").alias("l"), F.sum("_ms_r").alias("r"))
         return _repeated(local.groupBy(*names).agg(F.sum("l").alias("l"), F.sum("r").alias("r")), names, op, every)
