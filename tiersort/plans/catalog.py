@@ -19,7 +19,7 @@ from tiersort.operators.selection import at_ranks, select_splits
 from tiersort.operators.sort import merge_sort, numbered, splitter_sort
 from tiersort.operators.splitters import bucket_sizes, choose_splitters, classify, draw_sample, grid_rank, grid_rank_matrix, sort_sample
 from tiersort.plans.topology import plan_levels
-from tiersort.sources.tables import pieces_of, read_table, tiny_run
+from tiersort.sources.tables import pieces_of, read_table
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -256,16 +256,6 @@ def q29_slices_chunked(spark, folder):
     return _slices(d.deliver(_orders_pieces(spark, folder), "chunked", seed=1))
 
 
-@query()
-def q30_messages_worst(spark, folder):
-    pieces = tiny_run(spark, 64, 4, 0, 60, 1000).persist()
-    out = None
-    for method in ("prefix", "permuted", "chunked", "two_phase"):
-        one = d.message_stats(d.deliver(pieces, method, pes=64)).withColumn("method", F.lit(method))
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
 @query("select ((s + t) % 8)::int as round, s::int as src, t::int as dst, 1::bigint as words from range(8) a(s), range(8) b(t) where s <> t")
 def q32_one_factor(spark, folder):
     cell = spark.range(64).select(F.expr("cast(id div 8 as int)").alias("src"), (F.col("id") % 8).cast("int").alias("dst"), F.lit(1).cast("long").alias("words"))

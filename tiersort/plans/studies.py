@@ -18,7 +18,7 @@ from tiersort.plans import workloads
 from tiersort.plans.catalog import _CELL, _MORTON, _OC, _PACK, _PIECES, _PO, _SAMPLE, LINE, ORACLES, P, PRICE, QUERIES, TOTAL, TS, _cut_sql, _mms, _mss, _orders_pieces, _ranked, _sort_query, _splitters, query
 from tiersort.plans.topology import plan_levels
 from tiersort.sources.sinks import read_sorted, scratch, staged, write_sorted
-from tiersort.sources.tables import read_table, tiny_run
+from tiersort.sources.tables import read_table
 
 _OO = "o_totalprice, o_orderkey"
 
@@ -176,17 +176,30 @@ _TINY = """pg as (select pe::int as pe, g * 16 as grp, g * 16 as base, 16 as q,
 select p.range as pe, g.range as g, case when g.range = 0 and p.range < 60 then 1 else 1000 end as size from range(64) p, range(4) g))"""
 
 
-def _worst_sql() -> str:
+def _worst_sql(pieces: str) -> str:
     parts = []
     for method in ("prefix", "permuted", "chunked", "two_phase"):
-        parts.append(f"""select * from (with {_slices_sql(_TINY, method)}, one as (select * from sl where b > a),
+        parts.append(f"""select * from (with {_slices_sql(pieces, method)}, one as (select * from sl where b > a),
 s as (select pe, count(distinct target) as n, sum(b - a) as w from one group by pe), g as (select target, count(distinct pe) as n, sum(b - a) as w from one group by target)
 select '{method}' as method, (select max(n) from s)::bigint as max_sent, (select avg(n) from s) as mean_sent, (select max(w) from s)::bigint as words_sent, (select sum(n) from s)::bigint as messages,
 (select max(n) from g)::bigint as max_recv, (select avg(n) from g) as mean_recv, (select max(w) from g)::bigint as words_recv, greatest((select max(w) from s), (select max(w) from g))::bigint as bottleneck)""")
     return " union all ".join(parts)
 
 
-ORACLES["q30_messages_worst"] = _worst_sql()
+_FEW = f"""pg as (select pe::int as pe, g * 16 as grp, g * 16 as base, 16 as q, size::bigint as size, (sum(size) over (partition by g))::bigint as m from (
+select p.range as pe, g.range as g, case when ((p.range * 4 + g.range + 1) * {FACTOR}) % {PRIME} % 4 = 0 then 1000 else 1 end as size from range(64) p, range(4) g))"""
+
+
+@query(_worst_sql(_TINY))
+def q30_messages_worst(spark, folder):
+    """A run of PEs with one element each for a group."""
+    return workloads.delivery_worst(spark, "tiny_run", 64, 4)
+
+
+@query(_worst_sql(_FEW))
+def q30b_messages_few_large(spark, folder):
+    """All but a few pieces of each group hold one element."""
+    return workloads.delivery_worst(spark, "few_large", 64, 4)
 
 
 @query(f"select exchange, case when exchange = 'dense' then 16 * 15 else n end::bigint as messages from (select count(distinct pe * 100 + target) as n from ({_cut_sql('pe')})), (values ('dense'), ('one_factor')) v(exchange)")

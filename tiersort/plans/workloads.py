@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import statistics
 import time
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -10,7 +9,6 @@ from pyspark.sql import functions as F
 
 from tiersort.functions.costmodel import fit, throughput
 from tiersort.functions.keys import KeySpec, key
-from tiersort.functions.mixing import h
 from tiersort.operators import delivery as d
 from tiersort.operators.packing import pack
 from tiersort.operators.sort import merge_sort, splitter_sort
@@ -36,13 +34,13 @@ def ab_grid(df: DataFrame, by: KeySpec, unique: str, r: int, many_a: list[float]
     return df.sparkSession.createDataFrame(out, "a double, b int, seed int, sample int, eps double")
 
 
-def delivery_worst(spark: SparkSession, p: int, r: int) -> DataFrame:
-    """Messages by method on the two adversarial piece tables."""
+def delivery_worst(spark: SparkSession, case: str, p: int, r: int) -> DataFrame:
+    """Rows (method, messages and words) of an adversarial piece table: ``tiny_run`` or ``few_large``."""
+    pieces = staged(tiny_run(spark, p, r, 0, p - r) if case == "tiny_run" else few_large(spark, p, r), "pieces")
     out = None
-    for name, pieces in (("tiny_run", tiny_run(spark, p, r, 0, p - r)), ("few_large", few_large(spark, p, r))):
-        for method in ("prefix", "permuted", "chunked", "two_phase"):
-            one = d.message_stats(d.deliver(pieces, method, pes=p)).withColumns({"case": F.lit(name), "method": F.lit(method)})
-            out = one if out is None else out.unionByName(one)
+    for method in ("prefix", "permuted", "chunked", "two_phase"):
+        one = d.message_stats(d.deliver(pieces, method, pes=p)).withColumn("method", F.lit(method))
+        out = one if out is None else out.unionByName(one)
     return out
 
 
@@ -122,15 +120,6 @@ def fluctuation(metrics: DataFrame) -> DataFrame:
     return metrics.groupBy("algorithm", "per_pe", "p", "k").agg(*[F.percentile("seconds", q).alias(f"q{int(q * 100)}") for q in (0.0, 0.25, 0.5, 0.75, 1.0)], F.stddev("seconds").alias("sd"))
 
 
-def median_seconds(run, repeat: int = 3) -> float:
-    times = []
-    for _ in range(repeat):
-        t = time.time()
-        run()
-        times.append(time.time() - t)
-    return statistics.median(times)
-
-
 def efficiencies(metrics: DataFrame) -> DataFrame:
     """Weak-scaling efficiency of the best level counts, against the fewest PEs of the same load."""
     best = best_k(metrics)
@@ -141,8 +130,3 @@ def efficiencies(metrics: DataFrame) -> DataFrame:
 def cost_fit(reports: list[list[dict]]) -> tuple[float, float]:
     """Start-up and time for each word from the deliveries of several sorts."""
     return fit([(r["max_sent"], r["bottleneck"], r["seconds"]) for rows in reports for r in rows if r.get("phase") == "data delivery"])
-
-
-def hash_order_sample(df: DataFrame, unique: str, n: int) -> DataFrame:
-    """The n rows of smallest mixed key."""
-    return df.orderBy(h(F.col(unique)), unique).limit(n)
