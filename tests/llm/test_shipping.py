@@ -4,10 +4,11 @@ import subprocess
 import sys
 
 import numpy as np
+import pytest
 from pyspark import cloudpickle
 from pyspark.sql import functions as F
 
-from tiersort.llm import ann, html_text, quality
+from tiersort.llm import ann, common, html_text, quality
 from tiersort.llm.common import components, shipped, staged
 
 CODE = """
@@ -42,7 +43,9 @@ def test_shipped_objects_come_back(spark):
     assert get()["a"].tolist() == [0, 1, 2]
 
 
-def test_components_with_hubs(spark):
+@pytest.mark.parametrize("apart", [0, 1_000_000])
+def test_components_with_hubs(spark, monkeypatch, apart):
+    monkeypatch.setattr(common, "HUB_TABLE", apart)
     star = spark.range(1, 4000).select(F.lit(0).cast("long").alias("u"), F.col("id").alias("v"))
     chain = spark.range(10_000, 10_040).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
     got = {r.id: r.component for r in components(staged(star.unionByName(chain), "test")).collect()}

@@ -100,6 +100,8 @@ def word_count(text: Column) -> Column:
 
 #: Rows of a key from which on it counts as hot, and the share of all rows from which on it does in larger tables: at most HUB_PARTS keys do.
 HUB_ROWS, HUB_PARTS = 1_000, 2_000
+#: Rows that one task may have of one key: tables up to this size have no hubs to keep apart.
+HUB_TABLE = 1_000_000
 
 
 def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m", alone: bool = True) -> DataFrame:
@@ -107,9 +109,12 @@ def with_least(rows: DataFrame, key: str, value: str, n: int, name: str = "m", a
 
     Minima are aggregated before the exchange. Those of keys with more than
     HUB_ROWS and n / HUB_PARTS rows, HUB_PARTS at most, are broadcast, so the
-    rows of a hub stay where they are; the others are joined by key.
+    rows of a hub stay where they are; the others are joined by key. In tables
+    of up to HUB_TABLE rows all are.
     """
     least = rows.groupBy(key).agg(F.min(value).alias(name), F.count("*").alias("_n"))
+    if n <= HUB_TABLE:
+        return rows.join((least if alone else least.where("_n > 1")).drop("_n"), key)
     bound = max(HUB_ROWS, n // HUB_PARTS)
     held = rows.join(F.broadcast(least.where(F.col("_n") > bound).select(key, F.col(name).alias("_hub"))), key, "left")
     rest = held.where("_hub is null").drop("_hub").join(least.where(F.col("_n").between(1 if alone else 2, bound)).drop("_n"), key)
