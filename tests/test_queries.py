@@ -128,3 +128,17 @@ def test_interval_overlap_of_whole_orders(spark):
     got = sorted(map(tuple, catalog.QUERIES["q62b_interval_overlap_whole"](spark, FOLDER).collect()))
     assert got == want and len({a for a, _ in got}) == sum(r[2] > r[1] for r in rows)
     test_query(spark, "q62b_interval_overlap_whole")
+
+
+@pytest.mark.parametrize("name", ["q21_grid_square"])
+def test_all_pairs_queries(spark, name):
+    test_query(spark, name)
+
+
+def test_large_matrix_of_ranks(spark, monkeypatch):
+    from tiersort.operators import splitters
+
+    monkeypatch.setattr(splitters, "MOST_MATRIX", 50)
+    rows = spark.createDataFrame([(i, (i * 37) % 50) for i in range(400)], "id int, x int")
+    want = {i: k for k, (_, i) in enumerate(sorted(((i * 37) % 50, i) for i in range(400)))}
+    assert {r.id: r["rank"] for r in splitters.grid_rank_matrix(rows, key("x", ties=("id",))).collect()} == want
