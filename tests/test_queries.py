@@ -130,11 +130,36 @@ def test_interval_overlap_of_whole_orders(spark):
     test_query(spark, "q62b_interval_overlap_whole")
 
 
-@pytest.mark.parametrize("name", ["q21_grid_square"])
+@pytest.mark.parametrize("name", ["q21_grid_square", "q59_theta_join"])
 def test_all_pairs_queries(spark, name):
     test_query(spark, name)
 
 
+@pytest.mark.parametrize("desc", [(), ("x",)])
+def test_bands_in_one_value_and_across_pes(spark, desc):
+    xs = [None, 5.0, *[7.0] * 300, *(i / 4 for i in range(-20, 60)), float("nan"), float("inf")]
+    rows = spark.createDataFrame(list(enumerate(xs)), "id long, x double")
+    asked = [(0, 7.0), (1, -0.1), (2, 100.0), (3, None), (4, -50.0), (5, 7.0), (6, float("nan"))]
+    other = spark.createDataFrame(asked, "q long, t double")
+    held = lambda t, x: t is not None and x is not None and t - 0.5 <= x <= t + 0.5
+    want = {q: sum(held(t, x) for x in xs) + (q == 6) for q, t in asked}  # not-a-number equals itself
+    for nulls in ((), ("x",)):
+        layout = splitter_sort(rows, key("x", desc=desc, nulls_first=nulls, ties=("id",)), 6, 1)
+        assert {r.q: r.n for r in layout.band_count(other, F.col("t") - 0.5, F.col("t") + 0.5).collect()} == want
+        pairs = layout.band_join(other, "t", 0.5).groupBy("q").count().collect()
+        assert {r.q: r["count"] for r in pairs} == {q: n for q, n in want.items() if n}
+    whole = splitter_sort(spark.range(100).withColumn("x", F.col("id") % 10), key("x", ties=("id",)), 4, 1)
+    assert [r.n for r in whole.band_count(other.where("q = 0"), F.col("t") - 0.5, F.col("t") + 1.5).collect()] == [20]
+    assert whole.band_count(other.limit(0), F.col("t"), F.col("t")).count() == 0
+
+
+def test_band_join_does_not_meet_all_of_a_pe(spark):
+    layout = splitter_sort(spark.range(60_000).withColumn("x", F.col("id").cast("double")), key("x"), 2, 1)
+    near = layout.band_join(spark.range(60_000).select(F.col("id").cast("double").alias("t")), "t", 1.0)
+    assert "_ms_cell" in near._jdf.queryExecution().executedPlan().toString()
+    assert near.count() == 3 * 60_000 - 2
+
+
 def test_large_matrix_of_ranks(spark, monkeypatch):
     from tiersort.operators import splitters
 
