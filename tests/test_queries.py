@@ -130,7 +130,7 @@ def test_interval_overlap_of_whole_orders(spark):
     test_query(spark, "q62b_interval_overlap_whole")
 
 
-@pytest.mark.parametrize("name", ["q21_grid_square", "q59_theta_join"])
+@pytest.mark.parametrize("name", ["q21_grid_square", "q59_theta_join", "q60_join_band"])
 def test_all_pairs_queries(spark, name):
     test_query(spark, name)
 
