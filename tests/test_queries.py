@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from tiersort.functions.keys import key
 from tiersort.operators import baselines
 from tiersort.operators.sort import merge_sort, splitter_sort
-from tiersort.plans import catalog
+from tiersort.plans import catalog, studies
 from tiersort.sources.sinks import read_sorted, write_sorted
 from tiersort.sources.tables import rand64, rec100
 from tiersort.streaming.runs import merge_runs, read_runs, stream_runs, windowed_counts
@@ -167,3 +167,25 @@ def test_large_matrix_of_ranks(spark, monkeypatch):
     rows = spark.createDataFrame([(i, (i * 37) % 50) for i in range(400)], "id int, x int")
     want = {i: k for k, (_, i) in enumerate(sorted(((i * 37) % 50, i) for i in range(400)))}
     assert {r.id: r["rank"] for r in splitters.grid_rank_matrix(rows, key("x", ties=("id",))).collect()} == want
+
+
+MADE_OF_TABLES = ["q111_gossip_hypercube"]
+
+
+@pytest.mark.parametrize("name", MADE_OF_TABLES)
+def test_plans_and_schedules_follow_the_orders(spark, name, tmp_path):
+    """As their SQL, also where other years and PEs have most of the rows, and there is no order at all."""
+    rows = spark.read.parquet(f"{FOLDER}/orders.parquet")
+    few = rows.where("o_orderkey % 16 not in (3, 5)")
+    more = few.where("year(o_orderdate) = 1995").crossJoin(spark.range(40).withColumnRenamed("id", "_i")).withColumn("o_orderkey", F.col("o_orderkey") + 16 * F.col("_i")).drop("_i")
+    con = duckdb.connect()
+    for folder, df in (("few", few), ("more", few.unionByName(more)), ("none", rows.limit(0))):
+        df.write.parquet(f"{tmp_path}/{folder}/orders.parquet")
+        con.execute(f"create or replace view orders as select * from '{tmp_path}/{folder}/orders.parquet/*.parquet'")
+        got = con.execute({**catalog.ORACLES, **studies.ORACLES}[name])
+        names = [c[0] for c in got.description]
+        want = sorted(tuple(map(norm, r)) for r in got.fetchall())
+        out = {**catalog.QUERIES, **studies.QUERIES}[name](spark, f"{tmp_path}/{folder}")
+        assert sorted(out.columns) == sorted(names)
+        assert sorted(tuple(map(norm, r)) for r in out.select(*names).collect()) == want
+        assert want or folder == "none"
