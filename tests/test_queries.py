@@ -189,3 +189,10 @@ def test_plans_and_schedules_follow_the_orders(spark, name, tmp_path):
         assert sorted(out.columns) == sorted(names)
         assert sorted(tuple(map(norm, r)) for r in out.select(*names).collect()) == want
         assert want or folder == "none"
+
+
+def test_predictions_follow_the_orders(spark):
+    rows = studies.QUERIES["q121_comparisons"](spark, FOLDER).collect()
+    years = {r.y: r.n for r in spark.read.parquet(f"{FOLDER}/orders.parquet").groupBy(F.year("o_orderdate").alias("y")).agg(F.count("*").alias("n")).collect()}
+    assert {r.y: r.n for r in rows} == years and len(rows) == 3 * len(years)
+    assert all(r.splitter > r.n / r.p and r.splitter_seconds > 0 for r in rows)
