@@ -169,7 +169,7 @@ def test_large_matrix_of_ranks(spark, monkeypatch):
     assert {r.id: r["rank"] for r in splitters.grid_rank_matrix(rows, key("x", ties=("id",))).collect()} == want
 
 
-MADE_OF_TABLES = ["q111_gossip_hypercube", "q111b_gossip_tree", "q118_plans", "q119_startups", "q120_rounds", "q32_one_factor", "q33_level_plans"]
+MADE_OF_TABLES = ["q111_gossip_hypercube", "q111b_gossip_tree", "q118_plans", "q119_startups", "q120_rounds", "q32_one_factor", "q33_level_plans", "q91_level_plan_udtf"]
 
 
 @pytest.mark.parametrize("name", MADE_OF_TABLES)
