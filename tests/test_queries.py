@@ -196,3 +196,14 @@ def test_predictions_follow_the_orders(spark):
     years = {r.y: r.n for r in spark.read.parquet(f"{FOLDER}/orders.parquet").groupBy(F.year("o_orderdate").alias("y")).agg(F.count("*").alias("n")).collect()}
     assert {r.y: r.n for r in rows} == years and len(rows) == 3 * len(years)
     assert all(r.splitter > r.n / r.p and r.splitter_seconds > 0 for r in rows)
+
+
+@pytest.mark.parametrize("name", ["q122c_slowdown"])
+def test_weak_scaling_of_a_table(spark, name, monkeypatch):
+    ran, real = [], studies.workloads.splitter_sort
+    monkeypatch.setattr(studies.workloads, "splitter_sort", lambda df, *a, **o: ran.append(sorted(r.id for r in df.collect())) or real(df, *a, **o))
+    got = studies.QUERIES[name](spark, FOLDER).collect()
+    ids = sorted(r.c_custkey for r in spark.read.parquet(f"{FOLDER}/customer.parquet").select("c_custkey").collect())
+    per = -(-len(ids) // 8)
+    assert len(ran) == 20 and all(x in (ids, ids[:4 * per]) for x in ran) and ran.count(ids) == 10
+    assert {(r.p, r.per_pe) for r in got} == {(4, per), (8, per)}
