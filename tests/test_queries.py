@@ -198,7 +198,7 @@ def test_predictions_follow_the_orders(spark):
     assert all(r.splitter > r.n / r.p and r.splitter_seconds > 0 for r in rows)
 
 
-@pytest.mark.parametrize("name", ["q122c_slowdown"])
+@pytest.mark.parametrize("name", ["q122c_slowdown", "q122d_fluctuation"])
 def test_weak_scaling_of_a_table(spark, name, monkeypatch):
     ran, real = [], studies.workloads.splitter_sort
     monkeypatch.setattr(studies.workloads, "splitter_sort", lambda df, *a, **o: ran.append(sorted(r.id for r in df.collect())) or real(df, *a, **o))
