@@ -1,6 +1,7 @@
 import math
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -71,3 +72,35 @@ def test_codes_rank_like_distances():
     for i, r in enumerate(near):
         assert i in r  # a member's own code is among the nearest
     assert (index.visits(x[:20], 1)[:, 0] == cell[:20]).all()
+
+
+def recall_of(spark, x, is_query="id % 50 = 0", every=50):
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(x)), "embedding": [v.tolist() for v in x]}), "vec_id long, embedding array<double>")
+    got = {}
+    for r in ann.search(df, F.expr(is_query)).collect():
+        got.setdefault(r.query_id, []).append(r.vec_id)
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    asks = np.arange(0, len(x), every)
+    score = unit[asks] @ unit.T
+    score[np.arange(len(asks)), asks] = -2
+    want = np.argsort(-score, 1, kind="stable")[:, :5]
+    return sum(len({*w.tolist()} & {*got[q]}) for q, w in zip(asks.tolist(), want)) / want.size
+
+
+def test_recall_within_tight_clusters(spark):
+    """Many vectors that differ by less than the codes tell apart."""
+    rng = np.random.default_rng(5)
+    centre = rng.normal(size=(6, 48))
+    assert recall_of(spark, centre[rng.integers(0, 6, 6000)] + rng.normal(size=(6000, 48)) * 0.01) >= 0.95
+
+
+def test_recall_where_queries_are_unlike_the_rest(spark):
+    rng = np.random.default_rng(6)
+    centre = rng.normal(size=(40, 32))
+    x = centre[rng.integers(0, 40, 6000)] + rng.normal(size=(6000, 32)) * 0.05
+    x[::50] = rng.normal(size=(120, 32))
+    assert recall_of(spark, x) >= 0.9
+
+
+def test_recall_without_structure(spark):
+    assert recall_of(spark, np.random.default_rng(7).normal(size=(6000, 64))) >= 0.9

@@ -5,14 +5,18 @@ and each part is named by the nearest of 256 codewords. A query visits the
 lists of its nearest centroids. In each list the distances to all members are
 sums of table entries (asymmetric distance: query exact, members quantised);
 the most promising members are reranked by the exact cosine of the original
-vectors. Centroids and codewords are fitted on a bounded sample (``most_fit``
+vectors. A member's code comes with its distance from what the code stands
+for, so the table's distance and that error bound the true one: every member
+whose bound lies within the k-th best exact distance is reranked too, and a
+visited list loses none of its nearest. Centroids and codewords are fitted on a bounded sample (``most_fit``
 vectors, by a hash of their ids); every vector is indexed.
 
-How many lists there are and how many of them a query visits follows from the
-sample: for several numbers of lists, up to the root of the table's rows, the
-sample's own queries say how many lists hold the wanted share of their true
-neighbours, and the cheapest such pair is taken. So data without structure is
-visited widely, data in clusters list by list.
+How many lists there are and how many of them a query visits follows from a
+trial: up to ``MOST_TRIED`` of the queries, by a hash of their ids, are held
+against all vectors. For several numbers of lists, up to the root of the
+table's rows, their true neighbours say how many lists hold the wanted share of
+them, and the cheapest such pair is taken. So data without structure is visited
+widely, data in clusters list by list.
 
 A list is cut into shards of a bounded number of vectors, and the queries that
 visit it into blocks of a bounded number, both by a hash of the id; a task sees
@@ -38,7 +42,7 @@ from pyspark.sql import functions as F
 
 from tiersort.llm.common import shipped, staged
 
-MOST_FIT = 20_000
+MOST_FIT, MOST_TRIED = 20_000, 300
 
 
 def kmeans(x: np.ndarray, k: int, rng: np.random.Generator, rounds: int = 12) -> np.ndarray:
@@ -92,15 +96,25 @@ class Index:
         probes = min(probes, score.shape[1])
         return np.argsort(-score, 1, kind="stable")[:, :probes]
 
-    def promising(self, q: np.ndarray, cell: int, codes: np.ndarray, keep: int) -> np.ndarray:
-        """For each query the members of a list with the smallest asymmetric distance, as row numbers; ties by row."""
+    def errors(self, x: np.ndarray, cell: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Distance of each vector from what its list and its code stand for."""
+        rest = self.cut(x - self.coarse[cell])
+        return np.sqrt(sum(((rest[:, p] - self.words[p][codes[:, p]]) ** 2).sum(1) for p in range(self.parts)))
+
+    def distances(self, q: np.ndarray, cell: int, codes: np.ndarray) -> np.ndarray:
+        """Asymmetric distances, squared, of each query from the members of a list."""
         rest = self.cut(q - self.coarse[cell])
         dist = np.zeros((len(q), len(codes)), np.float32)
         for p in range(self.parts):
             table = ((rest[:, p, None, :] - self.words[p][None]) ** 2).sum(2).astype(np.float32)
             dist += table[:, codes[:, p]]
+        return dist
+
+    def promising(self, q: np.ndarray, cell: int, codes: np.ndarray, keep: int, dist: np.ndarray | None = None) -> np.ndarray:
+        """For each query the members of a list with the smallest asymmetric distance, as row numbers; ties by row."""
         if keep >= len(codes):
             return np.tile(np.arange(len(codes)), (len(q), 1))
+        dist = self.distances(q, cell, codes) if dist is None else dist
         bound = np.partition(dist, keep - 1, 1)[:, keep - 1]
         out = np.empty((len(q), keep), np.int64)
         for i, b in enumerate(bound):
@@ -128,29 +142,52 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
-def probes_for(sample: np.ndarray, coarse: np.ndarray, k: int, recall: float, queries: int = 300) -> tuple[int, float]:
-    """Lists to visit so that the share ``recall`` of true neighbours within the sample is met, and the share of vectors in them."""
+def probes_for(sample: np.ndarray, coarse: np.ndarray, asks: np.ndarray, owner: np.ndarray, near: np.ndarray, recall: float) -> tuple[int, float]:
+    """Lists to visit so that the share ``recall`` of true neighbours is met, and the share of the sample's vectors in them.
+
+    ``near`` has the true neighbours of the queries ``asks``, ``owner`` the number of their query.
+    """
     cell = nearest(sample, coarse)
-    asks = sample[np.linspace(0, len(sample) - 1, min(queries, len(sample))).astype(int)]
-    near = asks @ sample.T
-    top = np.argpartition(-near, min(k, near.shape[1] - 1), 1)[:, :k + 1]  # itself and k others
     order = np.argsort(-(asks @ coarse.T - (coarse ** 2).sum(1) / 2), 1, kind="stable")
     place = np.empty_like(order)
     np.put_along_axis(place, order, np.arange(order.shape[1])[None], 1)
-    met = np.sort(np.take_along_axis(place, cell[top], 1).ravel())
-    probes = int(met[min(len(met) - 1, int(np.ceil(recall * len(met))))]) + 1
+    met = np.sort(place[owner, nearest(near, coarse)])
+    probes = int(met[min(len(met) - 1, int(np.ceil(recall * len(met))))]) + 1 if len(met) else 1
     size = np.bincount(cell, minlength=len(coarse))
     return probes, float(size[order[:, :probes]].sum(1).mean() / len(sample))
 
 
-def fit(vectors: DataFrame, lists: int | None = None, parts: int = 16, most_fit: int = MOST_FIT, k: int = 5, recall: float = 0.96) -> tuple[Index, int] | None:
-    """Index of rows (id, v) from at most ``most_fit`` of them, and the lists to visit.
+def trial(vectors: DataFrame, asked: DataFrame, k: int, most: int = MOST_TRIED) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+    """At most ``most`` of the queries ``asked`` (id, v), and their k nearest of all ``vectors``, by comparison with each: queries, numbers of queries, neighbours."""
+    some = asked.orderBy(F.xxhash64("id"), "id").limit(most).toArrow()
+    if not len(some):
+        return None
+    names, asks = some.column("id").to_numpy(), _unit(_matrix(some.column("v").combine_chunks()))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ids = b.column(0).to_numpy(zero_copy_only=False)
+            score = asks @ _unit(_matrix(b.column(1))).T if b.num_rows else np.zeros((len(asks), 0))
+            score[names[:, None] == ids[None]] = -np.inf
+            keep = min(k, b.num_rows)
+            top = np.argpartition(-score, keep - 1, 1)[:, :keep] if keep else np.zeros((len(asks), 0), np.int64)
+            owner = np.repeat(np.arange(len(asks), dtype=np.int32), keep)
+            yield pa.RecordBatch.from_arrays([pa.array(owner), pa.array(score[owner, top.ravel()]), b.column(0).take(pa.array(top.ravel())), b.column(1).take(pa.array(top.ravel()))], names=["query_id", "score", "vec_id", "v"])
+
+    found = vectors.mapInArrow(compare, "query_id int, score double, vec_id long, v array<double>").where(F.col("score") > float("-inf"))
+    best = _best(found, k).select("query_id", "v").toArrow()  # k rows for each of the queries
+    return asks, best.column("query_id").to_numpy(), _unit(_matrix(best.column("v").combine_chunks())) if len(best) else asks[:0]
+
+
+def fit(vectors: DataFrame, asked: DataFrame, lists: int | None = None, parts: int = 16, most_fit: int = MOST_FIT, k: int = 5, recall: float = 0.96) -> tuple[Index, int] | None:
+    """Index of rows (id, v) from at most ``most_fit`` of them, and the lists that queries ``asked`` (rows of the same form) are to visit.
 
     ``lists`` fixes the number of lists; without it the cheapest of several
     numbers is taken, up to the root of the rows and an eighth of the sample.
     """
     few = vectors.orderBy(F.xxhash64("id"), "id").limit(most_fit).toArrow()
-    if not len(few):
+    tried = trial(vectors, asked, k)
+    if not len(few) or tried is None:
         return None
     x = _unit(_matrix(few.column("v").combine_chunks()))
     rows = vectors.count()
@@ -158,7 +195,7 @@ def fit(vectors: DataFrame, lists: int | None = None, parts: int = 16, most_fit:
     best = None
     for n in [lists] if lists else sorted({min(most, n) for n in (12, *(8 << j for j in range(14)))}):
         coarse = kmeans(x, n, np.random.default_rng(3))
-        probes, share = probes_for(x, coarse, k, recall)
+        probes, share = probes_for(x, coarse, *tried, recall)
         cost = share + len(coarse) / rows  # members a query is held against, and centroids, by the table's size
         if best is None or cost < best[0]:
             best = cost, coarse, probes
@@ -169,10 +206,10 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
            lists: int | None = None, parts: int = 16, shard_rows: int = 20_000, block_rows: int = 4_000, most_fit: int = MOST_FIT) -> DataFrame:
     """Rows (query_id, rank, vec_id, score): the k nearest found of each row with ``is_query`` (a condition on ``id``).
 
-    ``recall`` is what the visited lists are to hold of the sample's true
-    neighbours; ``probes`` fixes the share of lists a query visits instead,
-    ``rerank`` the number of members reranked in each shard of a list. Rows
-    that repeat an id count once, by their best vector.
+    ``recall`` is what the visited lists are to hold of the tried queries' true
+    neighbours; ``probes`` fixes the share of lists a query visits instead.
+    ``rerank`` members of each shard of a list are reranked first, then all
+    whose bound is below the k-th of these. Rows that repeat an id count once, by their best vector.
     """
     spark = df.sparkSession
     empty = "query_id long, rank int, vec_id long, score double"
@@ -181,7 +218,10 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
     if head is None:
         return spark.createDataFrame([], empty)
     every = every.where(F.size("v") == head.d)
-    index, visited = fit(every, lists, parts, most_fit, k, recall)
+    fitted = fit(every, every.where(is_query), lists, parts, most_fit, k, recall)
+    if fitted is None:
+        return spark.createDataFrame([], empty)
+    index, visited = fitted
     if probes is not None:
         visited = max(8, round(probes * len(index.coarse)))
     sent = shipped(spark, index)  # bounded: centroids and codewords only
@@ -190,8 +230,10 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
         held = sent()
         for b in batches:
             if b.num_rows:
-                cell, codes = held.encode(_unit(_matrix(b.column(1))))
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cell.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary())], names=["id", "v", "list", "code"])
+                x = _unit(_matrix(b.column(1)))
+                cell, codes = held.encode(x)
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cell.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(held.errors(x, cell, codes))],
+                                                 names=["id", "v", "list", "code", "error"])
 
     def visit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = sent()
@@ -200,7 +242,7 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
                 lists_ = held.visits(_unit(_matrix(b.column(1))), visited)
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([x.astype(np.int32) for x in lists_], pa.list_(pa.int32()))], names=["id", "v", "lists"])
 
-    coded = staged(every.mapInArrow(encode, "id long, v array<double>, list int, code binary"), "coded")
+    coded = staged(every.mapInArrow(encode, "id long, v array<double>, list int, code binary, error double"), "coded")
     asked = staged(coded.where(is_query).select("id", "v").mapInArrow(visit, "id long, v array<double>, lists array<int>").select("id", "v", F.explode("lists").alias("list")), "asked")
     cut = lambda n, rows: F.greatest(F.lit(1), F.ceil(n / rows)).cast("int")
     sizes = (coded.groupBy("list").agg(cut(F.count("*"), shard_rows).alias("shards"))
@@ -217,20 +259,30 @@ def search(df: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embe
         m = m.sort_values("id", kind="stable")
         ids, vecs = m["id"].to_numpy(), _unit(np.stack(m["v"].to_numpy()))
         codes = np.frombuffer(b"".join(m["code"]), np.uint8).reshape(len(m), -1)
-        out = []
+        error = m["error"].to_numpy().astype(np.float32)
+        out, slack = [], np.float32(1e-5)  # of the tables' single precision, in squares
         for at in range(0, len(q), 256):
             some = q.iloc[at:at + 256]
-            mine, asks = some["id"].to_numpy(), np.stack(some["v"].to_numpy())
-            rows = held.promising(_unit(asks), int(key[0]), codes, rerank + 1)
+            mine, asks = some["id"].to_numpy(), _unit(np.stack(some["v"].to_numpy()))
+            dist = held.distances(asks, int(key[0]), codes)
+            rows = held.promising(asks, int(key[0]), codes, rerank + 1, dist)
             for i, r in enumerate(rows):
                 r = r[ids[r] != mine[i]]
-                exact = np.round(vecs[r] @ _unit(asks[i:i + 1])[0], 12)  # equal vectors get equal scores, wherever they stand in a block
+                exact = vecs[r] @ asks[i]
+                if len(r) >= k and rerank + 1 < len(m):  # members that may be nearer than the k-th
+                    far = np.sqrt(max(0.0, 2 - 2 * np.partition(exact, len(r) - k)[len(r) - k]))
+                    open_ = dist[i] <= (np.float32(far) + error) ** 2 + slack
+                    open_[rows[i]] = False
+                    more = np.flatnonzero(open_)
+                    more = more[ids[more] != mine[i]]
+                    r, exact = np.concatenate([r, more]), np.concatenate([exact, vecs[more] @ asks[i]])
+                exact = np.round(exact, 12)  # equal vectors get equal scores, wherever they stand in a block
                 best = np.lexsort((ids[r], -exact))[:4 * k]  # some more: the last digits are settled below
                 out.append(pd.DataFrame({"query_id": mine[i], "vec_id": ids[r][best], "score": exact[best]}))
         return pd.concat(out)
 
     found = asked.select("list", "shard", "block", "id", "v").groupBy("list", "shard", "block").cogroup(
-        members.select("list", "shard", "block", "id", "v", "code").groupBy("list", "shard", "block")).applyInPandas(scan, "query_id long, vec_id long, score double")
+        members.select("list", "shard", "block", "id", "v", "code", "error").groupBy("list", "shard", "block")).applyInPandas(scan, "query_id long, vec_id long, score double")
     top = _best(found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), 4 * k)
     # the score in its plain form, over the components in order
     pairs = (top.join(coded.select(F.col("id").alias("query_id"), F.col("v").alias("a")), "query_id")
