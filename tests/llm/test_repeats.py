@@ -1,8 +1,10 @@
+import re
 import hashlib
 import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from tiersort.llm import repeats as r
 from tiersort.llm.queries import QUERIES
@@ -119,3 +121,22 @@ def test_pack_round_trip():
     for x in ([], [0], [1, 2 ** 63, 5], list(range(1000))):
         a, b = r._unpack(r._pack(np.array(x, np.uint64), np.array([7])))
         assert a.tolist() == x and b.tolist() == [7]
+
+
+def test_staged_steps_leave_no_shuffle_files(spark):
+    import time
+
+    from tiersort.llm.common import CLEANUP, staged
+
+    # as a string: the names of the local files of the session's block manager
+    held = lambda: {x for x in re.findall(r"shuffle_[0-9_]+\.\w+", spark.sparkContext._jsc.sc().env().blockManager().diskBlockManager().getAllFiles().mkString(" "))}
+    before = held()
+    rows = spark.range(1000).groupBy((F.col("id") % 7).alias("k")).agg(F.count("*").alias("n"))
+    out = staged(rows, "few")
+    for _ in range(50):
+        if not held() - before:
+            break
+        time.sleep(0.1)
+    assert not held() - before
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, rows.collect())) and spark.conf.get(CLEANUP) == "false"
+    assert held() - before  # those of a plain query stay
