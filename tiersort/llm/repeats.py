@@ -191,6 +191,8 @@ class RunLengthIndex:
         zero = np.append(inner, n)[np.minimum(first, len(inner))]
         self.run_rank[by_symbol] = inner - zero[self.run_symbol[by_symbol]]
         self.by_symbol, self.symbol_first = by_symbol, np.searchsorted(self.run_symbol[by_symbol], np.arange(259))
+        self.run_stop = np.append(head[1:], n)
+        self.run_key = self.run_symbol[by_symbol] * (len(head) + 1) + by_symbol  # ascending
         # classes of rows with the same ``length`` symbols, none of them a divider
         cut = np.flatnonzero(text < 2)
         room = np.repeat(cut, np.diff(cut, prepend=-1)).astype(np.int32) - np.arange(n, dtype=np.int32)
@@ -246,8 +248,7 @@ class RunLengthIndex:
                 a, b = self.symbol_first[want], self.symbol_first[want + 1]
                 # runs of one symbol are ascending: count those before the row's run
                 key = want * (len(self.run_start) + 1) + run[other]
-                held = self.run_symbol[self.by_symbol] * (len(self.run_start) + 1) + self.by_symbol
-                below = np.searchsorted(held, key)
+                below = np.searchsorted(self.run_key, key)
                 best = np.full(len(q), -1, np.int64)
                 found = np.full(len(q), -1, np.int64)
                 for which, ok, sample in ((below - 1, below > a, self.last_sample), (below, below < b, self.first_sample)):
@@ -258,7 +259,7 @@ class RunLengthIndex:
                     k, target, got = k[better], target[better], got[better]
                     best[k], found[k] = got, target
                     first = sample is self.first_sample
-                    row[q[k]] = self.run_start[target] if first else np.append(self.run_start[1:], len(self.text))[target] - 1
+                    row[q[k]] = self.run_start[target] if first else self.run_stop[target] - 1
                     pos[q[k]] = sample[target]
                     size[q[k]] = got
                 none = q[found < 0]  # a symbol the text lacks
