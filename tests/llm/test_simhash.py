@@ -92,3 +92,24 @@ def test_near_classes_are_those_of_all_pairs(spark):
     df = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
     got = {r.id: r.component for r in simhash.near_classes(df).collect()}
     assert got == plain_components(range(len(texts)), edges)
+
+
+def test_unlike_members_of_a_band_are_never_rows(spark, monkeypatch):
+    """Texts of one body that resemble each other at 0.6 to 0.78: no pair of them leaves a join."""
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(6))
+    base, texts = [word() for _ in range(150)], []
+    for _ in range(120):
+        w = list(base)
+        for at in rng.sample(range(2, 150, 6), 3):
+            w[at] = word()
+        texts.append(w)
+    texts.append([*texts[7][:-1], word()])
+    sets = [{tuple(w[i:i + 5]) for i in range(len(w) - 4)} for w in texts]
+    edges = [(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j])]
+    made, real = [], simhash.similar
+    monkeypatch.setattr(simhash, "similar", lambda pairs, *a: made.append(pairs.count()) or real(pairs, *a))
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+    got = {r.id: r.component for r in simhash.near_classes(df).collect()}
+    assert got == plain_components(range(len(texts)), edges) and got[120] == 7
+    assert sum(made) < len(texts) * (len(texts) - 1) / 8  # against first members only, not each other

@@ -210,8 +210,9 @@ def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands:
     sets. First each text is held against one other: the smallest that is the
     first of a band they share. Bands that still have several components are
     held against their first member once more. What then lies in different
-    components and shares a band is compared pair by pair, sizes and last bits
-    first, inside of the join; so no link within a band is lost, and members
+    components and shares a band is compared pair by pair inside of the join,
+    sizes and last bits first, then the whole sets, which its rows bring along;
+    so no link within a band is lost, only links leave the join, and members
     that agree with a first one are never paired.
     """
     raw = sketches(docs, text_col, shingle, bands, rows).withColumn("id", F.monotonically_increasing_id())
@@ -237,10 +238,13 @@ def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands:
     again = staged(again.distinct().join(tried, ["u", "v"], "left_anti"), "second")
     links = staged(links.unionByName(similar(again, facts, sets, tenths, apart)), "links")
     open_ = staged(mixed(staged(components(links), "grown")).select("id", "key", "c").join(facts.select("id", "n", "bits"), "id"), "open")
-    a, b = open_.toDF("u", "key", "cu", "nu", "bu"), open_.toDF("v", "key", "cv", "nv", "bv")
+    wide = open_.join(sets.select("id", "shingles"), "id").select("id", "key", "c", "n", "bits", "shingles")
+    a, b = wide.toDF("u", "key", "cu", "nu", "bu", "su"), wide.toDF("v", "key", "cv", "nv", "bv", "sv")
     fits = (F.col("u") > F.col("v")) & (F.col("cu") != F.col("cv")) & (10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")) & (bits_apart("bu", "bv") <= apart)
-    rest = a.join(b, (a["key"] == b["key"]) & fits).select("u", "v").distinct().join(tried.unionByName(again), ["u", "v"], "left_anti")
-    found = components(links.unionByName(similar(rest, facts, sets, tenths, apart)))
+    shared = F.size(F.array_intersect("su", "sv"))
+    alike = F.when(fits, 10 * shared >= tenths * (F.col("nu") + F.col("nv") - shared)).otherwise(False)  # sets only of pairs that fit
+    rest = a.join(b, (a["key"] == b["key"]) & alike).select("u", "v").distinct()
+    found = components(links.unionByName(rest))
     return first.join(found, "id", "left").select("h1", "h2", F.coalesce("component", "id").alias("class"))
 
 
