@@ -1,8 +1,11 @@
 import itertools
 import random
+from pathlib import Path
+
+import pyarrow as pa
 
 from tiersort.llm import simhash
-from tiersort.llm.common import components
+from tiersort.llm.common import components, shared_dir
 from tiersort.llm.queries import op2_simhash
 from helpers import DATA, plain_components, plain_fingerprint
 
@@ -113,3 +116,50 @@ def test_unlike_members_of_a_band_are_never_rows(spark, monkeypatch):
     got = {r.id: r.component for r in simhash.near_classes(df).collect()}
     assert got == plain_components(range(len(texts)), edges) and got[120] == 7
     assert sum(made) < len(texts) * (len(texts) - 1) / 8  # against first members only, not each other
+
+
+def test_large_groups_are_taken_apart_without_losing_links(spark, monkeypatch):
+    """Blocks, groups over ``most`` texts and components off the driver give the classes of all pairs."""
+    rng = random.Random(13)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(6))
+    texts = []
+    for size in (40, 9, 3):
+        base = [word() for _ in range(150)]
+        for k in range(size):
+            w = list(base)
+            for at in rng.sample(range(2, 150, 6), k % 4):
+                w[at] = word()
+            texts.append(w)
+    sets = [{tuple(w[i:i + 5]) for i in range(len(w) - 4)} for w in texts]
+    edges = [(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j])]
+    want = plain_components(range(len(texts)), edges)
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(texts)], "doc_id long, text string")
+    monkeypatch.setattr(simhash, "BLOCK", 4)
+    for options in ({}, {"most": 10}, {"most": 10, "few": 0}):
+        assert {r.id: r.component for r in simhash.near_classes(df, **options).collect()} == want, options
+
+
+def test_links_of_blocks_are_a_forest_of_all_pairs():
+    rng = random.Random(17)
+    sets = [sorted(rng.sample(range(12), rng.randrange(6, 12))) for _ in range(60)]
+    edges = [(i, j) for i, j in itertools.combinations(range(60), 2) if i % 2 != j % 2
+             and 10 * len({*sets[i]} & {*sets[j]}) >= 8 * len({*sets[i]} | {*sets[j]})]
+    t = pa.table({"a": [0] * 60, "b": [1] * 60, "id": range(60), "block": [i % 2 for i in range(60)], "shingles": sets})
+    got = simhash.alike(8)(t).to_pylist()
+    assert len(got) < 60 and plain_components(range(60), [(r["u"], r["v"]) for r in got]) == plain_components(range(60), edges)
+
+
+def test_near_texts_take_few_jobs_and_leave_no_sets(spark):
+    """A driver of 1.5 GB keeps what it knows of each job, and each staged set of shingles is more than its text."""
+    texts = [" ".join(f"w{g}x{i if i != c * 40 else -c}" for i in range(200)) for g in range(5) for c in range(4)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    before = set(Path(shared_dir(spark).removeprefix("file:")).glob("tiersort-*/sketch"))
+    spark.sparkContext.setJobGroup("near", "near_texts")
+    try:
+        found = simhash.near_texts(df)
+        assert found.select("class").distinct().count() == 5
+        jobs = spark.sparkContext.statusTracker().getJobIdsForGroup("near")
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(jobs) < 60
+    assert set(Path(shared_dir(spark).removeprefix("file:")).glob("tiersort-*/sketch")) == before

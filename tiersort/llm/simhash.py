@@ -15,7 +15,7 @@ further columns of the input are not looked at.
 from __future__ import annotations
 
 import random
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tiersort.llm.common import components, staged, with_least
+from tiersort.llm.common import components, discard, least_joined, staged, with_least
 
 BITS = 64
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -199,52 +199,92 @@ def similar(pairs: DataFrame, facts: DataFrame, shingles: DataFrame, tenths: int
     return both.where(10 * shared >= tenths * (F.col("nu") + F.col("nv") - shared)).select("u", "v")
 
 
-def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands: int = 40, rows: int = 6, radius: int = 2, tenths: int = 8) -> DataFrame:
+def alike(tenths: int) -> Callable[[pa.Table], pa.Table]:
+    """For ``applyInArrow``: links of a table (a, b, id, block, shingles) between its blocks a and b, in full, as a forest (u, v).
+
+    Intersections are counted exactly by products of 0/1 matrices, in bounded
+    pieces, over the shingles that two sets at least hold. Of the links found,
+    those of each member to the smallest it reaches leave: a row a member at most.
+    """
+    def run(t: pa.Table) -> pa.Table:
+        ids, block, held = t["id"].to_numpy(), t["block"].to_numpy(), t["shingles"].combine_chunks()
+        n = held.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        _, code, many = np.unique(held.flatten().to_numpy(), return_inverse=True, return_counts=True)
+        common = many[code] > 1
+        owner, code = np.repeat(np.arange(len(ids)), n)[common], (np.cumsum(many > 1) - 1)[code[common]]
+        order = np.argsort(code, kind="stable")
+        owner, code = owner[order], code[order]
+        left, right = (np.flatnonzero(block == t[x][0].as_py()) for x in "ab")
+        low, width, step = np.arange(len(ids)), max(1, (1 << 22) // len(ids)), max(1, (1 << 22) // max(1, len(right)))
+        cuts = np.searchsorted(code, np.arange(0, code[-1] + width + 1, width)).tolist() if len(code) else []
+        for at in range(0, len(left), step):
+            mine = left[at:at + step]
+            shared = np.zeros((len(mine), len(right)), np.float32)
+            for k, (lo, hi) in enumerate(zip(cuts, cuts[1:])):
+                has = np.zeros((len(ids), width if hi < len(code) else int(code[-1]) - k * width + 1), np.float32)
+                has[owner[lo:hi], code[lo:hi] - k * width] = 1
+                shared += has[mine] @ has[right].T
+            i, j = np.nonzero(10 * shared >= tenths * (n[mine][:, None] + n[right][None, :] - shared))
+            low = least_joined(len(ids), np.concatenate([np.arange(len(ids)), mine[i]]), np.concatenate([low, right[j]]))
+        tied = np.flatnonzero(low != np.arange(len(ids)))
+        return pa.table({"u": ids[tied], "v": ids[low[tied]]})
+
+    return run
+
+
+#: Edges that the driver joins as arrays (16 bytes each), rows that are broadcast, members of a block and blocks of a group at most.
+FEW_EDGES, MOST_SENT, BLOCK, BLOCKS = 200_000, 500_000, 128, 32
+
+
+def near_texts(docs: DataFrame, text_col: str = "text", shingle: int = 5, bands: int = 40, rows: int = 6, radius: int = 2, tenths: int = 8,
+               most: int = 10_000, few: int = FEW_EDGES) -> DataFrame:
     """Rows (h1, h2, class), one for each distinct text; a class is a number without further meaning.
 
     Two texts are linked if they share ``tenths`` / 10 or more of their
     distinct shingles. Candidates have an equal band of minima (40 bands of 6:
-    five of a million pairs at 0.8 have none) or fingerprints of one class
-    within ``radius`` bits, and last bits of their minima as near as such texts
-    have them (two of a million haven't); each link is checked on the whole
-    sets. First each text is held against one other: the smallest that is the
-    first of a band they share. Bands that still have several components are
-    held against their first member once more. What then lies in different
-    components and shares a band is compared pair by pair inside of the join,
-    sizes and last bits first, then the whole sets, which its rows bring along;
-    so no link within a band is lost, only links leave the join, and members
-    that agree with a first one are never paired.
+    five of a million pairs at 0.8 have none) or equal or linked fingerprints
+    (within ``radius`` bits); each link is checked on the whole sets. What
+    candidates join falls into groups, each text in one. In a group of up to
+    ``most`` texts all are held against all, in pairs of blocks, so a text's
+    set moves once for each block of its group; links leave as a forest.
+    Larger groups are taken apart: each text is held against the first of its
+    bands (what last bits of minima rule out, two of a million links, aside),
+    and bands that still have several components are compared in blocks.
     """
     raw = sketches(docs, text_col, shingle, bands, rows).withColumn("id", F.monotonically_increasing_id())
     sketch = staged(raw, "sketch")  # written once, so the numbers stay
     first = staged(sketch.groupBy("h1", "h2").agg(F.min("id").alias("id")), "texts")
-    own = sketch.join(first.select("id"), "id", "left_semi").where(F.size("keys") > 0)
-    sets = own.select("id", F.size("shingles").alias("n"), "shingles")
-    facts = staged(own.select("id", F.size("shingles").alias("n"), "bits", "fp"), "facts")
-    apart, n = most_apart(bands * rows, tenths), first.count()
-    held = staged(with_least(own.select("id", F.explode("keys").alias("key")), "key", "id", bands * n, "low", alone=False), "bands")
-    tried = held.where("id <> low").groupBy(F.col("id").alias("u")).agg(F.min("low").alias("v"))
-    near = classes(facts.select("id", "fp"), radius).where("id <> component").select(F.col("id").alias("u"), F.col("component").alias("v"))
-    tried = staged(tried.unionByName(near).distinct(), "first")
-    links = staged(similar(tried, facts, sets, tenths, apart), "links")
-
-    def mixed(grown: DataFrame) -> DataFrame:
-        """Members (id, key, c, low, lc) of bands with several components, with the band's first member and its component."""
-        placed = held.select("id", "key").join(grown, "id", "left").select("id", "key", F.coalesce("component", "id").alias("c"))
-        some = placed.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b"), F.min(F.struct("id", "c")).alias("f")).where("a < b")
-        return placed.join(some.select("key", F.col("f.id").alias("low"), F.col("f.c").alias("lc")), "key")
-
-    again = mixed(staged(components(links), "grown")).where("c <> lc").select(F.col("id").alias("u"), F.col("low").alias("v"))
-    again = staged(again.distinct().join(tried, ["u", "v"], "left_anti"), "second")
-    links = staged(links.unionByName(similar(again, facts, sets, tenths, apart)), "links")
-    open_ = staged(mixed(staged(components(links), "grown")).select("id", "key", "c").join(facts.select("id", "n", "bits"), "id"), "open")
-    wide = open_.join(sets.select("id", "shingles"), "id").select("id", "key", "c", "n", "bits", "shingles")
-    a, b = wide.toDF("u", "key", "cu", "nu", "bu", "su"), wide.toDF("v", "key", "cv", "nv", "bv", "sv")
-    fits = (F.col("u") > F.col("v")) & (F.col("cu") != F.col("cv")) & (10 * F.least("nu", "nv") >= tenths * F.greatest("nu", "nv")) & (bits_apart("bu", "bv") <= apart)
-    shared = F.size(F.array_intersect("su", "sv"))
-    alike = F.when(fits, 10 * shared >= tenths * (F.col("nu") + F.col("nv") - shared)).otherwise(False)  # sets only of pairs that fit
-    rest = a.join(b, (a["key"] == b["key"]) & alike).select("u", "v").distinct()
-    found = components(links.unionByName(rest))
+    own = sketch.select("id", F.size("shingles").alias("n"), "bits", "fp", "keys").join(first.select("id"), "id", "left_semi").where("n > 0")
+    own, n = staged(own, "own"), first.count()
+    close = links(own.select("fp"), radius).select(F.xxhash64("u", "v").alias("key"), F.explode(F.array("u", "v")).alias("fp"))
+    shared = own.select(F.explode(F.concat("keys", F.array(F.xxhash64("fp")))).alias("key"), "id").unionByName(
+        close.join(own.select("fp", "id"), "fp").select("key", "id"))
+    held = staged(with_least(shared, "key", "id", (bands + 1) * n, "low", alone=False), "bands")
+
+    def sized(found: DataFrame, group: str) -> DataFrame:
+        """``found`` with the number m of its group's rows, where that is over a block."""
+        return found.join(F.broadcast(found.groupBy(group).agg(F.count("*").alias("m")).where(F.col("m") > BLOCK)), group, "left")
+
+    joined = components(held.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v")), few=few)
+    groups = staged(sized(joined, "component").select("id", F.col("component").alias("unit"), "m"), "groups")
+    units, stars = groups.where(f"m is null or m <= {most}"), None
+    if groups.where(f"m > {most}").limit(1).count():
+        mine = held.join(groups.where(f"m > {most}").select("id"), "id", "left_semi")
+        tried = mine.where("id <> low").select(F.col("id").alias("u"), F.col("low").alias("v"))
+        stars = staged(similar(tried, own, sketch.select("id", F.size("shingles").alias("n"), "shingles"), tenths, most_apart(bands * rows, tenths)), "stars")
+        placed = mine.select("id", "key").join(components(stars, few=few), "id", "left").withColumn("c", F.coalesce("component", "id"))
+        same = [F.bit_xor(F.xxhash64("id", F.lit(k))).alias(f"x{k}") for k in (0, 1)]  # bands of the same members are compared once
+        some = placed.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b"), F.count("*").alias("m"), *same).where("a < b").dropDuplicates(["m", "x0", "x1"])
+        units = staged(units.unionByName(placed.join(some.select("key", "m"), "key").select("id", F.col("key").alias("unit"), "m")), "units")
+    parts = F.least(F.lit(BLOCKS), F.ceil(F.coalesce("m", F.lit(1)) / BLOCK)).cast("int")
+    units = units.select("id", "unit", parts.alias("parts"), F.pmod(F.xxhash64("id"), parts).cast("int").alias("block"))
+    sets = sketch.select("id", "shingles").join(F.broadcast(units) if units.count() <= MOST_SENT else units, "id")
+    dealt = sets.withColumn("other", F.explode(F.expr("sequence(0, parts - 1)"))).select(
+        "unit", F.least("block", "other").alias("a"), F.greatest("block", "other").alias("b"), "id", "block", "shingles")
+    edges = staged(dealt.groupBy("unit", "a", "b").applyInArrow(alike(tenths), "u long, v long"), "links")
+    found = components(edges if stars is None else edges.unionByName(stars), few=few)
+    for done in (sketch, own, held, groups, edges):
+        discard(done)
     return first.join(found, "id", "left").select("h1", "h2", F.coalesce("component", "id").alias("class"))
 
 
